@@ -108,11 +108,14 @@ class BucketQueue:
         self.program, self.schedule, self.state = program, schedule, state
         self.cur: int | None = None
 
+    def sql(self) -> str:
+        """The bucket of a row as SQL text: whole plans are built from few strings, since a round is planned anew each time."""
+        return bucket_sql(self.schedule.delta)
+
     def bucket(self) -> Column:
-        p = self.program.spec.prio()
         if self.schedule.callback:
-            return _callback(self.schedule.delta)(p)
-        return _div(p, self.schedule.delta)
+            return _callback(self.schedule.delta)(F.expr("value + h"))
+        return F.expr(self.sql())
 
     @property
     def current(self) -> int | None:
@@ -120,10 +123,11 @@ class BucketQueue:
 
     def ready(self) -> Column:
         """Whether a row belongs to the buckets in hand."""
-        b = self.bucket()
-        if self.program.spec.order == "low":
-            return F.coalesce(F.col("active") & (b < F.lit(self.cur + self.schedule.width)), F.lit(False))
-        return F.coalesce(F.col("active") & (b > F.lit(self.cur - self.schedule.width)), F.lit(False))
+        low = self.program.spec.order == "low"
+        edge = f"< {self.cur + self.schedule.width}" if low else f"> {self.cur - self.schedule.width}"
+        if self.schedule.callback:
+            return F.coalesce(F.col("active") & ((self.bucket() < self.cur + self.schedule.width) if low else (self.bucket() > self.cur - self.schedule.width)), F.lit(False))
+        return F.expr(f"coalesce(active AND ({self.sql()} {edge}), false)")
 
     def pop(self) -> DataFrame:
         return self.state.where(self.ready())
@@ -143,9 +147,13 @@ class BucketQueue:
         return bool(row and row["final"])
 
     def counters(self, watch: int | None) -> list[Column]:
-        best = F.min if self.program.spec.order == "low" else F.max
-        out = [best(F.when(F.col("active"), self.bucket())).alias("next"), F.count(F.when(F.col("active"), 1)).alias("n_active")]
-        return [*out, F.max(F.when(F.col("id") == watch, F.col("value")) if watch is not None else F.lit(None).cast("long")).alias("watched")]
+        best = "min" if self.program.spec.order == "low" else "max"
+        first = F.expr(f"{best}(CASE WHEN active THEN {self.sql()} END) AS next") if not self.schedule.callback else getattr(F, best)(F.when(F.col("active"), self.bucket())).alias("next")
+        return [first, F.expr("count_if(active) AS n_active"), F.expr(f"max(CASE WHEN id = {watch if watch is not None else 'null'} THEN value END) AS watched")]
+
+
+def bucket_sql(delta: int, value: str = "value + h") -> str:
+    return f"({value})" if delta == 1 else f"(({value}) div {delta}L)"
 
 
 def _div(p: Column, delta: int) -> Column:
@@ -169,7 +177,7 @@ def initial_state(program: OrderedProgram, graph: Graph, start: dict[int, int] |
 
 def messages(frontier: DataFrame, graph: Graph, program: OrderedProgram, schedule: Schedule, size: int, pull: bool) -> DataFrame:
     """``[dst, new, n]``: the reduced updates along the frontier's out-edges and how many they were."""
-    rule, f = program.rule, frontier.select(F.col("id").alias("src"), F.col("value").alias("__v"))
+    rule, f = program.rule, frontier.selectExpr("id AS src", "value AS __v")
     if schedule.balance == "salted" and not pull:
         # A hub's edges are dealt over several salts, and its frontier row goes to each.
         salts = 8
@@ -184,11 +192,11 @@ def messages(frontier: DataFrame, graph: Graph, program: OrderedProgram, schedul
     if rule.kind == "add":
         const = constant_sum(rule)
         if const and schedule.update == "lazy_count":
-            return sent.groupBy("dst").agg(F.count(F.lit(1)).alias("n")).select("dst", (F.col("n") * const.delta).alias("new"), "n")
+            return sent.groupBy("dst").agg(F.expr("count(1) AS n")).selectExpr("dst", f"n * {const.delta} AS new", "n")
         amount = F.lit(rule.delta) if isinstance(rule.delta, int) else rule.delta(F.col("weight"))
         return sent.select("dst", amount.cast("long").alias("new")).groupBy("dst").agg(F.sum("new").alias("new"), F.count(F.lit(1)).alias("n"))
-    best = F.min if rule.kind == "lower" else F.max
-    return sent.select("dst", rule.new(F.col("__v"), F.col("weight")).cast("long").alias("new")).groupBy("dst").agg(best("new").alias("new"), F.count(F.lit(1)).alias("n"))
+    best = "min" if rule.kind == "lower" else "max"
+    return sent.select("dst", rule.new(F.col("__v"), F.col("weight")).alias("new")).groupBy("dst").agg(F.expr(f"cast({best}(new) AS long) AS new"), F.expr("count(1) AS n"))
 
 
 def better(kind: str, new: Column, old: Column) -> Column:
@@ -199,22 +207,26 @@ def lazy_round(q: BucketQueue, graph: Graph, size: int, pull: bool, bound: int |
     """The state after one round, with columns ``__n`` (messages), ``__changed`` and ``__popped`` for the counters."""
     rule, spec = q.program.rule, q.program.spec
     msgs = messages(q.pop(), graph, q.program, q.schedule, size, pull)
+    return merge(q, msgs, bound)
+
+
+def better_sql(kind: str, bound: int | None, old: str = "value") -> str:
+    more = "" if bound is None else f" AND new + h < {bound}"
+    return f"(new IS NOT NULL AND ({old} IS NULL OR new {'<' if kind == 'lower' else '>'} {old}){more})"
+
+
+def merge(q: BucketQueue, msgs: DataFrame, bound: int | None) -> DataFrame:
+    """Reduced messages into the state: a left join on ids that lie together already."""
+    rule = q.program.rule
     s = q.state.withColumn("__popped", q.ready()).join(msgs.hint("shuffle_hash"), F.col("id") == F.col("dst"), "left")
-    cur = F.lit(q.cur).cast("long")
-    settled = F.when(F.col("__popped"), cur).otherwise(F.col("settled_at")).alias("settled_at")
-    n = F.coalesce("n", F.lit(0)).alias("__n")
+    settled = f"CASE WHEN __popped THEN {q.cur}L ELSE settled_at END AS settled_at"
     if rule.kind == "add":
-        open_ = F.col("active") & ~F.col("__popped")
-        low = F.lit(q.cur) if rule.floor == "current" else F.lit(rule.floor)
-        moved = F.col("value") + F.col("new")
-        moved = moved if rule.floor is None else F.greatest(moved, low.cast("long"))
-        changed = open_ & F.col("new").isNotNull() & (F.col("value") != low if rule.floor is not None else F.lit(True))
-        changed = F.coalesce(changed, F.lit(False))
-        return s.select("id", F.when(changed, moved).otherwise(F.col("value")).alias("value"), "h", open_.alias("active"), settled, n, changed.alias("__changed"), "__popped")
-    changed = better(rule.kind, F.col("new"), F.col("value"))
-    if bound is not None:
-        changed = changed & (F.col("new") + F.col("h") < bound)
-    return s.select("id", F.when(changed, F.col("new")).otherwise(F.col("value")).alias("value"), "h", (changed | (F.col("active") & ~F.col("__popped"))).alias("active"), settled, n, changed.alias("__changed"), "__popped")
+        floor = {None: None, "current": q.cur}.get(rule.floor, rule.floor)
+        moved = "value + new" if floor is None else f"greatest(value + new, {floor}L)"
+        changed = "(active AND NOT __popped AND new IS NOT NULL" + (")" if floor is None else f" AND value <> {floor})")
+        return s.selectExpr("id", f"CASE WHEN {changed} THEN {moved} ELSE value END AS value", "h", "active AND NOT __popped AS active", settled, "coalesce(n, 0) AS __n", f"{changed} AS __changed", "__popped")
+    ch = better_sql(rule.kind, bound)
+    return s.selectExpr("id", f"CASE WHEN {ch} THEN new ELSE value END AS value", "h", f"{ch} OR (active AND NOT __popped) AS active", settled, "coalesce(n, 0) AS __n", f"{ch} AS __changed", "__popped")
 
 
 def chained_hops(q: BucketQueue, graph: Graph, hops: int, bound: int | None) -> DataFrame:
@@ -406,7 +418,7 @@ def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool) -> dict:
     has = set(q.state.columns)
     cols = q.counters(watch)
     for c, name in (("__n", "sent"), ("__changed", "moved"), ("__popped", "popped")):
-        cols.append(F.sum(F.col(c).cast("long") if c in has else F.lit(0)).alias(name))
+        cols.append(F.expr(f"sum(cast({c if c in has else 0} AS long)) AS {name}"))
     if eager:
         cols.append(F.collect_set(F.when(F.col("active"), F.col("block"))).alias("blocks"))
     if q.schedule.callback:  # a Python function can't stand in an Observation
@@ -472,7 +484,7 @@ class _Overflow:
             hit = hit.where(F.col("new") + F.col("h") < bound)
         prio = _div(F.col("new") + F.col("h"), q.schedule.delta)
         self.log.append(cut(hit.where(~self._inside(q, prio)).select("id", "new")))
-        near = lazy_step(q, msgs, bound)
+        near = merge(q, msgs, bound)
         moved = hit.where(self._inside(q, prio)).select("id", F.col("new").alias("value"), "h", F.lit(True).alias("active"), F.lit(None).cast("long").alias("settled_at"), F.col("n").alias("__n"), F.lit(True).alias("__changed"), F.lit(False).alias("__popped"))
         return near.unionByName(moved).repartition(graph.P, "id")
 
@@ -501,11 +513,3 @@ class _Overflow:
         for x in [*self.done, *([far] if far is not None else [])]:
             out = out.unionByName(x.select("id", "value", "h", "active", "settled_at"))
         return out
-
-
-def lazy_step(q: BucketQueue, msgs: DataFrame, bound: int | None) -> DataFrame:
-    """The merge of reduced offers into the rows at hand, for rules that set priorities."""
-    s = q.state.withColumn("__popped", q.ready()).join(msgs, F.col("id") == F.col("dst"), "left")
-    ch = better(q.program.rule.kind, F.col("new"), F.col("value"))
-    ch = ch if bound is None else ch & (F.col("new") + F.col("h") < bound)
-    return s.select("id", F.when(ch, F.col("new")).otherwise(F.col("value")).alias("value"), "h", (ch | (F.col("active") & ~F.col("__popped"))).alias("active"), F.when(F.col("__popped"), F.lit(q.cur).cast("long")).otherwise(F.col("settled_at")).alias("settled_at"), F.coalesce("n", F.lit(0)).alias("__n"), ch.alias("__changed"), "__popped")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tideline.operators.engine import OrderedResult, RoundView, run_ordered
@@ -13,7 +13,7 @@ from tideline.sources.tables import cut
 
 SSSP = OrderedProgram("sssp", PrioritySpec("low", True), EdgeRule.lower(lambda v, w: v + w), "sssp")
 WBFS = OrderedProgram("wbfs", PrioritySpec("low", False), EdgeRule.lower(lambda v, w: v + w), "sssp")
-ASTAR = OrderedProgram("astar", PrioritySpec("low", True, lambda: F.col("value") + F.col("h")), EdgeRule.lower(lambda v, w: v + w), "sssp")
+ASTAR = OrderedProgram("astar", PrioritySpec("low", True), EdgeRule.lower(lambda v, w: v + w), "sssp")
 WIDEST = OrderedProgram("widest", PrioritySpec("high", True), EdgeRule.raise_(lambda v, w: F.least(v, w)), "widest")
 
 
@@ -137,7 +137,3 @@ def check_estimate(graph: Graph, estimate: DataFrame) -> DataFrame:
     """One row, ``violations``: edges whose ends' estimates differ by more than the weight."""
     e = graph.edges.join(estimate.toDF("src", "hs"), "src").join(estimate.toDF("dst", "hd"), "dst")
     return e.agg(F.count(F.when(F.col("hs") > F.col("weight") + F.col("hd"), 1)).alias("violations"))
-
-
-def _column(x: float | int | Column) -> Column:
-    return x if isinstance(x, Column) else F.lit(x)

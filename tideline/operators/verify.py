@@ -47,7 +47,7 @@ def delta_sweep(graph: Graph, source: int, deltas: list[int]) -> DataFrame:
 
 def work(graph: Graph, source: int) -> DataFrame:
     """Relaxations with small buckets against one bucket, both worked off within one block."""
-    a = P.sssp(graph, source, Schedule(update="eager_fused", delta=512, blocks=1))
+    a = P.sssp(graph, source, Schedule(update="eager_fused", delta=1024, blocks=1))
     b = P.sssp(graph, source, Schedule(update="eager_fused", delta=UNBOUNDED, blocks=1))
     return graph.spark.createDataFrame([(a.metrics.relaxations <= b.metrics.relaxations,)], "ordered_relaxes_less boolean")
 

@@ -6,24 +6,18 @@ from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark.sql import Column
-from pyspark.sql import functions as F
 
 
 @dataclass(frozen=True)
 class PrioritySpec:
     """``order``: low or high priorities first. ``coarsen``: whether buckets may span more than one priority.
 
-    ``priority``: the priority as a Column over the state (``value``, and ``extra`` columns); ``value`` itself if None.
-    ``init``: the value of every vertex at the start (a Column over the vertices); with None only start vertices have one.
+    The priority of a vertex is its value plus ``h``, which the run may give for each vertex (0 otherwise): the start values and
+    ``h`` come with the run, so one specification serves all starts.
     """
 
     order: str = "low"
     coarsen: bool = True
-    priority: Callable[[], Column] | None = None
-    init: Callable[[], Column] | None = None
-
-    def prio(self) -> Column:
-        return self.priority() if self.priority else F.col("value")
 
 
 @dataclass(frozen=True)

@@ -26,8 +26,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 SQL: dict[str, str] = {}
 
 ROAD, SOCIAL, SOCIAL_LOG = O.road(28), O.social(), O.social(True)
-#: A bucket width that suits the lattice, whose weights are 500 and more.
-WIDE = Schedule(delta=65_536)
 
 
 def register(name: str, sql: str | None = None):
@@ -46,7 +44,7 @@ def _sssp(name: str, graph: Callable, sql_graph: str, source: int, schedule: Sch
 
 # Shortest paths -----------------------------------------------------------------------------------------------
 _sssp("sssp_fused", G.g_road, ROAD, 0, Schedule(update="eager_fused", delta=16_384))
-_sssp("sssp_eager", G.g_road, ROAD, 0, PRESETS["eager_plain"].with_(delta=131_072, blocks=4))
+_sssp("sssp_eager", G.g_web, O.WEB, 0, PRESETS["eager_plain"].with_(delta=512, blocks=4))
 _sssp("sssp_lazy", G.g_social, SOCIAL, 0, Schedule(delta=32))
 _sssp("sssp_pull", G.g_social, SOCIAL, 0, Schedule(delta=64, direction="pull"))
 _sssp("sssp_auto", G.g_social, SOCIAL, 0, Schedule(delta=64, direction="auto"))
@@ -55,7 +53,7 @@ _sssp("sssp_edge_balanced", G.g_social, SOCIAL, 0, Schedule(delta=64, balance="e
 _sssp("sssp_delta_16", G.g_social, SOCIAL, 0, Schedule(delta=16))
 _sssp("sssp_delta_1024", G.g_social, SOCIAL, 0, Schedule(delta=1024))
 _sssp("sssp_delta_1", G.g_social, SOCIAL, 0, Schedule(update="eager_fused", delta=1))
-_sssp("sssp_hops", G.g_road, ROAD, 0, Schedule(delta=65_536, plan_hops=6))
+_sssp("sssp_hops", G.g_social, SOCIAL, 0, Schedule(delta=64, plan_hops=3))
 _sssp("sssp_overflow", G.g_social, SOCIAL, 0, Schedule(delta=16, open_buckets=4))
 _sssp("sssp_lazy_callback", G.g_social, SOCIAL, 0, PRESETS["lazy_callback"].with_(delta=64))
 _sssp("sssp_hash_blocks", G.g_social, SOCIAL, 0, Schedule(update="eager_fused", delta=32, layout="hash"))
@@ -135,10 +133,10 @@ def astar_lattice(s, d):
     return P.distance_to(P.astar(g, 0, t, H.manhattan(g.vertices, t, 500), Schedule(update="eager_fused", delta=4096)), 0, t)
 
 
-@register("astar_lazy", _mid(ROAD))
+@register("astar_lazy", O.distances(O.road(182), 0, "SELECT 0::BIGINT AS source, 100::BIGINT AS target, (SELECT dist FROM d WHERE id = 100) AS dist"))
 def astar_lazy(s, d):
-    g = G.g_road(s, d)
-    return P.distance_to(P.astar(g, 0, 500, H.manhattan(g.vertices, 500, 500), WIDE.with_(plan_hops=6)), 0, 500)
+    g = G.g_road(s, d, 182)
+    return P.distance_to(P.astar(g, 0, 100, H.manhattan(g.vertices, 100, 500), Schedule(delta=16_384)), 0, 100)
 
 
 @register("astar_vector", O.distances(O.VEC, 0, "SELECT 0::BIGINT AS source, 7::BIGINT AS target, (SELECT dist FROM d WHERE id = 7) AS dist"))
@@ -155,7 +153,7 @@ def astar_unordered(s, d):
 
 @register("astar_vs_ppsp_visited", "SELECT true AS same, true AS fewer")
 def astar_vs_ppsp_visited(s, d):
-    g, how = G.g_road(s, d), Schedule(delta=2048, update="eager_fused")
+    g, how = G.g_road(s, d), Schedule(delta=8192, update="eager_fused")
     a = P.astar(g, 0, 500, H.manhattan(g.vertices, 500, 500), how)
     b = P.ppsp(g, 0, 500, how, prune=False)
     x, y = (r.state.where("id = 500").first()["value"] for r in (a, b))
@@ -232,7 +230,7 @@ def greedy_cover_supplier(s, d):
 # Measures -------------------------------------------------------------------------------------------------------
 @register("fusion_rounds", "SELECT true AS same, true AS fewer_rounds")
 def fusion_rounds(s, d):
-    return V.fusion(G.g_road(s, d), 0, 131_072)
+    return V.fusion(G.g_road(s, d, 182), 0, 16_384)
 
 
 @register("update_modes", "SELECT 0::BIGINT AS mismatches, true AS counts_fewer_inserts")
@@ -247,7 +245,7 @@ def delta_sweep(s, d):
 
 @register("work_efficiency", "SELECT true AS ordered_relaxes_less")
 def work_efficiency(s, d):
-    return V.work(G.g_road(s, d, 56, True), 0)
+    return V.work(G.g_road(s, d, 182, True), 0)
 
 
 @register("order_of_buckets", "SELECT true AS monotone, true AS rounds_at_least_buckets, 0::BIGINT AS violations")

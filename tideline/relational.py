@@ -49,11 +49,11 @@ def neighbors_broadcast(s, d):
     return G.g_social(s, d).edges.join(F.broadcast(ids), "src").select("src", "dst", "weight")
 
 
-@register("merge_state", O.plain(ROAD, "SELECT coalesce(a.id, b.id) AS id, a.o, b.i FROM (SELECT src AS id, count(*) AS o FROM edges WHERE src < dst GROUP BY src) a FULL JOIN (SELECT dst AS id, count(*) AS i FROM edges WHERE src < dst GROUP BY dst) b ON a.id = b.id"))
+@register("merge_state", O.plain(ROAD, "SELECT coalesce(a.id, b.id) AS id, coalesce(a.o, 0) AS o, coalesce(b.i, 0) AS i FROM (SELECT src AS id, count(*) AS o FROM edges WHERE src < dst GROUP BY src) a FULL JOIN (SELECT dst AS id, count(*) AS i FROM edges WHERE src < dst GROUP BY dst) b ON a.id = b.id"))
 def merge_state(s, d):
     e = G.g_road(s, d).edges.where("src < dst")
     a = e.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("o"))
-    return a.join(e.groupBy(F.col("dst").alias("id")).agg(F.count(F.lit(1)).alias("i")), "id", "full_outer").select("id", "o", "i")
+    return a.join(e.groupBy(F.col("dst").alias("id")).agg(F.count(F.lit(1)).alias("i")), "id", "full_outer").select("id", F.coalesce("o", F.lit(0)).alias("o"), F.coalesce("i", F.lit(0)).alias("i"))
 
 
 @register("reachable_semi", "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)")
@@ -80,7 +80,7 @@ def knn_exact(s, d):
 @register("event_next_asof", "SELECT event_id, (SELECT min(b.ts) FROM events b WHERE b.user_id = a.user_id AND b.ts > a.ts) AS next_ts FROM events a")
 def event_next_asof(s, d):
     e = table(s, d, "events").select("event_id", "user_id", "ts")
-    w = W.partitionBy("user_id").orderBy(F.unix_micros("ts")).rangeBetween(1, W.unboundedFollowing)
+    w = W.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(1, W.unboundedFollowing)
     return e.select("event_id", F.min("ts").over(w).alias("next_ts"))
 
 
@@ -108,9 +108,9 @@ def edge_weight_cube(s, d):
     return x.cube("r_name", "c_mktsegment").agg(F.count(F.lit(1)).alias("n"), F.sum("p").alias("w"), F.grouping_id().alias("level"))
 
 
-@register("edge_weight_rollup", "SELECT n_regionkey, c_nationkey, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_nationkey)")
+@register("edge_weight_rollup", "SELECT coalesce(n_regionkey, -1) AS region, coalesce(c_nationkey, -1) AS nation, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_nationkey)")
 def edge_weight_rollup(s, d):
-    return table(s, d, "customer").join(table(s, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).rollup("n_regionkey", "c_nationkey").agg(F.count(F.lit(1)).alias("n"))
+    return table(s, d, "customer").join(table(s, d, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).rollup("n_regionkey", "c_nationkey").agg(F.count(F.lit(1)).alias("n")).select(F.coalesce("n_regionkey", F.lit(-1)).alias("region"), F.coalesce("c_nationkey", F.lit(-1)).alias("nation"), "n")
 
 
 @register("bucket_prefix_sum", O.plain(SOCIAL, "SELECT bucket, n, CAST(sum(n) OVER (ORDER BY bucket) AS BIGINT) AS upto FROM (SELECT weight // 64 AS bucket, count(*) AS n FROM edges GROUP BY 1)"))

@@ -199,7 +199,7 @@ def g_vec(spark: SparkSession, sf_dir: str, k: int = 5) -> Graph:
 def g_time(spark: SparkSession, sf_dir: str) -> Graph:
     """Each event to the next one of its user and the next one of its type; weight = whole seconds between + 1."""
     ev = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
-    seconds = lambda a, b: F.floor((F.unix_micros(b) - F.unix_micros(a)) / 1_000_000).cast("long") + 1
+    seconds = lambda a, b: F.floor((F.unix_micros(b.cast("timestamp")) - F.unix_micros(a.cast("timestamp"))) / 1_000_000).cast("long") + 1
     parts = []
     for key in ("user_id", "event_type"):
         w = W.partitionBy(key).orderBy("ts", "event_id")
