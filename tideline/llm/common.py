@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import re
+from array import array
 from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
 
@@ -21,6 +22,8 @@ _CHUNK = re.compile(f"[{_SPACE}]*[^{_SPACE}]+|[{_SPACE}]+")
 #: For RE2: two white characters in a row, or the mark that splits chunks.
 _ODD = "[" + re.sub(r"\\[xu]([0-9a-f]+)", r"\\x{\1}", _SPACE) + "]{2}|\\x00"
 
+_ENDED = r"([A-Za-z])([!-@\[-`{-~])"
+
 #: Distinct chunks that a worker remembers before it forgets them all; a bound of memory, not of results.
 MEMO_LIMIT = 1_000_000
 
@@ -35,18 +38,28 @@ def _tokenizer(path: str):
 class ChunkEncoder:
     """Token ids of whole texts, the same as ``encode(text, add_special_tokens=False)`` of the library.
 
-    Both vocabularies split a text before every run of white space that follows something else, whatever
-    stands around it. So a text's ids are the ids of its chunks (white space, then the rest) in their order, and a
+    Both vocabularies split a text before every run of white space that follows something else, and after a letter that
+    an ASCII digit or sign follows, whatever stands around it. So a text's ids are the ids of its chunks (white space, then the rest) in their order, and a
     chunk that was seen before needs no second encoding. Arrow splits the texts and numbers the distinct chunks.
     """
 
     def __init__(self, path: str, limit: int = MEMO_LIMIT):
         self.tok, self.limit, self.memo = _tokenizer(path), limit, {}
+        added = [re.escape(t.content) for t in self.tok.get_added_tokens_decoder().values()]
+        self.odd = "|".join([_ODD, *added])
+        ids = lambda t: self.tok.encode(t, add_special_tokens=False).ids
+        self.folds = "Lowercase()" in repr(self.tok.normalizer) and not ids(" \n\t") and ids(" Ab") == ids("ab") == ids("\nAB")
+
+    def _key(self, chunk: str) -> str:
+        """Chunks with the same key have the same ids: some vocabularies drop white space and case. Other letters than
+        ASCII stay as they are, since their case depends on more than the letter."""
+        return chunk.strip(" \t\n\r").lower() if self.folds and chunk.isascii() else chunk
 
     def _chunks(self, texts: pa.Array) -> pa.ListArray:
-        odd = pc.match_substring_regex(texts, _ODD)
+        odd = pc.match_substring_regex(texts, self.odd)
         marked = pc.replace_substring(pc.replace_substring(texts, " ", "\0 "), "\n", "\0\n")
-        split = pc.split_pattern(marked, "\0")
+        # No token of either vocabulary holds a letter and then an ASCII character that isn't one.
+        split = pc.split_pattern(pc.replace_substring_regex(marked, _ENDED, "\\1\0\\2"), "\0")
         if not pc.any(odd).as_py():
             return split
         own = iter([_CHUNK.findall(t) for t in texts.filter(odd).to_pylist()])
@@ -61,11 +74,13 @@ class ChunkEncoder:
         chunks = self._chunks(texts)
         coded = chunks.flatten().dictionary_encode()
         words = coded.dictionary.to_pylist()
-        new = [c for c in words if c not in memo]
+        if self.folds:
+            words = [*map(self._key, words)]
+        new = list({c for c in words if c not in memo})
         for at in range(0, len(new), 20_000):
             some = new[at : at + 20_000]
             for c, e in zip(some, self.tok.encode_batch_fast(some, add_special_tokens=False)):
-                memo[c] = np.array(e.ids, dtype="<u4").tobytes()
+                memo[c] = array("I", e.ids).tobytes()
         ids = [memo[c] for c in words]
         pool = np.frombuffer(b"".join(ids), dtype="<u4")
         size = np.fromiter(map(len, ids), "i8", len(ids)) // 4
