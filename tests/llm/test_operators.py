@@ -166,7 +166,9 @@ def test_packing(docs, empty):
         ends = np.cumsum([0] + [n for _, n in sorted(s)])
         assert [o for o, _ in sorted(s)] == ends[:-1].tolist() and ends[-1] <= 256
     totals = [sum(n for _, n in s) for s in seqs.values()]
-    assert sum(0 if n & (n - 1) == 0 else 256 - n for n in totals) < 0.05 * sum(totals)
+    # A group of 8 windows, and the last group of each of the 3 tasks, may have risen by one window.
+    groups = sum(totals) // (8 * 256) + 3
+    assert sum(0 if n & (n - 1) == 0 else 256 - n for n in totals) <= 256 * groups
     for d, t in {r[:2] for r in corpus() if r[0] not in (7, None)}:
         want = np.array([*tok.encode(t or "", add_special_tokens=False).ids, 1], "<u4").tobytes()
         assert b"".join(x for _, x, _ in sorted(by_doc[d])) == want and {n for *_, n in by_doc[d]} == {len(want) // 4}

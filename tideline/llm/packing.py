@@ -74,6 +74,8 @@ def difference(sizes: list[int], k: int) -> list[list[int]]:
 
 def fill(sizes: list[int], capacity: int) -> list[list[int]]:
     """Groups of ``sizes`` of at most ``capacity``: the fewest windows that differencing can do, from the least possible."""
+    if not sizes:
+        return []
     k = max(1, -(-sum(sizes) // capacity))
     while True:
         groups = difference(sizes, k)
