@@ -52,7 +52,7 @@ _sssp("sssp_salted", G.g_social, SOCIAL, 0, Schedule(delta=64, balance="salted")
 _sssp("sssp_edge_balanced", G.g_social, SOCIAL, 0, Schedule(delta=64, balance="edge"))
 _sssp("sssp_delta_16", G.g_social, SOCIAL, 0, Schedule(delta=16))
 _sssp("sssp_delta_1024", G.g_social, SOCIAL, 0, Schedule(delta=1024))
-_sssp("sssp_delta_1", G.g_social, SOCIAL, 0, Schedule(update="eager_fused", delta=1))
+_sssp("sssp_delta_1", lambda s, d: G.g_social(s, d, True), SOCIAL_LOG, 0, Schedule(delta=1))
 _sssp("sssp_hops", G.g_social, SOCIAL, 0, Schedule(delta=64, plan_hops=3))
 _sssp("sssp_overflow", G.g_social, SOCIAL, 0, Schedule(delta=16, open_buckets=4))
 _sssp("sssp_lazy_callback", G.g_social, SOCIAL, 0, PRESETS["lazy_callback"].with_(delta=64))
