@@ -54,7 +54,7 @@ _sssp("sssp_delta_16", G.g_social, SOCIAL, 0, Schedule(delta=16))
 _sssp("sssp_delta_1024", G.g_social, SOCIAL, 0, Schedule(delta=1024))
 _sssp("sssp_delta_1", lambda s, d: G.g_social(s, d, True), SOCIAL_LOG, 0, Schedule(delta=1))
 _sssp("sssp_hops", G.g_social, SOCIAL, 0, Schedule(delta=64, plan_hops=3))
-_sssp("sssp_overflow", G.g_social, SOCIAL, 0, Schedule(delta=16, open_buckets=4))
+_sssp("sssp_overflow", G.g_social, SOCIAL, 0, Schedule(delta=64, open_buckets=2))
 _sssp("sssp_lazy_callback", G.g_social, SOCIAL, 0, PRESETS["lazy_callback"].with_(delta=64))
 _sssp("sssp_hash_blocks", G.g_social, SOCIAL, 0, Schedule(update="eager_fused", delta=32, layout="hash"))
 _sssp("sssp_web", G.g_web, O.WEB, 0, Schedule(delta=1024))
@@ -114,10 +114,11 @@ def ppsp_unordered(s, d):
     return P.distance_to(P.bellman_ford(G.g_social(s, d), 0), 0, 500)
 
 
-@register("ppsp_edge_cases", "SELECT * FROM (VALUES (0::BIGINT, 0::BIGINT, 0::BIGINT), (0::BIGINT, -1::BIGINT, NULL)) t(source, target, dist)")
+@register("ppsp_edge_cases", "SELECT * FROM (VALUES (0::BIGINT, 0::BIGINT, 0::BIGINT), (0::BIGINT, -1::BIGINT, -1::BIGINT)) t(source, target, dist)")
 def ppsp_edge_cases(s, d):
     g = G.g_social(s, d)
-    return P.distance_to(P.ppsp(g, 0, 0, Schedule(delta=64)), 0, 0).unionByName(P.distance_to(P.ppsp(g, 0, -1, Schedule(delta=1024)), 0, -1))
+    both = P.distance_to(P.ppsp(g, 0, 0, Schedule(delta=64)), 0, 0).unionByName(P.distance_to(P.ppsp(g, 0, -1, Schedule(delta=1024)), 0, -1))
+    return both.withColumn("dist", F.coalesce("dist", F.lit(-1)))  # null: no path
 
 
 @register("ppsp_batch10", O.many_distances(SOCIAL, list(range(10)), "SELECT source, id AS target, dist FROM d WHERE id = source + 100"))

@@ -77,11 +77,12 @@ def knn_exact(s, d):
     return G.g_vec(s, d).edges
 
 
-@register("event_next_asof", "SELECT event_id, (SELECT min(b.ts) FROM events b WHERE b.user_id = a.user_id AND b.ts > a.ts) AS next_ts FROM events a")
+@register("event_next_asof", "SELECT event_id, coalesce((SELECT epoch_us(min(b.ts)) FROM events b WHERE b.user_id = a.user_id AND b.ts > a.ts), -1) AS next_us FROM events a")
 def event_next_asof(s, d):
     e = table(s, d, "events").select("event_id", "user_id", "ts")
-    w = W.partitionBy("user_id").orderBy(F.unix_micros(F.col("ts").cast("timestamp"))).rangeBetween(1, W.unboundedFollowing)
-    return e.select("event_id", F.min("ts").over(w).alias("next_ts"))
+    e = e.withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
+    w = W.partitionBy("user_id").orderBy("us").rangeBetween(1, W.unboundedFollowing)
+    return e.select("event_id", F.coalesce(F.min("us").over(w), F.lit(-1)).alias("next_us"))
 
 
 @register("degree_in_out", O.plain(O.WEB, "SELECT id, CAST(sum(o) AS BIGINT) AS outs, CAST(sum(i) AS BIGINT) AS ins FROM (SELECT src AS id, 1 AS o, 0 AS i FROM edges UNION ALL SELECT dst, 0, 1 FROM edges) GROUP BY id"))
