@@ -69,21 +69,23 @@ def super_kmers(words: list[bytes], window: int = 50, gram: int = 16) -> tuple[n
 
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.unhex(F.sha2(F.col(text_col).cast("binary"), 256)).alias("th"))
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col).cast("string")).alias("tag"))
 
 
 def _first_pass(keyed: DataFrame, window: int, gram: int) -> DataFrame:
-    schema = "doc_id long, th binary, mz array<long>, at array<long>, n array<long>"
+    schema = "doc_id long, tag long, th binary, mz array<long>, at array<long>, n array<long>"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(batches, "text"):
-            found = [super_kmers(t.encode().split() if t else [], window, gram) for t in b["text"].to_pylist()]
+            raw = [t.encode() for t in b["text"].to_pylist()]
+            found = [super_kmers(t.split(), window, gram) for t in raw]
             keep = [i for i, f in enumerate(found) if len(f[0])]
             if not keep:
                 continue
             ends = np.r_[0, np.cumsum([len(found[i][0]) for i in keep])].astype("i4")
             cols = [pa.ListArray.from_arrays(ends, np.concatenate([found[i][c] for i in keep])) for c in range(3)]
-            yield pa.record_batch([b["doc_id"].take(pa.array(keep)), b["th"].take(pa.array(keep)), *cols], names=["doc_id", "th", "mz", "at", "n"])
+            whole = pa.array([hashlib.sha256(raw[i]).digest() for i in keep], pa.binary())
+            yield pa.record_batch([b["doc_id"].take(pa.array(keep)), b["tag"].take(pa.array(keep)), whole, *cols], names=["doc_id", "tag", "th", "mz", "at", "n"])
 
     return keyed.where("doc_id is not null and text is not null").mapInArrow(rows, schema)
 
@@ -178,14 +180,21 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
     """``[doc_id, text, n_words, n_removed, kept]`` for each row of ``docs``; kept joins the words left by a space."""
     keyed = _keyed(docs, id_col, text_col)
     first = cut(_first_pass(keyed, window, gram))
-    leads = cut(first.groupBy("th").agg(F.min("doc_id").alias("doc_id")))
-    kmers = first.join(leads, ["doc_id", "th"], "left_semi").select("doc_id", "th", F.explode(F.arrays_zip("mz", "at", "n")).alias("r")).select("doc_id", "th", "r.mz", "r.at", "r.n")
+    # Ids and a short tag of the text name a document from here on; the digest only brings copies together.
+    leads = cut(first.groupBy("th").agg(F.min(F.struct("doc_id", "tag")).alias("d")).select("d.doc_id", "d.tag"))
+    kmers = first.join(leads, ["doc_id", "tag"], "left_semi").select("doc_id", "tag", F.explode(F.arrays_zip("mz", "at", "n")).alias("r")).select("doc_id", "tag", "r.mz", "r.at", "r.n")
     shared = kmers.groupBy("mz").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo < hi").select("mz", (F.col("c") > hot).alias("hot"))
-    asked = kmers.join(shared, "mz").groupBy("doc_id", "th").agg(F.collect_set(F.struct("mz", "hot", "at", "n")).alias("runs"))
-    packed = cut(_pack(keyed.join(asked, ["doc_id", "th"]).select("doc_id", "text", "runs"), window))
-    spans = _sorted_buckets(packed.where("not hot"), window).unionByName(_hot_windows(packed.where("hot"), window))
+    asked = kmers.join(shared, "mz").groupBy("doc_id", "tag").agg(F.collect_set(F.struct("mz", "hot", "at", "n")).alias("runs"))
+    # Both kinds of run and the last join read one shuffle of the texts.
+    texts = keyed.where("doc_id is not null and text is not null")
+
+    def packed(hot_ones: bool) -> DataFrame:
+        own = asked.withColumn("runs", F.filter("runs", lambda r: r["hot"] == F.lit(hot_ones))).where(F.size("runs") > 0)
+        return _pack(texts.join(own, ["doc_id", "tag"]).select("doc_id", "text", "runs"), window)
+
+    spans = _sorted_buckets(packed(False), window).unionByName(_hot_windows(packed(True), window))
     spans = spans.groupBy("doc_id").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
-    judged = leads.join(spans, "doc_id", "left").select("doc_id", "th", F.coalesce("spans", F.array().cast("array<struct<s:long,e:long>>")).alias("spans"))
+    judged = leads.join(spans, "doc_id", "left").select("doc_id", "tag", F.coalesce("spans", F.array().cast("array<struct<s:long,e:long>>")).alias("spans"))
     # A text that isn't the first of its copies has each of its windows in the first one.
     schema = "doc_id long, text string, n_words long, n_removed long, kept string"
 
@@ -207,7 +216,8 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
             cols = list(zip(*out))
             yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string()))], names=["doc_id", "text", "n_words", "n_removed", "kept"])
 
-    return keyed.join(judged, ["doc_id", "th"], "left").select("doc_id", "text", "spans").mapInArrow(rows, schema)
+    bare = keyed.where("doc_id is null or text is null").select("doc_id", "text", F.lit(None).cast("array<struct<s:long,e:long>>").alias("spans"))
+    return texts.join(judged, ["doc_id", "tag"], "left").select("doc_id", "text", "spans").unionByName(bare).mapInArrow(rows, schema)
 
 
 def digest(kept: str) -> str:
