@@ -185,7 +185,7 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
     kmers = first.join(leads, ["doc_id", "tag"], "left_semi").select("doc_id", "tag", F.explode(F.arrays_zip("mz", "at", "n")).alias("r")).select("doc_id", "tag", "r.mz", "r.at", "r.n")
     shared = kmers.groupBy("mz").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo < hi").select("mz", (F.col("c") > hot).alias("hot"))
     asked = kmers.join(shared, "mz").groupBy("doc_id", "tag").agg(F.collect_set(F.struct("mz", "hot", "at", "n")).alias("runs"))
-    # Both kinds of run and the last join read one shuffle of the texts.
+    # Both kinds of run read one shuffle of the texts.
     texts = keyed.where("doc_id is not null and text is not null")
 
     def packed(hot_ones: bool) -> DataFrame:
