@@ -129,6 +129,13 @@ def test_a_push_round_has_one_exchange_and_a_pull_none(spark):
     assert "BatchEvalPython" not in push and "ArrowEvalPython" not in push
 
 
+def test_an_inconsistent_estimate_is_counted(spark):
+    g = Graph(edges_frame(spark, [(0, 1, 1), (1, 2, 1)]))
+    jump = spark.createDataFrame([(0, 9), (1, 0), (2, 0)], "id long, h long")
+    assert P.astar(g, 0, 2, jump).metrics.violations > 0
+    assert P.sssp(g, 0).metrics.violations == 0
+
+
 def test_fusion_takes_fewer_rounds(spark):
     chain = [(i, i + 1, 1) for i in range(30)] + [(i + 1, i, 1) for i in range(30)]
     g = Graph(edges_frame(spark, chain))

@@ -226,7 +226,9 @@ def merge(q: BucketQueue, msgs: DataFrame, bound: int | None) -> DataFrame:
         changed = "(active AND NOT __popped AND new IS NOT NULL" + (")" if floor is None else f" AND value <> {floor})")
         return s.selectExpr("id", f"CASE WHEN {changed} THEN {moved} ELSE value END AS value", "h", "active AND NOT __popped AS active", settled, "coalesce(n, 0) AS __n", f"{changed} AS __changed", "__popped")
     ch = better_sql(rule.kind, bound)
-    return s.selectExpr("id", f"CASE WHEN {ch} THEN new ELSE value END AS value", "h", f"{ch} OR (active AND NOT __popped) AS active", settled, "coalesce(n, 0) AS __n", f"{ch} AS __changed", "__popped")
+    # An accepted offer before the bucket in hand breaks the order: a negative weight, or an estimate that isn't consistent.
+    back = f"{ch} AND {bucket_sql(q.schedule.delta, 'new + h')} {'<' if q.program.spec.order == 'low' else '>'} {q.cur}"
+    return s.selectExpr("id", f"CASE WHEN {ch} THEN new ELSE value END AS value", "h", f"{ch} OR (active AND NOT __popped) AS active", settled, "coalesce(n, 0) AS __n", f"{ch} AS __changed", "__popped", f"coalesce({back}, false) AS __back")
 
 
 def chained_hops(q: BucketQueue, graph: Graph, hops: int, bound: int | None) -> DataFrame:
@@ -417,7 +419,7 @@ def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool) -> dict:
     """Writes the new state, reads the round's counters, and moves the queue to the next bucket."""
     has = set(q.state.columns)
     cols = q.counters(watch)
-    for c, name in (("__n", "sent"), ("__changed", "moved"), ("__popped", "popped")):
+    for c, name in (("__n", "sent"), ("__changed", "moved"), ("__popped", "popped"), ("__back", "back")):
         cols.append(F.expr(f"sum(cast({c if c in has else 0} AS long)) AS {name}"))
     if eager:
         cols.append(F.collect_set(F.when(F.col("active"), F.col("block"))).alias("blocks"))
@@ -430,7 +432,7 @@ def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool) -> dict:
         state = cut(q.state.observe(seen, *cols))
         view = seen.get
         m.jobs += 1
-    q.state = state.drop("__n", "__changed", "__popped")
+    q.state = state.drop("__n", "__changed", "__popped", "__back")
     q.cur = view["next"]
     if eager and m.rounds and q.cur is not None:
         # only blocks with a vertex in the bucket in hand take part
@@ -443,6 +445,7 @@ def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool) -> dict:
         m.relaxations += view["sent"] or 0
         m.inserts += view["moved"] or 0
         m.visited += view["popped"] or 0
+        m.violations += view["back"] or 0
     return view
 
 
@@ -485,7 +488,7 @@ class _Overflow:
         prio = _div(F.col("new") + F.col("h"), q.schedule.delta)
         self.log.append(cut(hit.where(~self._inside(q, prio)).select("id", "new")))
         near = merge(q, msgs, bound)
-        moved = hit.where(self._inside(q, prio)).select("id", F.col("new").alias("value"), "h", F.lit(True).alias("active"), F.lit(None).cast("long").alias("settled_at"), F.col("n").alias("__n"), F.lit(True).alias("__changed"), F.lit(False).alias("__popped"))
+        moved = hit.where(self._inside(q, prio)).select("id", F.col("new").alias("value"), "h", F.lit(True).alias("active"), F.lit(None).cast("long").alias("settled_at"), F.col("n").alias("__n"), F.lit(True).alias("__changed"), F.lit(False).alias("__popped"), F.lit(False).alias("__back"))
         return near.unionByName(moved).repartition(graph.P, "id")
 
     def reopen(self, q: BucketQueue, m: Metrics, watch: int | None) -> dict:
