@@ -28,6 +28,17 @@ _ENDED = r"([A-Za-z])([!-@\[-`{-~])"
 MEMO_LIMIT = 1_000_000
 
 
+#: What a worker remembers for each operator, by name: how to forget it.
+MEMORIES: dict[str, Callable[[], None]] = {}
+
+
+def only(name: str) -> None:
+    """Called where an operator's task begins: a worker that served another one before forgets what that remembered."""
+    for other, forget in MEMORIES.items():
+        if other != name:
+            forget()
+
+
 @lru_cache(maxsize=4)
 def _tokenizer(path: str):
     from tokenizers import Tokenizer
@@ -96,9 +107,13 @@ class ChunkEncoder:
 @lru_cache(maxsize=2)
 def encoder(path: str) -> ChunkEncoder:
     """The worker's encoder for a vocabulary; its memory outlives a task."""
+    only("encoder")
     return ChunkEncoder(path)
 
 
+MEMORIES["encoder"] = encoder.cache_clear
+
+
 def pieces(batches: Iterable[pa.RecordBatch], text: str, max_bytes: int = 4 << 20) -> Iterator[pa.RecordBatch]:
     """The rows of the batches again, in slices that hold about ``max_bytes`` of text or a single row."""
     for b in batches:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tideline.llm.common import pieces
+from tideline.llm.common import MEMORIES, only, pieces
 
 UNKNOWN = "und"
 _GAP = 1
@@ -113,9 +113,13 @@ class Space:
 
 @lru_cache(maxsize=2)
 def space(dim: int, gram: int, seed: int) -> Space:
+    only("space")
     return Space(dim, gram, seed)
 
 
+MEMORIES["space"] = space.cache_clear
+
+
 def train(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", dim: int = 1024, gram: int = 3, seed: int = 7, max_languages: int = 1000) -> dict[str, np.ndarray]:
     """Prototype of each non-null language of ``docs``: the sum of its documents' vectors, each of length one."""
 

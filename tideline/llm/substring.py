@@ -27,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tideline.llm.common import pieces, runs
+from tideline.llm.common import MEMORIES, only, pieces, runs
 from tideline.sources.tables import cut
 
 _MULT = np.uint64(0x9E3779B97F4A7C15)
@@ -44,6 +44,7 @@ class _WordHash(dict):
 
 
 _HASHES = _WordHash()
+MEMORIES["word hashes"] = _HASHES.clear
 
 
 def super_kmers(words: list[bytes], window: int = 50, gram: int = 16) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -76,6 +77,7 @@ def _first_pass(keyed: DataFrame, window: int, gram: int) -> DataFrame:
     schema = "doc_id long, tag long, th binary, mz array<long>, at array<long>, n array<long>"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("word hashes")
         for b in pieces(batches, "text"):
             raw = [t.encode() for t in b["text"].to_pylist()]
             found = [super_kmers(t.split(), window, gram) for t in raw]
