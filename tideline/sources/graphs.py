@@ -234,7 +234,7 @@ def s_neighbours(graph: Graph) -> DataFrame:
 def s_document(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Documents cover their lower-case ASCII words of four letters and more, by a stable hash of the word."""
     word = F.explode(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]{4,}"), 0))
-    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("set_id"), F.xxhash64(word).alias("elem_id")).distinct()
+    return table(spark, sf_dir, "documents").select(F.col("doc_id").alias("set_id"), word.alias("w")).select("set_id", F.xxhash64("w").alias("elem_id")).distinct()
 
 
 def supplier_costs(spark: SparkSession, sf_dir: str) -> DataFrame:
