@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import os
 import re
 from array import array
 from collections.abc import Callable, Iterable, Iterator
@@ -24,8 +26,8 @@ _ODD = "[" + re.sub(r"\\[xu]([0-9a-f]+)", r"\\x{\1}", _SPACE) + "]{2}|\\x00"
 
 _ENDED = r"([A-Za-z])([!-@\[-`{-~])"
 
-#: Distinct chunks that a worker remembers before it forgets them all; a bound of memory, not of results.
-MEMO_LIMIT = 1_000_000
+#: Distinct chunks of a generation that a worker remembers; it keeps two generations. A bound of memory, not of results.
+MEMO_LIMIT = 300_000
 
 
 #: What a worker remembers for each operator, by name: how to forget it.
@@ -37,10 +39,16 @@ def only(name: str) -> None:
     for other, forget in MEMORIES.items():
         if other != name:
             forget()
+    # Free memory goes back to the machine, which the JVM and other workers share.
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
 
 
 @lru_cache(maxsize=4)
 def _tokenizer(path: str):
+    # A task has one core; threads of the library would only cost memory.
+    os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
     return Tokenizer.from_file(path)
@@ -52,10 +60,12 @@ class ChunkEncoder:
     Both vocabularies split a text before every run of white space that follows something else, and after a letter that
     an ASCII digit or sign follows, whatever stands around it. So a text's ids are the ids of its chunks (white space, then the rest) in their order, and a
     chunk that was seen before needs no second encoding. Arrow splits the texts and numbers the distinct chunks.
+
+    Over ``limit`` chunks the memory becomes the old one, and what is in neither is encoded anew: frequent chunks stay.
     """
 
     def __init__(self, path: str, limit: int = MEMO_LIMIT):
-        self.tok, self.limit, self.memo = _tokenizer(path), limit, {}
+        self.tok, self.limit, self.memo, self.old = _tokenizer(path), limit, {}, {}
         added = [re.escape(t.content) for t in self.tok.get_added_tokens_decoder().values()]
         self.odd = "|".join([_ODD, *added])
         ids = lambda t: self.tok.encode(t, add_special_tokens=False).ids
@@ -78,18 +88,21 @@ class ChunkEncoder:
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids as one uint32 array, and where each text's ids begin in it (with the end); null is an empty text."""
-        memo = self.memo
-        if len(memo) > self.limit:
-            memo.clear()
+        if len(self.memo) > self.limit:
+            self.memo, self.old = {}, self.memo
+        memo, old = self.memo, self.old
         texts = texts.cast(pa.large_string()).fill_null("")
         chunks = self._chunks(texts)
         coded = chunks.flatten().dictionary_encode()
         words = coded.dictionary.to_pylist()
         if self.folds:
             words = [*map(self._key, words)]
+        for c in words:
+            if c not in memo and c in old:
+                memo[c] = old[c]
         new = list({c for c in words if c not in memo})
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
+        for at in range(0, len(new), 2000):
+            some = new[at : at + 2000]
             for c, e in zip(some, self.tok.encode_batch_fast(some, add_special_tokens=False)):
                 memo[c] = array("I", e.ids).tobytes()
         ids = [memo[c] for c in words]
@@ -114,7 +127,7 @@ def encoder(path: str) -> ChunkEncoder:
 MEMORIES["encoder"] = encoder.cache_clear
 
 
-def pieces(batches: Iterable[pa.RecordBatch], text: str, max_bytes: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def pieces(batches: Iterable[pa.RecordBatch], text: str, max_bytes: int = 1 << 20) -> Iterator[pa.RecordBatch]:
     """The rows of the batches again, in slices that hold about ``max_bytes`` of text or a single row."""
     for b in batches:
         if not b.num_rows:

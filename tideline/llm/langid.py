@@ -57,7 +57,7 @@ class Space:
         self.dim, self.gram, self.seed, self.limit = dim, gram, seed, limit
         self.letters: dict[int, np.ndarray] = {}
         self.keys = np.empty(0, np.int64)
-        self.grams = np.empty((0, dim), np.float32)
+        self.grams = np.empty((0, dim), np.int8)
 
     def letter(self, c: int) -> np.ndarray:
         if c not in self.letters:
@@ -68,7 +68,7 @@ class Space:
         out = np.ones(self.dim, np.int8)
         for place in range(self.gram):
             out = out * np.roll(self.letter(key >> (21 * (self.gram - 1 - place)) & 0x1FFFFF), place)
-        return out.astype(np.float32)
+        return out
 
     def rows(self, keys: np.ndarray) -> np.ndarray:
         """Places of n-grams (sorted, distinct keys) in ``grams``."""
@@ -79,7 +79,7 @@ class Space:
             new = np.setdiff1d(keys, old[0], assume_unique=True)
             allk = np.r_[old[0], new]
             order = np.argsort(allk, kind="stable")
-            made = np.array([self._bind(k) for k in new.tolist()], np.float32).reshape(len(new), self.dim)
+            made = np.array([self._bind(k) for k in new.tolist()], np.int8).reshape(len(new), self.dim)
             self.keys, self.grams = allk[order], np.concatenate([old[1], made])[order]
             at = np.searchsorted(self.keys, keys)
         return at
@@ -107,7 +107,7 @@ class Space:
             doc, gram = pair // len(distinct), where[pair % len(distinct)]
             cuts = np.r_[0, np.flatnonzero(np.diff(doc)) + 1, len(doc)]
             for s, e in zip(cuts[:-1], cuts[1:]):
-                out[doc[s]] = count[s:e].astype(np.float32) @ self.grams[gram[s:e]]
+                out[doc[s]] = count[s:e].astype(np.float32) @ self.grams[gram[s:e]].astype(np.float32)
         return out, has
 
 
