@@ -26,6 +26,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from tideline.llm.common import MEMORIES, only, pieces, runs
 from tideline.sources.tables import cut
@@ -69,8 +70,21 @@ def super_kmers(words: list[bytes], window: int = 50, gram: int = 16) -> tuple[n
     return m[first].view(np.int64), first, np.diff(np.r_[first, n])
 
 
-def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"), F.xxhash64(F.col(text_col).cast("string")).alias("tag"))
+def _keyed(docs: DataFrame, id_col: str, text_col: str, carry: list[str]) -> DataFrame:
+    """Texts by id and tag. Carried columns share one column with the text, so that every use of the texts can read one shuffle."""
+    text = F.col(text_col)
+    body = F.struct(text.alias("text"), *[F.col(c).alias(f"c{i}") for i, c in enumerate(carry)]) if carry else text
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), text.isNull().alias("bare"), body.alias("text"), F.xxhash64(text.cast("string")).alias("tag"))
+
+
+def _opened(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The batches with the text, and what it carries, in columns of their own."""
+    for b in batches:
+        if pa.types.is_struct(b["text"].type):
+            rest = {n: b[n] for n in b.schema.names if n != "text"}
+            names = [f.name for f in b["text"].type]
+            b = pa.record_batch(rest | dict(zip(names, b["text"].flatten())))
+        yield b
 
 
 def _first_pass(keyed: DataFrame, window: int, gram: int) -> DataFrame:
@@ -97,7 +111,7 @@ def _pack(texts: DataFrame, window: int) -> DataFrame:
     schema = "mz long, hot boolean, doc_id long, at long, packed binary"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, "text", 1 << 20):
+        for b in pieces(_opened(batches), "text"):
             out = []
             for d, t, asked in zip(b["doc_id"].to_pylist(), b["text"].to_pylist(), b["runs"].to_pylist()):
                 ws = t.encode().split()
@@ -178,17 +192,21 @@ def _hot_windows(hot: DataFrame, window: int) -> DataFrame:
     return lost.select("doc_id", "s", (F.col("s") + window).alias("e"))
 
 
-def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int = 512, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``[doc_id, text, n_words, n_removed, kept]`` for each row of ``docs``; kept joins the words left by a space."""
-    keyed = _keyed(docs, id_col, text_col)
-    first = cut(_first_pass(keyed, window, gram))
+def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int = 512, id_col: str = "doc_id", text_col: str = "text", carry: list[str] | None = None) -> DataFrame:
+    """``[doc_id, text, n_words, n_removed, kept]`` for each row of ``docs``; kept joins the words left by a space.
+
+    The columns named in ``carry`` (none of those five) follow, unchanged.
+    """
+    carry = carry or []
+    first = cut(_first_pass(_keyed(docs, id_col, text_col, []).drop("bare"), window, gram))
     # Ids and a short tag of the text name a document from here on; the digest only brings copies together.
     leads = cut(first.groupBy("th").agg(F.min(F.struct("doc_id", "tag")).alias("d")).select("d.doc_id", "d.tag"))
     kmers = first.join(leads, ["doc_id", "tag"], "left_semi").select("doc_id", "tag", F.explode(F.arrays_zip("mz", "at", "n")).alias("r")).select("doc_id", "tag", "r.mz", "r.at", "r.n")
     shared = kmers.groupBy("mz").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi"), F.count(F.lit(1)).alias("c")).where("lo < hi").select("mz", (F.col("c") > hot).alias("hot"))
     asked = kmers.join(shared, "mz").groupBy("doc_id", "tag").agg(F.collect_set(F.struct("mz", "hot", "at", "n")).alias("runs"))
     # Both kinds of run read one shuffle of the texts.
-    texts = keyed.where("doc_id is not null and text is not null")
+    keyed = _keyed(docs, id_col, text_col, carry)
+    texts = keyed.where("doc_id is not null and not bare").drop("bare")
 
     def packed(hot_ones: bool) -> DataFrame:
         own = asked.withColumn("runs", F.filter("runs", lambda r: r["hot"] == F.lit(hot_ones))).where(F.size("runs") > 0)
@@ -198,10 +216,12 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
     spans = spans.groupBy("doc_id").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
     judged = leads.join(spans, "doc_id", "left").select("doc_id", "tag", F.coalesce("spans", F.array().cast("array<struct<s:long,e:long>>")).alias("spans"))
     # A text that isn't the first of its copies has each of its windows in the first one.
-    schema = "doc_id long, text string, n_words long, n_removed long, kept string"
+    schema = StructType.fromDDL("doc_id long, text string, n_words long, n_removed long, kept string")
+    for c in carry:
+        schema = schema.add(c, docs.schema[c].dataType)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, "text"):
+        for b in pieces(_opened(batches), "text"):
             out = []
             for d, t, cuts in zip(b["doc_id"].to_pylist(), b["text"].to_pylist(), b["spans"].to_pylist()):
                 ws = (t or "").encode().split()
@@ -216,9 +236,10 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
                 kept = b" ".join(ws) if not lost else b" ".join(w for w, x in zip(ws, gone.tolist()) if not x)
                 out.append((d, t, n, lost, kept.decode()))
             cols = list(zip(*out))
-            yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string()))], names=["doc_id", "text", "n_words", "n_removed", "kept"])
+            own = [pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string()))]
+            yield pa.record_batch([*own, *[b[f"c{i}"] for i in range(len(carry))]], names=schema.names)
 
-    bare = keyed.where("doc_id is null or text is null").select("doc_id", "text", F.lit(None).cast("array<struct<s:long,e:long>>").alias("spans"))
+    bare = keyed.where("doc_id is null or bare").select("doc_id", "text", F.lit(None).cast("array<struct<s:long,e:long>>").alias("spans"))
     return texts.join(judged, ["doc_id", "tag"], "left").select("doc_id", "text", "spans").unionByName(bare).mapInArrow(rows, schema)
 
 
