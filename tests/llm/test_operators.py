@@ -382,3 +382,23 @@ def test_subspaces(vectors, chunk):
 
 def test_digest_is_plain_sha256():
     assert substring.digest("a b") == hashlib.sha256(b"a b").hexdigest()
+
+
+def test_encoder_that_forgets_gives_the_same_ids():
+    enc = ChunkEncoder(P.path("byte_bpe_50k.json"), limit=3)
+    for turn in range(6):
+        texts = [f"one two {turn} three", None, "", f"four{turn}\n\nfive  one two"]
+        flat, at = enc.encode(pa.array(texts, pa.string()))
+        want = [enc.tok.encode(t or "", add_special_tokens=False).ids for t in texts]
+        assert [flat[s:e].tolist() for s, e in zip(at[:-1], at[1:])] == want
+    assert enc.old
+
+
+def test_substring_carries_columns(spark):
+    words = " ".join(f"w{i}" for i in range(60))
+    rows = [(1, words, "a"), (2, words + " end", "b"), (2, words + " end", None), (None, words, "c"), (3, None, "d"), (4, "", "e")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    found = substring.remove_repeats(docs, carry=["source"])
+    assert found.columns == ["doc_id", "text", "n_words", "n_removed", "kept", "source"]
+    got = sorted((r["doc_id"] or 0, r["text"] or "", r["source"] or "", r["n_removed"]) for r in found.collect())
+    assert got == sorted((d or 0, t or "", s or "", 60 if d == 2 else 0) for d, t, s in rows)
