@@ -66,26 +66,24 @@ def targets(sources: DataFrame, shares: list[float], max_epochs: float) -> DataF
     return x.select("source", "source_size", "class", F.when(F.col("level").isNull(), F.col("cap")).otherwise(F.least("cap", F.col("level") * F.col("share"))).alias("target"))
 
 
-def mix(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: float = 3.0, whole: bool = False, seed: str = "mix", id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """``[doc_id, size, source, source_size, target, taken, copies, position]`` for each row, sorted by position.
-
-    ``taken``: words of this document in the mix. The last copy that a source takes is cut where its budget (the target,
-    rounded) ends; with ``whole`` a copy is taken or not, by whether its middle lies within the budget.
-    ``position``: training time 0..1 of the first copy's begin; null if nothing is taken.
-    """
-    plan = curriculum or CURRICULUM
+def _laid(docs: DataFrame, plan: list[Schedule], max_epochs: float, whole: bool, seed: str, id_col: str, text_col: str, source_col: str, carry: list[str]) -> DataFrame:
+    """A row for each row of ``docs``: its words, class and place (``at``) in its source, the target, what is taken, and the ``carry`` columns as ``c0, c1, ...``."""
     shares = [integral(k)[-1] for k in plan]
-    sized = cut(docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), F.md5(F.concat(F.lit(seed), F.coalesce(F.col(id_col).cast("string"), F.lit(""))).cast("binary")).alias("key")))
+    rows = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), word_count(F.col(text_col)).alias("size"), F.md5(F.concat(F.lit(seed), F.coalesce(F.col(id_col).cast("string"), F.lit(""))).cast("binary")).alias("key"), *[F.col(c).alias(f"c{i}") for i, c in enumerate(carry)])
+    sized = cut(rows.drop(*[f"c{i}" for i in range(len(carry))]))
     per_source = cut(targets(sized.groupBy("source").agg(F.sum("size").alias("source_size")), shares, max_epochs))
     n = sized.count()
     # About 128 documents a bucket of all sources together, 65,536 buckets at most; both only shape the plan.
     buckets = max(1, min(65_536, n // 128))
-    sized = sized.withColumn("bucket", F.floor(F.conv(F.substring("key", 1, 8), 16, 10).cast("double") * F.lit(buckets / 2**32)).cast("int"))
+    bucket = F.floor(F.conv(F.substring("key", 1, 8), 16, 10).cast("double") * F.lit(buckets / 2**32)).cast("int")
+    sized = sized.withColumn("bucket", bucket)
     sums = sized.groupBy("source", "bucket").agg(F.sum("size").alias("words"))
     starts = sums.withColumn("base", F.coalesce(F.sum("words").over(W.partitionBy("source").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select("source", "bucket", "base")
     starts = starts.join(per_source.withColumnRenamed("source", "src"), F.col("source").eqNullSafe(F.col("src"))).drop("src")
-    inside = W.partitionBy("source", "bucket").orderBy("key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(W.unboundedPreceding, -1)
-    laid = sized.withColumn("inner", F.coalesce(F.sum("size").over(inside), F.lit(0)))
+    # Texts that share an id and a size have the same place in any order; the hash keeps reruns equal.
+    ties = [F.xxhash64(*[f"c{i}" for i in range(len(carry))])] if carry else []
+    inside = W.partitionBy("source", "bucket").orderBy("key", F.col("doc_id").asc_nulls_last(), "size", *ties).rowsBetween(W.unboundedPreceding, -1)
+    laid = (rows.withColumn("bucket", bucket) if carry else sized).withColumn("inner", F.coalesce(F.sum("size").over(inside), F.lit(0)))
     s = starts.withColumnsRenamed({"source": "src", "bucket": "bkt"})
     laid = laid.join(s, F.col("source").eqNullSafe(F.col("src")) & (F.col("bucket") == F.col("bkt"))).withColumn("at", F.col("base") + F.col("inner"))
     budget = F.floor(F.col("target") + 0.5).cast("long")
@@ -93,13 +91,42 @@ def mix(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: f
     left = budget - rounds * F.col("source_size") - F.col("at")
     part = F.when(F.lit(whole), F.when(2 * left >= F.col("size"), F.col("size")).otherwise(0)).otherwise(F.greatest(F.lit(0), F.least(left, "size")))
     taken = F.when(F.col("size") > 0, F.least(rounds * F.col("size") + part, F.floor(F.col("size") * F.lit(float(max_epochs))))).otherwise(0).cast("long")
+    return laid.withColumn("taken", taken)
+
+
+def _begins(at: Column, plan: list[Schedule]) -> Column:
+    """The training time at which the demand of a row's source reaches ``at`` words."""
     when = F.lit(None).cast("double")
     for k, knots in enumerate(plan):
-        when = F.when(F.col("class") == k, time_of(F.least(F.col("at") / F.col("target"), F.lit(1.0)), knots)).otherwise(when)
-    out = laid.withColumn("taken", taken)
+        when = F.when(F.col("class") == k, time_of(F.least(at / F.col("target"), F.lit(1.0)), knots)).otherwise(when)
+    return when
+
+
+def mix(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: float = 3.0, whole: bool = False, seed: str = "mix", id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """``[doc_id, size, source, source_size, target, taken, copies, position]`` for each row, sorted by position.
+
+    ``taken``: words of this document in the mix. The last copy that a source takes is cut where its budget (the target,
+    rounded) ends; with ``whole`` a copy is taken or not, by whether its middle lies within the budget.
+    ``position``: training time 0..1 of the first copy's begin; null if nothing is taken.
+    """
+    plan = curriculum or CURRICULUM
+    when = _begins(F.col("at"), plan)
+    out = _laid(docs, plan, max_epochs, whole, seed, id_col, text_col, source_col, [])
     return out.select("doc_id", "size", "source", "source_size", "target", "taken", F.when(F.col("taken") > 0, F.ceil(F.col("taken") / F.col("size"))).otherwise(0).cast("long").alias("copies"), F.when(F.col("taken") > 0, when).alias("position")).orderBy(F.col("position").asc_nulls_last())
 
 
+def whole_copies(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: float = 3.0, seed: str = "mix", id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
+    """The columns of ``docs``, a row for each whole copy that the mix takes of each row, in the order of the curriculum.
+
+    Rows are told apart by nothing: they carry their columns through the plan, so null and repeated ids are rows like others.
+    """
+    plan = curriculum or CURRICULUM
+    laid = _laid(docs, plan, max_epochs, True, seed, id_col, text_col, source_col, docs.columns).where("taken > 0")
+    each = laid.withColumn("copy", F.explode(F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("size")).cast("int")))).withColumn("position", _begins(F.col("at"), plan))
+    ordered = each.repartitionByRange("copy", "position", "doc_id").sortWithinPartitions("copy", "position", "doc_id")
+    return ordered.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(docs.columns)])
+
+
 MIX_SQL = r"""
 WITH s AS (
   SELECT doc_id, source, CASE WHEN text IS NULL THEN 0 ELSE len(regexp_extract_all(text, '[^ \t\n\x0B\f\r]+')) END AS size,
