@@ -66,3 +66,13 @@ def test_null_and_repeated_ids_get_the_copies_of_their_rows(spark, sf):
     assert Counter(r["text"] for r in got) == want
     assert any(r["doc_id"] is None for r in got)
     assert all(n <= 3 * sum(r[1] == t for r in found) for t, n in want.items())
+
+
+def test_copies_stand_where_their_own_time_puts_them(spark, sf):
+    found = [r for r in rows() if r[0] is not None][:132]
+    got = [r["text"] for r in C.mix_sources(spark, spark.createDataFrame(found, SCHEMA), sf).collect()]
+    want = [t for _, _, t in sorted(brute(found), key=lambda x: x[0])]
+    # Sources begin together at time 0; everything later has a time of its own.
+    assert got[3:] == want[3:] and sorted(got[:3]) == sorted(want[:3])
+    last = {s: max(i for i, t in enumerate(got) if t[0] == s) for s in "abc"}
+    assert min(last.values()) > 0.9 * len(got)

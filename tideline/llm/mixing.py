@@ -116,14 +116,15 @@ def mix(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: f
 
 
 def whole_copies(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: float = 3.0, seed: str = "mix", id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
-    """The columns of ``docs``, a row for each whole copy that the mix takes of each row, in the order of the curriculum.
+    """The columns of ``docs``, a row for each whole copy that the mix takes of each row, sorted by the time at which that copy begins.
 
     Rows are told apart by nothing: they carry their columns through the plan, so null and repeated ids are rows like others.
     """
     plan = curriculum or CURRICULUM
     laid = _laid(docs, plan, max_epochs, True, seed, id_col, text_col, source_col, docs.columns).where("taken > 0")
-    each = laid.withColumn("copy", F.explode(F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("size")).cast("int")))).withColumn("position", _begins(F.col("at"), plan))
-    ordered = each.repartitionByRange("copy", "position", "doc_id").sortWithinPartitions("copy", "position", "doc_id")
+    each = laid.withColumn("copy", F.explode(F.sequence(F.lit(1), F.ceil(F.col("taken") / F.col("size")).cast("int"))))
+    each = each.withColumn("position", _begins(F.col("at") + (F.col("copy") - 1) * F.col("source_size"), plan))
+    ordered = each.repartitionByRange("position").sortWithinPartitions("position", "doc_id")
     return ordered.select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
