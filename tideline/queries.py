@@ -134,10 +134,10 @@ def astar_lattice(s, d):
     return P.distance_to(P.astar(g, 0, t, H.manhattan(g.vertices, t, 500), Schedule(update="eager_fused", delta=4096)), 0, t)
 
 
-@register("astar_lazy", O.distances(O.road(182), 0, "SELECT 0::BIGINT AS source, 100::BIGINT AS target, (SELECT dist FROM d WHERE id = 100) AS dist"))
+@register("astar_lazy", _mid(ROAD))
 def astar_lazy(s, d):
-    g = G.g_road(s, d, 182)
-    return P.distance_to(P.astar(g, 0, 100, H.manhattan(g.vertices, 100, 500), Schedule(delta=16_384)), 0, 100)
+    g = G.g_road(s, d, 28)
+    return P.distance_to(P.astar(g, 0, 500, H.manhattan(g.vertices, 500, 500), Schedule(delta=16_384)), 0, 500)
 
 
 @register("astar_vector", O.distances(O.VEC, 0, "SELECT 0::BIGINT AS source, 7::BIGINT AS target, (SELECT dist FROM d WHERE id = 7) AS dist"))
@@ -231,7 +231,7 @@ def greedy_cover_supplier(s, d):
 # Measures -------------------------------------------------------------------------------------------------------
 @register("fusion_rounds", "SELECT true AS same, true AS fewer_rounds")
 def fusion_rounds(s, d):
-    return V.fusion(G.g_road(s, d, 182), 0, 16_384)
+    return V.fusion(G.g_road(s, d, 28), 0, 16_384)
 
 
 @register("update_modes", "SELECT 0::BIGINT AS mismatches, true AS counts_fewer_inserts")
@@ -246,7 +246,7 @@ def delta_sweep(s, d):
 
 @register("work_efficiency", "SELECT true AS ordered_relaxes_less")
 def work_efficiency(s, d):
-    return V.work(G.g_road(s, d, 182, True), 0)
+    return V.work(G.g_road(s, d, 28, True), 0)
 
 
 @register("order_of_buckets", "SELECT true AS monotone, true AS rounds_at_least_buckets, 0::BIGINT AS violations")
