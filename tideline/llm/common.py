@@ -5,9 +5,9 @@ from __future__ import annotations
 import ctypes
 import os
 import re
-from array import array
 from collections.abc import Callable, Iterable, Iterator
 from functools import lru_cache
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -26,8 +26,10 @@ _ODD = "[" + re.sub(r"\\[xu]([0-9a-f]+)", r"\\x{\1}", _SPACE) + "]{2}|\\x00"
 
 _ENDED = r"([A-Za-z])([!-@\[-`{-~])"
 
-#: Distinct chunks of a generation that a worker remembers; it keeps two generations. A bound of memory, not of results.
-MEMO_LIMIT = 300_000
+_MARK = "!"
+
+#: Distinct chunks over which a worker forgets those that it didn't use lately. A bound of memory, not of results.
+MEMO_LIMIT = 500_000
 
 
 #: What a worker remembers for each operator, by name: how to forget it.
@@ -59,22 +61,30 @@ class ChunkEncoder:
 
     Both vocabularies split a text before every run of white space that follows something else, and after a letter that
     an ASCII digit or sign follows, whatever stands around it. So a text's ids are the ids of its chunks (white space, then the rest) in their order, and a
-    chunk that was seen before needs no second encoding. Arrow splits the texts and numbers the distinct chunks.
+    chunk that was seen before needs no second encoding. Arrow splits the texts, numbers the distinct chunks and looks them up.
 
-    Over ``limit`` chunks the memory becomes the old one, and what is in neither is encoded anew: frequent chunks stay.
+    What is remembered is flat: the chunks as one Arrow array, their ids as one pool. Over ``limit`` chunks, those that no
+    text used since the last time go; what is forgotten is encoded anew.
     """
 
     def __init__(self, path: str, limit: int = MEMO_LIMIT):
-        self.tok, self.limit, self.memo, self.old = _tokenizer(path), limit, {}, {}
+        self.tok, self.limit = _tokenizer(path), limit
         added = [re.escape(t.content) for t in self.tok.get_added_tokens_decoder().values()]
         self.odd = "|".join([_ODD, *added])
         ids = lambda t: self.tok.encode(t, add_special_tokens=False).ids
         self.folds = "Lowercase()" in repr(self.tok.normalizer) and not ids(" \n\t") and ids(" Ab") == ids("ab") == ids("\nAB")
+        # A sign with an id of its own, which only this sign has: many chunks around it are one text for the library.
+        mark = ids(_MARK)
+        self.mark = mark[0] if self.folds and len(mark) == 1 and ids(f"a {_MARK} b") == [*ids("a"), *mark, *ids("b")] else None
+        self.known = pa.array([], pa.large_string())
+        self.pool, self.size, self.used = np.empty(0, "<u4"), np.empty(0, "i8"), np.empty(0, bool)
 
-    def _key(self, chunk: str) -> str:
+    def _keys(self, chunks: pa.Array) -> pa.Array:
         """Chunks with the same key have the same ids: some vocabularies drop white space and case. Other letters than
         ASCII stay as they are, since their case depends on more than the letter."""
-        return chunk.strip(" \t\n\r").lower() if self.folds and chunk.isascii() else chunk
+        if not self.folds:
+            return chunks
+        return pc.if_else(pc.string_is_ascii(chunks), pc.ascii_lower(pc.ascii_trim(chunks, characters=" \t\n\r")), chunks)
 
     def _chunks(self, texts: pa.Array) -> pa.ListArray:
         odd = pc.match_substring_regex(texts, self.odd)
@@ -86,33 +96,58 @@ class ChunkEncoder:
         own = iter([_CHUNK.findall(t) for t in texts.filter(odd).to_pylist()])
         return pa.array([next(own) if o else c for o, c in zip(odd.to_pylist(), split.to_pylist())], split.type)
 
+    def _ids(self, chunks: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """The ids of some chunks after the others, and how many each of these has."""
+        for at in range(0, len(chunks), 500):
+            some = chunks[at : at + 500]
+            if self.mark is not None and not any(_MARK in c for c in some):
+                flat = np.array(self.tok.encode(f" {_MARK} ".join(some), add_special_tokens=False).ids, "<u4")
+                cuts = np.flatnonzero(flat == self.mark)
+                if len(cuts) == len(some) - 1:
+                    yield flat[flat != self.mark], np.diff(np.r_[-1, cuts, len(flat)]) - 1
+                    continue
+            ids = [e.ids for e in self.tok.encode_batch_fast(some, add_special_tokens=False)]
+            size = np.fromiter(map(len, ids), "i8", len(ids))
+            yield np.fromiter(chain.from_iterable(ids), "<u4", int(size.sum())), size
+
+    def _places(self, keys: pa.Array) -> np.ndarray:
+        """Where each key stands among the known chunks; unknown ones are encoded and become known."""
+        at = pc.index_in(keys, value_set=self.known)
+        if at.null_count:
+            missing = keys.filter(pc.is_null(at))
+            new = missing.unique()
+            # Chunks with the mark come last, so that they spoil few of the texts that hold many.
+            marked = pc.match_substring(new, _MARK)
+            new = pa.concat_arrays([new.filter(pc.invert(marked)), new.filter(marked)])
+            ids, sizes = zip(*self._ids(new.to_pylist()))
+            own = pc.add(pc.index_in(missing, value_set=new), len(self.known))
+            at = pc.replace_with_mask(at, pc.is_null(at), own.cast(at.type))
+            self.known = pa.concat_arrays([self.known, new])
+            self.pool = np.concatenate([self.pool, *ids])
+            self.size = np.concatenate([self.size, *sizes])
+            self.used = np.r_[self.used, np.zeros(len(new), bool)]
+        at = at.to_numpy(zero_copy_only=False)
+        self.used[at] = True
+        return at
+
+    def _forget(self) -> None:
+        keep = self.used
+        self.known, self.pool, self.size = self.known.filter(pa.array(keep)), self.pool[np.repeat(keep, self.size)], self.size[keep]
+        self.used = np.zeros(len(self.known), bool)
+
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids as one uint32 array, and where each text's ids begin in it (with the end); null is an empty text."""
-        if len(self.memo) > self.limit:
-            self.memo, self.old = {}, self.memo
-        memo, old = self.memo, self.old
+        if len(self.known) > self.limit:
+            self._forget()
         texts = texts.cast(pa.large_string()).fill_null("")
         chunks = self._chunks(texts)
         coded = chunks.flatten().dictionary_encode()
-        words = coded.dictionary.to_pylist()
-        if self.folds:
-            words = [*map(self._key, words)]
-        for c in words:
-            if c not in memo and c in old:
-                memo[c] = old[c]
-        new = list({c for c in words if c not in memo})
-        for at in range(0, len(new), 2000):
-            some = new[at : at + 2000]
-            for c, e in zip(some, self.tok.encode_batch_fast(some, add_special_tokens=False)):
-                memo[c] = array("I", e.ids).tobytes()
-        ids = [memo[c] for c in words]
-        pool = np.frombuffer(b"".join(ids), dtype="<u4")
-        size = np.fromiter(map(len, ids), "i8", len(ids)) // 4
-        first = np.cumsum(size) - size
-        at = coded.indices.to_numpy(zero_copy_only=False)
-        n = size[at]
+        place = self._places(self._keys(coded.dictionary))
+        at = place[coded.indices.to_numpy(zero_copy_only=False)]
+        first = np.cumsum(self.size) - self.size
+        n = self.size[at]
         ends = np.cumsum(n)
-        flat = pool[np.repeat(first[at] - (ends - n), n) + np.arange(ends[-1] if len(ends) else 0)]
+        flat = self.pool[np.repeat(first[at] - (ends - n), n) + np.arange(ends[-1] if len(ends) else 0)]
         counts = chunks.value_lengths().to_numpy(zero_copy_only=False).astype("i8")
         return flat, np.r_[0, ends][np.r_[0, np.cumsum(counts)]]
 

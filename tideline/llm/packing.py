@@ -156,7 +156,7 @@ def pack(docs: DataFrame, vocabulary: str, end_id: int = 1, capacity: int = 2048
                 yield pa.record_batch([pa.array(c, t) for c, t in zip(zip(*p.out[at : at + 2000]), _TYPES)], names=[x.split()[0] for x in SCHEMA.split(", ")])
             p.out = []
 
-        for b in pieces(batches, "text"):
+        for b in pieces(batches, "text", 2 << 20):
             flat, at = encoder(vocabulary).encode(b["text"])
             for doc, s, e in zip(b["doc_id"].to_pylist(), at[:-1].tolist(), at[1:].tolist()):
                 p.add(doc, np.r_[flat[s:e], np.uint32(end_id)].astype("<u4"))
