@@ -41,17 +41,22 @@ def _letters() -> np.ndarray:
     return out
 
 
-def letter_runs(text: str) -> np.ndarray:
-    """A text as code points of letters, with one gap before, between and after its words."""
-    if not text:
-        return np.empty(0, np.int64)
-    code = _letters()[np.frombuffer(text.encode("utf-32-le", "replace"), dtype="<u4")]
-    code = np.r_[_GAP, code, _GAP]
-    return code[np.r_[True, (code[1:] != _GAP) | (code[:-1] != _GAP)]]
+def letter_runs(text: str, gram: int = 3, block: int = 1 << 19) -> Iterator[np.ndarray]:
+    """A text as code points of letters, with one gap before, between and after its words, in blocks of about ``block``.
+
+    A block begins with the last ``gram - 1`` codes of the one before, so every n-gram stands in exactly one block.
+    """
+    held = np.array([_GAP], np.int64)
+    for at in range(0, len(text), block):
+        code = _letters()[np.frombuffer(text[at : at + block].encode("utf-32-le", "replace"), dtype="<u4")]
+        code = np.r_[held, code, _GAP] if at + block >= len(text) else np.r_[held, code]
+        code = code[np.r_[True, (code[1:] != _GAP) | (code[:-1] != _GAP)]]
+        yield code
+        held = code[max(0, len(code) - gram + 1) :]
 
 
 class Space:
-    """The random space: letters to vectors, n-grams to vectors, both remembered up to a bound."""
+    """The random space: letters to vectors, n-grams to vectors, both remembered up to a bound (and what one call asks for)."""
 
     def __init__(self, dim: int, gram: int, seed: int, limit: int = 20_000):
         self.dim, self.gram, self.seed, self.limit = dim, gram, seed, limit
@@ -61,13 +66,17 @@ class Space:
 
     def letter(self, c: int) -> np.ndarray:
         if c not in self.letters:
+            if len(self.letters) > 2 * self.limit:
+                self.letters.clear()
             self.letters[c] = np.random.default_rng([self.seed, c]).choice(np.array([-1, 1], np.int8), self.dim)
         return self.letters[c]
 
-    def _bind(self, key: int) -> np.ndarray:
-        out = np.ones(self.dim, np.int8)
+    def _bind(self, keys: np.ndarray) -> np.ndarray:
+        """The vectors of n-grams: their letters' vectors, each rotated by its place, multiplied."""
+        out = np.ones((len(keys), self.dim), np.int8)
         for place in range(self.gram):
-            out = out * np.roll(self.letter(key >> (21 * (self.gram - 1 - place)) & 0x1FFFFF), place)
+            code, at = np.unique(keys >> (21 * (self.gram - 1 - place)) & 0x1FFFFF, return_inverse=True)
+            out *= np.roll(np.stack([self.letter(c) for c in code.tolist()]), place, axis=1)[at]
         return out
 
     def rows(self, keys: np.ndarray) -> np.ndarray:
@@ -79,37 +88,62 @@ class Space:
             new = np.setdiff1d(keys, old[0], assume_unique=True)
             allk = np.r_[old[0], new]
             order = np.argsort(allk, kind="stable")
-            made = np.array([self._bind(k) for k in new.tolist()], np.int8).reshape(len(new), self.dim)
-            self.keys, self.grams = allk[order], np.concatenate([old[1], made])[order]
+            self.keys, self.grams = allk[order], np.concatenate([old[1], self._bind(new)])[order]
             at = np.searchsorted(self.keys, keys)
         return at
 
+    def _grams(self, text: str) -> Iterator[np.ndarray]:
+        """The n-grams of a text, block by block; a text of fewer letters than an n-gram is one, filled up with gaps."""
+        any_, last = False, np.empty(0, np.int64)
+        for code in letter_runs(text, self.gram):
+            last = code
+            n = len(code) - self.gram + 1
+            if n > 0 and (any_ or len(code) > 2 or (code != _GAP).any()):
+                k = np.zeros(n, np.int64)
+                for p in range(self.gram):
+                    k = (k << 21) | code[p : n + p]
+                any_ = True
+                yield k
+        if not any_ and (last != _GAP).any():
+            k = 0
+            for c in [*last.tolist(), *[_GAP] * self.gram][: self.gram]:
+                k = (k << 21) | c
+            yield np.array([k], np.int64)
+
     def bundles(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
-        """The vectors of texts, and which of them have a letter."""
-        keys, owner, has = [], [], np.zeros(len(texts), bool)
+        """The vectors of texts, and which of them have a letter. Memory is the remembered n-grams and one block of codes."""
+        out, has = np.zeros((len(texts), self.dim)), np.zeros(len(texts), bool)
+        keys: list[np.ndarray] = []
+        owner: list[np.ndarray] = []
+        held = 0
         for i, t in enumerate(texts):
-            code = letter_runs(t or "")
-            if len(code) < 3:
-                continue
-            has[i] = True
-            if len(code) < self.gram:
-                code = np.r_[code, np.full(self.gram - len(code), _GAP)]
-            k = np.zeros(len(code) - self.gram + 1, np.int64)
-            for p in range(self.gram):
-                k = (k << 21) | code[p : len(k) + p]
-            keys.append(k)
-            owner.append(np.full(len(k), i))
-        out = np.zeros((len(texts), self.dim), np.float32)
+            for k in self._grams(t or ""):
+                has[i] = True
+                keys.append(k)
+                owner.append(np.full(len(k), i))
+                held += len(k)
+                if held > 1 << 20:
+                    self._bundle(np.concatenate(keys), np.concatenate(owner), out)
+                    keys, owner, held = [], [], 0
         if keys:
-            distinct, at = np.unique(np.concatenate(keys), return_inverse=True)
-            where = self.rows(distinct)
-            pair, count = np.unique(np.concatenate(owner) * len(distinct) + at, return_counts=True)
-            doc, gram = pair // len(distinct), where[pair % len(distinct)]
-            cuts = np.r_[0, np.flatnonzero(np.diff(doc)) + 1, len(doc)]
-            for s, e in zip(cuts[:-1], cuts[1:]):
-                out[doc[s]] = count[s:e].astype(np.float32) @ self.grams[gram[s:e]].astype(np.float32)
+            self._bundle(np.concatenate(keys), np.concatenate(owner), out)
         return out, has
 
+    def _bundle(self, keys: np.ndarray, owner: np.ndarray, out: np.ndarray, block: int = 4096) -> None:
+        """Adds n-grams to their documents' vectors, ``block`` distinct ones at a time. Sums of whole numbers, so the order doesn't matter."""
+        distinct, at = np.unique(keys, return_inverse=True)
+        pair, count = np.unique(at * len(out) + owner, return_counts=True)
+        gram, doc = pair // len(out), pair % len(out)
+        cuts = np.searchsorted(gram, np.arange(0, len(distinct) + block, block))
+        for n, (s, e) in enumerate(zip(cuts[:-1], cuts[1:])):
+            where = self.rows(distinct[n * block : (n + 1) * block])
+            vec = self.grams[where].astype(np.float32)
+            order = np.argsort(doc[s:e], kind="stable") + s
+            d, g, c = doc[order], gram[order] - n * block, count[order].astype(np.float32)
+            ends = np.r_[0, np.flatnonzero(np.diff(d)) + 1, len(d)]
+            for x, y in zip(ends[:-1], ends[1:]):
+                out[d[x]] += c[x:y] @ vec[g[x:y]]
+
 
 @lru_cache(maxsize=2)
 def space(dim: int, gram: int, seed: int) -> Space:
