@@ -41,7 +41,16 @@ _ENTRY = np.dtype([("doc", "<i8"), ("n", "<u4"), ("frame", "<u4"), ("null", "<u1
 
 
 def _system(uri: str) -> tuple[pafs.FileSystem, str]:
-    return pafs.FileSystem.from_uri(uri if "://" in uri or uri.startswith("file:") else f"file://{uri}")
+    return pafs.FileSystem.from_uri(uri)
+
+
+def resolved(spark: SparkSession, folder: str) -> str:
+    """The folder's full URI as Spark understands it: a path without a scheme lies in Spark's default file system, for the
+    files as for the manifest. A small table in the folder tells which one that is."""
+    if "://" in folder:
+        return folder
+    spark.range(1).write.mode("overwrite").parquet(f"{folder}/place.parquet")
+    return spark.read.parquet(f"{folder}/place.parquet").inputFiles()[0].rpartition("/place.parquet/")[0]
 
 
 class FrameWriter:
@@ -130,7 +139,7 @@ _MANIFEST = "part int, file string, docs long, ids long, bytes long"
 def write(docs: DataFrame, vocabulary: str, folder: str | None = None, end_id: int = 0, frame_bytes: int = 1 << 18, id_col: str = "doc_id", text_col: str = "text") -> str:
     """Writes all documents of ``docs`` and returns the folder that holds the files and ``manifest.parquet``."""
     spark = docs.sparkSession
-    folder = folder or f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
+    folder = resolved(spark, folder or f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}")
     _system(folder)[0].create_dir(_system(folder)[1], recursive=True)
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -139,7 +148,7 @@ def write(docs: DataFrame, vocabulary: str, folder: str | None = None, end_id: i
         fs, path = _system(f"{folder}/{name}")
         out = writer = None
         n = ids = 0
-        for b in pieces(batches, "text"):
+        for b in pieces(batches, "text", 2 << 20):
             if out is None:
                 fs.create_dir(path.rpartition("/")[0], recursive=True)
                 out = fs.open_output_stream(path, compression=None)
@@ -155,15 +164,19 @@ def write(docs: DataFrame, vocabulary: str, folder: str | None = None, end_id: i
             yield pa.record_batch([pa.array([part], pa.int32()), pa.array([name]), pa.array([n], pa.int64()), pa.array([ids], pa.int64()), pa.array([size], pa.int64())], names=[x.split()[0] for x in _MANIFEST.split(", ")])
 
     keyed = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    ordered = keyed.repartitionByRange("doc_id").sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
+    # The text's hash is part of the range, so that many rows with one id, or with none, are dealt to many tasks.
+    order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text")]
+    ordered = keyed.repartitionByRange(*order).sortWithinPartitions(*order)
     ordered.mapInArrow(rows, _MANIFEST).write.parquet(f"{folder}/manifest.parquet")
     return folder
 
 
 def read(spark: SparkSession, folder: str) -> DataFrame:
     """``[doc_id, start, n_tokens, ids]`` of all documents of a folder; ids as little-endian unsigned 32-bit integers."""
+    folder = resolved(spark, folder)
     files = spark.read.parquet(f"{folder}/manifest.parquet")
-    # One row a file: a running sum over the manifest is small.
+    # One row a file: a running sum over the manifest is small. A number of tasks that is asked for stays as it is: one for each file.
+    n = max(1, files.count())
     placed = files.withColumn("base", F.coalesce(F.sum("ids").over(W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)), F.lit(0))).select("file", "base")
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -181,7 +194,7 @@ def read(spark: SparkSession, folder: str) -> DataFrame:
                     if held:
                         yield _batch(held)
 
-    return placed.repartition("file").mapInArrow(rows, "doc_id long, start long, n_tokens long, ids binary")
+    return placed.repartitionByRange(n, "base").mapInArrow(rows, "doc_id long, start long, n_tokens long, ids binary")
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:
