@@ -139,8 +139,21 @@ def near_duplicates(docs: DataFrame, words: int = 3, radius: int = 2, id_col: st
 
 
 def keep_one(docs: DataFrame, words: int = 3, radius: int = 2) -> DataFrame:
-    """The documents of ``docs`` that lead their group; repeated rows of a leader shrink to one, null ids stay."""
+    """The documents of ``docs`` that lead their group; repeated rows of a leader shrink to one, null ids stay. Two texts under a
+    leader's id both stay."""
     own = docs.columns
     found = near_duplicates(docs, words, radius).where("doc_id = component_id").select(F.col("doc_id").alias("__lead")).distinct()
-    lead = docs.join(found, F.col("doc_id") == F.col("__lead"), "left_semi").dropDuplicates(["doc_id"])
-    return lead.unionByName(docs.where("doc_id is null")).select(*own)
+    lead = docs.join(found, F.col("doc_id") == F.col("__lead"), "left_semi").withColumn("__hash", F.xxhash64("text")).dropDuplicates(["doc_id", "__hash"])
+    return lead.select(*own).unionByName(docs.where("doc_id is null"))
+
+
+def keep_similar(docs: DataFrame, words: int = 5) -> DataFrame:
+    """The first document of each group of texts whose word shingles have a Jaccard similarity of 4/5 and more.
+
+    Such texts' fingerprints are some ten of 64 bits apart, texts without anything in common 32 on average: a radius that
+    reaches most of the former has no block plan that prunes. So fingerprints here are parity sketches, whose distance is a bound and loses
+    no pair, buckets come from the shingles themselves, and what passes is verified; see :mod:`tideline.llm.shingles`.
+    """
+    from tideline.llm import shingles
+
+    return shingles.keep_one(docs, words)
