@@ -4,10 +4,12 @@ Unit vectors with cosine of at least c are at most 2 - 2c apart in squared dista
 dimensions are cut into ``blocks`` blocks; the squared distance is the sum over blocks, so in some block it is at
 most that block's share of the budget. Each block is a range join of its own: vectors lie on a grid over the block's
 first ``grid`` coordinates, twice as wide as the block's reach; every vector has one home cell and probes the cells its
-reach touches. A pair is counted by the first block within its budget, so the union needs no second look, and is
-verified by its cosine in double precision on the original vectors.
+reach touches. Candidates are verified by their cosine in double precision on the original vectors, and a pair counts in the first block
+in which the one probes the other's home, so the union needs no second look: cells are whole numbers that each vector gets
+once, so no rounding can make two blocks disagree.
 
-Rows with equal vectors and labels collapse first, with their number. A unit of work is a pair of chunks of at most
+Rows with equal vectors and labels collapse first, with their number. Cells and ids travel first; a vector follows only to cells that hold
+a home and a probe of another one. A unit of work is a pair of chunks of at most
 ``chunk`` home rows and probes of one cell, so a cell that holds a third of all rows is many tasks. A unit answers with
 numbers of links for each vector and a spanning forest, never with pairs.
 
@@ -25,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tideline.llm.annforest import _matrix
+from tideline.llm.annforest import _codes, _matrix
 from tideline.llm.common import Forest
 from tideline.operators.components import connected_components
 from tideline.sources.tables import cut
@@ -53,11 +55,8 @@ def _cells(x: np.ndarray, reach: float) -> tuple[np.ndarray, list[np.ndarray]]:
     return home, other
 
 
-_PLACED = "label int, dim int, block int, cell string, home boolean, cls long, n long, v {}"
-
-
-def _placed(classes: DataFrame, cosine: float, blocks: int, grid: int, seed: int) -> DataFrame:
-    """Home and probe rows of all classes in all blocks."""
+def _marked(classes: DataFrame, cosine: float, blocks: int, grid: int, seed: int) -> DataFrame:
+    """``classes`` with ``dim`` and ``marks``: for each block the home cell and the other cell of each coordinate."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -66,24 +65,45 @@ def _placed(classes: DataFrame, cosine: float, blocks: int, grid: int, seed: int
                 own = b.filter(pa.array(sizes == dim))
                 x = _unit(_matrix(own["v"])) @ rotation(dim, seed)
                 edges = block_edges(dim, blocks)
+                marks = np.zeros((own.num_rows, blocks, 2, grid), np.int32)
                 for k, (s, e) in enumerate(zip(edges, edges[1:])):
                     reach = float(np.sqrt(max(0.0, 2 - 2 * cosine) * (e - s) / dim)) + 1e-7
                     g = min(grid, e - s)
-                    home, other = _cells(x[:, s : s + g], reach)
+                    marks[:, k, 0, :g], marks[:, k, 1, :g] = _cells(x[:, s : s + g], reach)
+                ends = np.arange(0, marks.size + 1, blocks * 2 * grid, dtype="i4")
+                yield pa.record_batch([*own.columns, pa.array(np.full(own.num_rows, dim, "i4")), pa.ListArray.from_arrays(ends, marks.ravel())], names=[*own.schema.names, "dim", "marks"])
+
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in classes.schema.fields)
+    return classes.mapInArrow(rows, f"{kinds}, dim int, marks array<int>")
+
+
+def _placed(marked: DataFrame, blocks: int, grid: int) -> DataFrame:
+    """``[label, dim, block, cell, home, cls]``: home and probe rows of all classes in all blocks; ``cell`` is a hash of the cell."""
+    kind = marked.schema["label"].dataType.simpleString()
+
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            m = b.num_rows
+            marks = _codes(b["marks"]).reshape(m, blocks, 2, grid).astype(np.int64) if m else np.zeros((0, blocks, 2, grid), np.int64)
+            for dim in np.unique(b["dim"].to_numpy()).tolist():
+                own = np.flatnonzero(b["dim"].to_numpy() == dim)
+                part = b.take(pa.array(own))
+                edges = block_edges(dim, blocks)
+                for k, (s, e) in enumerate(zip(edges, edges[1:])):
+                    g = min(grid, e - s)
                     for which in range(-1, 1 << g):
-                        pick = np.array([max(which, 0) >> j & 1 for j in range(g)], bool)
-                        cell = np.where(pick, other, home)
-                        m = own.num_rows
-                        name = pa.array([" ".join(map(str, c)) for c in cell.tolist()])
-                        yield pa.record_batch([own["label"], pa.array(np.full(m, dim, "i4")), pa.array(np.full(m, k, "i4")), name, pa.array(np.full(m, which < 0)), own["cls"], own["n"], own["v"]], names=[c.split()[0] for c in _PLACED.split(", ")])
+                        cell = np.zeros(len(own), np.int64)
+                        for j in range(g):
+                            cell = (cell * 1_000_003) ^ marks[own, k, max(which, 0) >> j & 1, j]
+                        yield pa.record_batch([part["label"], part["dim"], pa.array(np.full(len(own), k, "i4")), pa.array(cell), pa.array(np.full(len(own), which < 0)), part["cls"]], names=["label", "dim", "block", "cell", "home", "cls"])
 
-    return classes.select("cls", "label", "v", "n").mapInArrow(rows, _PLACED.format(classes.schema["v"].dataType.simpleString()))
+    return marked.select("label", "dim", "cls", "marks").mapInArrow(rows, f"label {kind}, dim int, block int, cell long, home boolean, cls long")
 
 
-def _compare(cosine: float, blocks: int, seed: int):
+def _compare(cosine: float, blocks: int, grid: int):
     def unit(key: tuple, t: pa.Table) -> pa.Table:
         t = t.combine_chunks()
-        dim, block = key[1].as_py(), key[2].as_py()
+        block = key[2].as_py()
         home = t["home"].to_numpy(zero_copy_only=False)
         ids, n = t["cls"].to_numpy(), t["n"].to_numpy()
         v = _matrix(t["v"].combine_chunks() if isinstance(t["v"], pa.ChunkedArray) else t["v"])
@@ -92,8 +112,7 @@ def _compare(cosine: float, blocks: int, seed: int):
         if not len(h) or not len(p):
             return empty
         u = _unit(v)
-        x = u @ rotation(dim, seed)
-        edges = block_edges(dim, blocks)
+        marks = _codes(t["marks"].combine_chunks() if isinstance(t["marks"], pa.ChunkedArray) else t["marks"]).reshape(len(ids), blocks, 2, grid)
         places = {c: i for i, c in enumerate(dict.fromkeys(ids.tolist()))}
         names, forest = list(places), Forest(len(places))
         hp = np.array([places[c] for c in ids[h].tolist()])
@@ -101,20 +120,15 @@ def _compare(cosine: float, blocks: int, seed: int):
         step = max(1, (1 << 21) // len(h))
         for at in range(0, len(p), step):
             q = p[at : at + step]
-            ok = np.ones((len(q), len(h)), bool)
-            for k in range(block + 1):
-                s, e = edges[k], edges[k + 1]
-                a, b = x[q, s:e], x[h, s:e]
-                d = (a * a).sum(1)[:, None] + (b * b).sum(1) - 2 * a @ b.T
-                within = d <= (2 - 2 * cosine) * (e - s) / dim + 1e-9
-                ok &= within if k == block else ~within
-            ok &= u[q] @ u[h].T >= cosine - 1e-9
+            ok = u[q] @ u[h].T >= cosine - 1e-9
             ok &= ids[q][:, None] != ids[h]
             for r in np.flatnonzero(ok.any(1)).tolist():
                 c = np.flatnonzero(ok[r])
                 a, b = v[q[r]], v[h[c]]
                 cos = (b * a).sum(1) / (np.sqrt((a * a).sum()) * np.sqrt((b * b).sum(1)))
-                c = c[cos >= cosine]
+                there, mine = marks[h[c], :, 0], marks[q[r]]
+                meets = ((there == mine[:, 0]) | (there == mine[:, 1])).all(2)
+                c = c[(cos >= cosine) & ~meets[:, :block].any(1) & meets[:, block]]
                 if len(c):
                     me = int(ids[q[r]])
                     links[me] = links.get(me, 0) + int(n[h[c]].sum())
@@ -135,18 +149,21 @@ def near_duplicates(df: DataFrame, cosine: float = 0.98, blocks: int = 4, grid:
     good = F.coalesce(F.col("vec_id").isNotNull() & F.col("label").isNotNull() & (F.size("v") > 0) & ~odd & F.exists("v", lambda x: x != 0), F.lit(False))
     # Single-precision vectors travel as such; all arithmetic is in double precision.
     kind = "array<float>" if df.schema[vec_col].dataType.simpleString() == "array<float>" else "array<double>"
-    rows = df.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast(kind).alias("v"), F.col(label_col).cast("int").alias("label"))
+    rows = df.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast(kind).alias("v"), F.col(label_col).alias("label"))
     rows = cut(rows.withColumn("v", F.transform("v", lambda x: x + F.lit(0).cast(kind[6:-1]))).withColumn("good", good))
     classes = cut(rows.where("good").groupBy("label", "v").agg(F.min("vec_id").alias("cls"), F.count(F.lit(1)).alias("n")))
-    placed = _placed(classes, cosine, blocks, grid, seed)
+    marked = cut(_marked(classes.select("cls", "label", "v", "n"), cosine, blocks, grid, seed))
+    placed = _placed(marked, blocks, grid)
     cell = ["label", "dim", "block", "cell"]
+    # A class's own probe of its home cell is no partner.
     sizes = placed.groupBy(*cell).agg(F.sum(F.col("home").cast("int")).alias("h"), F.sum((~F.col("home")).cast("int")).alias("p")).where("h > 0 and p > 1")
     sizes = sizes.select(*cell, F.ceil(F.col("h") / F.lit(chunk)).cast("int").alias("hs"), F.ceil(F.col("p") / F.lit(chunk)).cast("int").alias("ps"))
     dealt = placed.join(sizes, cell)
     mine = F.pmod(F.xxhash64("cls"), F.when(F.col("home"), F.col("hs")).otherwise(F.col("ps"))).cast("int")
     dealt = dealt.withColumn("mine", mine).withColumn("other", F.explode(F.sequence(F.lit(0), F.when(F.col("home"), F.col("ps")).otherwise(F.col("hs")) - 1)))
     dealt = dealt.withColumn("hp", F.when(F.col("home"), F.col("mine")).otherwise(F.col("other"))).withColumn("pp", F.when(F.col("home"), F.col("other")).otherwise(F.col("mine")))
-    found = cut(dealt.select(*cell, "hp", "pp", "home", "cls", "n", "v").groupBy(*cell, "hp", "pp").applyInArrow(_compare(cosine, blocks, seed), "cls long, links long, to long"))
+    told = dealt.select(*cell, "hp", "pp", "home", "cls").join(marked.select("cls", "n", "v", "marks"), "cls")
+    found = cut(told.groupBy(*cell, "hp", "pp").applyInArrow(_compare(cosine, blocks, grid), "cls long, links long, to long"))
     comp = connected_components(found.where("cls <> to").select(F.col("cls").alias("a"), F.col("to").alias("b")))
     told = classes.select("label", "v", "cls", "n").join(found.groupBy("cls").agg(F.sum("links").alias("links")), "cls", "left").join(comp, F.col("cls") == F.col("id"), "left")
     told = told.select(F.col("label").alias("__l"), F.col("v").alias("__v"), (F.coalesce("links", F.lit(0)) + F.col("n") - 1).alias("n_links"), F.coalesce("component", "cls").alias("component_id"))
