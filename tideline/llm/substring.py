@@ -4,15 +4,17 @@ A document's windows of ``window`` words are cut into super-k-mers: runs of cons
 minimiser, the smallest hash among the window's ``gram``-word grams. A first pass over the texts keeps only
 (minimiser, document, run); a minimiser that only one distinct text has needs no further look, since equal windows
 have equal minimisers. The others travel as packed strings (the run's words, joined by a space) to their
-minimiser's bucket, where sorting the windows brings equal ones together, smallest document first. Hashes only
+minimiser's bucket, where sorting the windows brings equal ones together, smallest document first. There hashes only
 choose buckets; windows are compared as bytes.
 
 Equal whole texts collapse first (SHA-256), so a large group of copies costs one text. Buckets over ``hot`` rows are
-not gathered: their windows go out one by one under a 128-bit digest, and the smallest document for each digest is
-found by a partial aggregate before the shuffle; then every document that has it is told by a join that Spark may split.
+not gathered: their windows go out one by one under a cryptographic digest of their bytes (BLAKE2b, 128 bits), and the smallest document
+for each digest is found by a partial aggregate before the shuffle; then every document that has it is told by a join that Spark may split.
+Among 2^44 windows the chance that two different ones share a digest is below 2^-40; sending their bytes instead would be some
+ten times the text of such a bucket.
 
 Nulls, empties, repeats: a null text has no words. A row with a null id neither removes nor loses words. Repeated
-rows count as one document and each come back. Documents under ``window`` words keep everything. An empty table gives
+rows count as one document and each come back. Two texts under one id are judged apart, and neither is the other's earlier document. Documents under ``window`` words keep everything. An empty table gives
 an empty result. Only the named columns are read; ``kept`` and the counts are added to them.
 """
 
@@ -38,7 +40,7 @@ class _WordHash(dict):
     """XXH64 of words, remembered up to a bound."""
 
     def __missing__(self, w: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 200_000:
             self.clear()
         self[w] = h = xxhash.xxh64_intdigest(w)
         return h
@@ -108,17 +110,17 @@ def _first_pass(keyed: DataFrame, window: int, gram: int) -> DataFrame:
 
 def _pack(texts: DataFrame, window: int) -> DataFrame:
     """Packed strings of the runs that ``texts`` asks for."""
-    schema = "mz long, hot boolean, doc_id long, at long, packed binary"
+    schema = "mz long, doc_id long, tag long, at long, packed binary"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(_opened(batches), "text"):
             out = []
-            for d, t, asked in zip(b["doc_id"].to_pylist(), b["text"].to_pylist(), b["runs"].to_pylist()):
+            for d, g, t, asked in zip(*(b[c].to_pylist() for c in ("doc_id", "tag", "text", "runs"))):
                 ws = t.encode().split()
-                out += [(r["mz"], r["hot"], d, r["at"], b" ".join(ws[r["at"] : r["at"] + r["n"] + window - 1])) for r in asked]
+                out += [(r["mz"], d, g, r["at"], b" ".join(ws[r["at"] : r["at"] + r["n"] + window - 1])) for r in asked]
             for at in range(0, len(out), 5000):
                 cols = list(zip(*out[at : at + 5000]))
-                yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.binary()))], names=["mz", "hot", "doc_id", "at", "packed"])
+                yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["mz", "doc_id", "tag", "at", "packed"])
 
     return texts.mapInArrow(rows, schema)
 
@@ -141,16 +143,16 @@ def _spans(hits: list[int], window: int) -> list[tuple[int, int]]:
     return out
 
 
-_SPAN = "doc_id long, s long, e long"
+_SPAN = "doc_id long, tag long, s long, e long"
 
 
-def _span_batch(rows: list[tuple[int, int, int]]) -> pa.RecordBatch:
-    return pa.record_batch([pa.array([r[k] for r in rows], pa.int64()) for k in range(3)], names=["doc_id", "s", "e"])
+def _span_batch(rows: list[tuple[int, int, int, int]]) -> pa.RecordBatch:
+    return pa.record_batch([pa.array([r[k] for r in rows], pa.int64()) for k in range(4)], names=["doc_id", "tag", "s", "e"])
 
 
 def _sorted_buckets(cold: DataFrame, window: int) -> DataFrame:
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out: list[tuple[int, int, int]] = []
+        out: list[tuple[int, int, int, int]] = []
         for g in runs(batches, ["mz"]):
             least: dict[bytes, int] = {}
             for p, d in zip(g["packed"], g["doc_id"]):
@@ -162,8 +164,8 @@ def _sorted_buckets(cold: DataFrame, window: int) -> DataFrame:
                 if w != last:
                     last, first = w, d
                 owner[p][i] = first
-            for p, d, at in zip(g["packed"], g["doc_id"], g["at"]):
-                out += [(d, s, e) for s, e in _spans([at + i for i, o in enumerate(owner[p]) if o < d], window)]
+            for p, d, tag, at in zip(g["packed"], g["doc_id"], g["tag"], g["at"]):
+                out += [(d, tag, s, e) for s, e in _spans([at + i for i, o in enumerate(owner[p]) if o < d], window)]
             if len(out) > 20_000:
                 yield _span_batch(out)
                 out = []
@@ -176,20 +178,20 @@ def _sorted_buckets(cold: DataFrame, window: int) -> DataFrame:
 def _hot_windows(hot: DataFrame, window: int) -> DataFrame:
     def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out: list[tuple[bytes, int, list[int]]] = []
-            for p, d, at in zip(b["packed"].to_pylist(), b["doc_id"].to_pylist(), b["at"].to_pylist()):
+            out: list[tuple[bytes, int, int, list[int]]] = []
+            for p, d, tag, at in zip(*(b[c].to_pylist() for c in ("packed", "doc_id", "tag", "at"))):
                 where: dict[bytes, list[int]] = {}
                 for i, w in enumerate(windows_of(p, window)):
-                    where.setdefault(xxhash.xxh3_128_digest(w), []).append(at + i)
-                out += [(k, d, v) for k, v in where.items()]
+                    where.setdefault(hashlib.blake2b(w, digest_size=16).digest(), []).append(at + i)
+                out += [(k, d, tag, v) for k, v in where.items()]
             for at in range(0, len(out), 10_000):
                 cols = list(zip(*out[at : at + 10_000]))
-                yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.binary(), pa.int64(), pa.list_(pa.int64())))], names=["k", "doc_id", "hits"])
+                yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())))], names=["k", "doc_id", "tag", "hits"])
 
-    found = hot.mapInArrow(digests, "k binary, doc_id long, hits array<long>")
+    found = hot.mapInArrow(digests, "k binary, doc_id long, tag long, hits array<long>")
     owner = found.groupBy("k").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("k", "first")
-    lost = found.join(owner, "k").where("first < doc_id").select("doc_id", F.explode("hits").alias("s"))
-    return lost.select("doc_id", "s", (F.col("s") + window).alias("e"))
+    lost = found.join(owner, "k").where("first < doc_id").select("doc_id", "tag", F.explode("hits").alias("s"))
+    return lost.select("doc_id", "tag", "s", (F.col("s") + window).alias("e"))
 
 
 def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int = 512, id_col: str = "doc_id", text_col: str = "text", carry: list[str] | None = None) -> DataFrame:
@@ -210,11 +212,11 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
 
     def packed(hot_ones: bool) -> DataFrame:
         own = asked.withColumn("runs", F.filter("runs", lambda r: r["hot"] == F.lit(hot_ones))).where(F.size("runs") > 0)
-        return _pack(texts.join(own, ["doc_id", "tag"]).select("doc_id", "text", "runs"), window)
+        return _pack(texts.join(own, ["doc_id", "tag"]).select("doc_id", "tag", "text", "runs"), window)
 
     spans = _sorted_buckets(packed(False), window).unionByName(_hot_windows(packed(True), window))
-    spans = spans.groupBy("doc_id").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
-    judged = leads.join(spans, "doc_id", "left").select("doc_id", "tag", F.coalesce("spans", F.array().cast("array<struct<s:long,e:long>>")).alias("spans"))
+    spans = spans.groupBy("doc_id", "tag").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
+    judged = leads.join(spans, ["doc_id", "tag"], "left").select("doc_id", "tag", F.coalesce("spans", F.array().cast("array<struct<s:long,e:long>>")).alias("spans"))
     # A text that isn't the first of its copies has each of its windows in the first one.
     schema = StructType.fromDDL("doc_id long, text string, n_words long, n_removed long, kept string")
     for c in carry:
