@@ -5,7 +5,7 @@ all words; targets are capped at ``max_epochs`` times what the source has, and w
 their shares, so that in the end target = min(cap, level * share). A source's demand up to time t is its target times
 the schedule's normalised integral. Its documents, in a fixed pseudo-random order, lie end to end along that demand,
 again and again; the inverse of the integral gives the time at which each copy begins, and documents are range-sorted
-by that.
+by that (those that nothing is taken of by a hash, so that they don't share one end).
 
 The running sum within a source never gathers the source: documents fall into buckets of the order's key, bucket
 totals are summed over the (small) bucket table, and a window runs within each bucket.
@@ -112,7 +112,7 @@ def mix(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: f
     plan = curriculum or CURRICULUM
     when = _begins(F.col("at"), plan)
     out = _laid(docs, plan, max_epochs, whole, seed, id_col, text_col, source_col, [])
-    return out.select("doc_id", "size", "source", "source_size", "target", "taken", F.when(F.col("taken") > 0, F.ceil(F.col("taken") / F.col("size"))).otherwise(0).cast("long").alias("copies"), F.when(F.col("taken") > 0, when).alias("position")).orderBy(F.col("position").asc_nulls_last())
+    return out.select("doc_id", "size", "source", "source_size", "target", "taken", F.when(F.col("taken") > 0, F.ceil(F.col("taken") / F.col("size"))).otherwise(0).cast("long").alias("copies"), F.when(F.col("taken") > 0, when).alias("position")).orderBy(F.col("position").asc_nulls_last(), F.xxhash64("doc_id", "size"))
 
 
 def whole_copies(docs: DataFrame, curriculum: list[Schedule] | None = None, max_epochs: float = 3.0, seed: str = "mix", id_col: str = "doc_id", text_col: str = "text", source_col: str = "source") -> DataFrame:
