@@ -29,7 +29,7 @@ _ENDED = r"([A-Za-z])([!-@\[-`{-~])"
 _MARK = "!"
 
 #: Distinct chunks over which a worker forgets those that it didn't use lately. A bound of memory, not of results.
-MEMO_LIMIT = 500_000
+MEMO_LIMIT = 300_000
 
 
 #: What a worker remembers for each operator, by name: how to forget it.
@@ -159,7 +159,12 @@ def encoder(path: str) -> ChunkEncoder:
     return ChunkEncoder(path)
 
 
-MEMORIES["encoder"] = encoder.cache_clear
+def _forget_encoders() -> None:
+    encoder.cache_clear()
+    _tokenizer.cache_clear()
+
+
+MEMORIES["encoder"] = _forget_encoders
 
 
 def pieces(batches: Iterable[pa.RecordBatch], text: str, max_bytes: int = 1 << 20) -> Iterator[pa.RecordBatch]:

@@ -41,7 +41,7 @@ def _letters() -> np.ndarray:
     return out
 
 
-def letter_runs(text: str, gram: int = 3, block: int = 1 << 19) -> Iterator[np.ndarray]:
+def letter_runs(text: str, gram: int = 3, block: int = 1 << 17) -> Iterator[np.ndarray]:
     """A text as code points of letters, with one gap before, between and after its words, in blocks of about ``block``.
 
     A block begins with the last ``gram - 1`` codes of the one before, so every n-gram stands in exactly one block.
@@ -112,7 +112,7 @@ class Space:
 
     def bundles(self, texts: list[str | None]) -> tuple[np.ndarray, np.ndarray]:
         """The vectors of texts, and which of them have a letter. Memory is the remembered n-grams and one block of codes."""
-        out, has = np.zeros((len(texts), self.dim)), np.zeros(len(texts), bool)
+        out, has = np.zeros((len(texts), self.dim), np.float32), np.zeros(len(texts), bool)
         keys: list[np.ndarray] = []
         owner: list[np.ndarray] = []
         held = 0
@@ -122,15 +122,15 @@ class Space:
                 keys.append(k)
                 owner.append(np.full(len(k), i))
                 held += len(k)
-                if held > 1 << 20:
+                if held > 1 << 18:
                     self._bundle(np.concatenate(keys), np.concatenate(owner), out)
                     keys, owner, held = [], [], 0
         if keys:
             self._bundle(np.concatenate(keys), np.concatenate(owner), out)
         return out, has
 
-    def _bundle(self, keys: np.ndarray, owner: np.ndarray, out: np.ndarray, block: int = 4096) -> None:
-        """Adds n-grams to their documents' vectors, ``block`` distinct ones at a time. Sums of whole numbers, so the order doesn't matter."""
+    def _bundle(self, keys: np.ndarray, owner: np.ndarray, out: np.ndarray, block: int = 2048) -> None:
+        """Adds n-grams to their documents' vectors, ``block`` distinct ones at a time. Sums of whole numbers, exact below 2^24 n-grams a text, so the order doesn't matter."""
         distinct, at = np.unique(keys, return_inverse=True)
         pair, count = np.unique(at * len(out) + owner, return_counts=True)
         gram, doc = pair // len(out), pair % len(out)
@@ -159,7 +159,7 @@ def train(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", dim:
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sums: dict[str, np.ndarray] = {}
-        for b in pieces(batches, "text", 1 << 20):
+        for b in pieces(batches, "text", 1 << 19):
             vec, has = space(dim, gram, seed).bundles(b["text"].to_pylist())
             size = np.linalg.norm(vec, axis=1)
             langs = np.array(b["lang"].to_pylist(), dtype=object)
@@ -189,7 +189,7 @@ def predict(docs: DataFrame, model: dict[str, np.ndarray], text_col: str = "text
     schema = fields.add("lang_pred", "string").add("score", "double")
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in pieces(batches, text_col, 1 << 20):
+        for b in pieces(batches, text_col, 1 << 19):
             vec, has = space(dim, gram, seed).bundles(b[text_col].to_pylist())
             pred, score = [UNKNOWN] * b.num_rows, np.zeros(b.num_rows)
             if names:
