@@ -370,7 +370,7 @@ def test_repeats_of_a_neighbour_are_neighbours(spark):
     ask = min(np.array(rows[0][1]).tolist(), rows[3][1])
     d = sorted((float(np.sqrt(((np.array(v) - ask) ** 2).sum())), i) for i, v in rows if i != 1)[:10]
     assert [(r["rank"], r["vec_id"]) for r in sorted(got, key=lambda r: r["rank"])] == [(k + 1, i) for k, (_, i) in enumerate(d)]
-    each = annforest.candidates(df, F.col("vec_id") == 1, visit=1.0, block=8).agg(F.sum("scored")).first()[0]
+    each = annforest.candidates(df, F.col("vec_id") == 1, visit=1.0, block=8, part=4).agg(F.sum("scored")).first()[0]
     assert each == sum(i != 1 for i, _ in rows)
 
 
@@ -433,3 +433,72 @@ def test_substring_carries_columns(spark):
     assert found.columns == ["doc_id", "text", "n_words", "n_removed", "kept", "source"]
     got = sorted((r["doc_id"] or 0, r["text"] or "", r["source"] or "", r["n_removed"]) for r in found.collect())
     assert got == sorted((d or 0, t or "", s or "", 60 if d == 2 else 0) for d, t, s in rows)
+
+
+@pytest.mark.parametrize("hot", [512, 1])
+def test_two_texts_under_one_id_are_judged_apart(spark, hot):
+    w, v = (" ".join(f"{c}{i}" for i in range(60)) for c in "wv")
+    rows = [(1, w), (2, f"{w} {v}"), (2, v), (3, v)]
+    got = substring.remove_repeats(spark.createDataFrame(rows, "doc_id long, text string"), hot=hot).collect()
+    assert {(r["doc_id"], r["text"]): r["n_removed"] for r in got} == {(1, w): 0, (2, f"{w} {v}"): 60, (2, v): 0, (3, v): 60}
+
+
+def test_labels_of_any_kind_keep_vectors_apart(spark):
+    rows = [(1, [1.0, 0.0], "a"), (2, [1.0, 0.001], "a"), (3, [1.0, 0.0], "b"), (4, [1.0, 0.0], None)]
+    got = subspace.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label string")).collect()
+    assert {r["vec_id"]: (r["n_links"], r["component_id"]) for r in got} == {1: (1, 1), 2: (1, 1), 3: (0, 3), 4: (0, 4)}
+
+
+def test_prototypes_and_cosines_against_plain_sums(spark):
+    rng = random.Random(12)
+    rows = [(i, " ".join(rng.choice(("das", "über", "the", "Ärger", "other", "日本", "x1y")) for _ in range(rng.randint(1, 30))), "de" if i % 2 else "en") for i in range(30)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    s = langid.Space(64, 3, 7)
+
+    def plain(t):
+        code = [1]
+        for ch in t:
+            c = ord(ch.lower()) if ch.isalpha() else 1
+            code += [c] if c != 1 or code[-1] != 1 else []
+        code += [1] if code[-1] != 1 else []
+        return sum(np.roll(s.letter(a), 0).astype(float) * np.roll(s.letter(b), 1) * np.roll(s.letter(c), 2) for a, b, c in zip(code, code[1:], code[2:]))
+
+    vec = [plain(t) for _, t, _ in rows]
+    proto = {la: sum(v / np.linalg.norm(v) for v, r in zip(vec, rows) if r[2] == la) for la in ("de", "en")}
+    for r in langid.identify(docs, dim=64).collect():
+        cos = {la: float(vec[r["doc_id"]] @ p / np.linalg.norm(p) / np.linalg.norm(vec[r["doc_id"]])) for la, p in proto.items()}
+        assert abs(r["score"] - max(0, *cos.values())) < 1e-5 and cos[r["lang_pred"]] >= max(cos.values()) - 1e-5
+    one = spark.createDataFrame([(1, "abc", "b"), (2, "abc", "a")], "doc_id long, text string, lang string")
+    assert {r["lang_pred"] for r in langid.identify(one, dim=64).collect()} == {"a"}
+
+
+def test_very_long_texts_and_many_letters():
+    rng = np.random.default_rng(5)
+    many = "".join(map(chr, rng.integers(0x4E00, 0x9FFF, 40_000)))
+    s = langid.Space(64, 3, 7, limit=500)
+    whole, _ = s.bundles([many])
+    blocks = list(langid.letter_runs(many, 3, 999))
+    assert sum(max(0, len(b) - 2) for b in blocks) == len(next(langid.letter_runs(many))) - 2
+    assert len(s.keys) <= 500 + 4096 and len(s.letters) <= 1001
+    again, _ = langid.Space(64, 3, 7).bundles([many])
+    assert (whole == again).all()
+
+
+def test_one_task_reads_each_file(spark, tmp_path):
+    import io
+    from contextlib import redirect_stdout
+
+    docs = spark.createDataFrame([(i, f"text {i}") for i in range(400)] + [(None, f"none {i}") for i in range(200)], "doc_id long, text string").repartition(8)
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        folder = tokenfiles.write(docs, P.path("byte_bpe_50k.json"), str(tmp_path / "files"))
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    n = spark.read.parquet(f"{folder}/manifest.parquet").count()
+    assert n > 1 and folder.startswith("file:")
+    back = tokenfiles.read(spark, folder)
+    assert back.count() == 600 and back.rdd.getNumPartitions() == n
+    told = io.StringIO()
+    with redirect_stdout(told):
+        back.explain()
+    assert f", {n})" in told.getvalue() and "REPARTITION_BY_NUM" in told.getvalue()
