@@ -36,11 +36,21 @@ MEMO_LIMIT = 300_000
 MEMORIES: dict[str, Callable[[], None]] = {}
 
 
-def only(name: str) -> None:
-    """Called where an operator's task begins: a worker that served another one before forgets what that remembered."""
-    for other, forget in MEMORIES.items():
-        if other != name:
+def forgetting(fn: Callable) -> Callable:
+    """A function of batches whose worker forgets, at the task's end, what it remembered: workers that wait for their next task hold little."""
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from fn(batches)
+        finally:
             forget()
+
+    return run
+
+
+def forget() -> None:
+    for drop in MEMORIES.values():
+        drop()
     # Free memory goes back to the machine, which the JVM and other workers share.
     pa.default_memory_pool().release_unused()
     if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
@@ -154,17 +164,11 @@ class ChunkEncoder:
 
 @lru_cache(maxsize=2)
 def encoder(path: str) -> ChunkEncoder:
-    """The worker's encoder for a vocabulary; its memory outlives a task."""
-    only("encoder")
+    """The task's encoder for a vocabulary."""
     return ChunkEncoder(path)
 
 
-def _forget_encoders() -> None:
-    encoder.cache_clear()
-    _tokenizer.cache_clear()
-
-
-MEMORIES["encoder"] = _forget_encoders
+MEMORIES["encoder"] = encoder.cache_clear
 
 
 def pieces(batches: Iterable[pa.RecordBatch], text: str, max_bytes: int = 1 << 20) -> Iterator[pa.RecordBatch]:

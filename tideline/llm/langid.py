@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tideline.llm.common import MEMORIES, only, pieces
+from tideline.llm.common import MEMORIES, forgetting, pieces
 
 UNKNOWN = "und"
 _GAP = 1
@@ -147,7 +147,6 @@ class Space:
 
 @lru_cache(maxsize=2)
 def space(dim: int, gram: int, seed: int) -> Space:
-    only("space")
     return Space(dim, gram, seed)
 
 
@@ -172,7 +171,7 @@ def train(docs: DataFrame, text_col: str = "text", lang_col: str = "lang", dim:
             yield pa.record_batch([pa.array(list(sums)), pa.array(flat, pa.list_(pa.int64()))], names=["lang", "v"])
 
     rows = docs.select(F.col(text_col).alias("text"), F.col(lang_col).alias("lang")).where("lang is not null and text is not null")
-    parts = rows.mapInArrow(add, "lang string, v array<long>").select("lang", F.posexplode("v").alias("k", "x")).groupBy("lang", "k").agg(F.sum("x").alias("x"))
+    parts = rows.mapInArrow(forgetting(add), "lang string, v array<long>").select("lang", F.posexplode("v").alias("k", "x")).groupBy("lang", "k").agg(F.sum("x").alias("x"))
     found = parts.groupBy("lang").agg(F.array_sort(F.collect_list(F.struct("k", "x"))).alias("v")).select("lang", F.col("v.x").alias("v")).limit(max_languages + 1).collect()
     if len(found) > max_languages:
         raise ValueError(f"more than {max_languages} languages")
@@ -200,7 +199,7 @@ def predict(docs: DataFrame, model: dict[str, np.ndarray], text_col: str = "text
                 pred = [names[k] if h else UNKNOWN for k, h in zip(best.tolist(), has.tolist())]
             yield pa.record_batch([*b.columns, pa.array(pred, pa.string()), pa.array(score)], names=[*b.schema.names, "lang_pred", "score"])
 
-    return base.select(*kept, text_col).mapInArrow(rows, schema)
+    return base.select(*kept, text_col).mapInArrow(forgetting(rows), schema)
 
 
 def held_out(id_col: str = "doc_id", folds: int = 5) -> Column:

@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tideline.llm.common import encoder, pieces
+from tideline.llm.common import encoder, forgetting, pieces
 
 
 def difference(sizes: list[int], k: int) -> list[list[int]]:
@@ -164,4 +164,4 @@ def pack(docs: DataFrame, vocabulary: str, end_id: int = 1, capacity: int = 2048
         p.end()
         yield from drain()
 
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(rows, SCHEMA)
+    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text")).mapInArrow(forgetting(rows), SCHEMA)

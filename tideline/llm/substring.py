@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from tideline.llm.common import MEMORIES, only, pieces, runs
+from tideline.llm.common import MEMORIES, forgetting, pieces, runs
 from tideline.sources.tables import cut
 
 _MULT = np.uint64(0x9E3779B97F4A7C15)
@@ -93,7 +93,6 @@ def _first_pass(keyed: DataFrame, window: int, gram: int) -> DataFrame:
     schema = "doc_id long, tag long, th binary, mz array<long>, at array<long>, n array<long>"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        only("word hashes")
         for b in pieces(batches, "text"):
             raw = [t.encode() for t in b["text"].to_pylist()]
             found = [super_kmers(t.split(), window, gram) for t in raw]
@@ -105,12 +104,14 @@ def _first_pass(keyed: DataFrame, window: int, gram: int) -> DataFrame:
             whole = pa.array([hashlib.sha256(raw[i]).digest() for i in keep], pa.binary())
             yield pa.record_batch([b["doc_id"].take(pa.array(keep)), b["tag"].take(pa.array(keep)), whole, *cols], names=["doc_id", "tag", "th", "mz", "at", "n"])
 
-    return keyed.where("doc_id is not null and text is not null").mapInArrow(rows, schema)
+    return keyed.where("doc_id is not null and text is not null").mapInArrow(forgetting(rows), schema)
 
 
-def _pack(texts: DataFrame, window: int) -> DataFrame:
-    """Packed strings of the runs that ``texts`` asks for."""
-    schema = "mz long, doc_id long, tag long, at long, packed binary"
+_PACKED = "mz long, doc_id long, tag long, at long, packed binary"
+
+
+def _pack(window: int):
+    """A function of batches of texts: packed strings of the runs that they are asked for."""
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in pieces(_opened(batches), "text"):
@@ -122,7 +123,7 @@ def _pack(texts: DataFrame, window: int) -> DataFrame:
                 cols = list(zip(*out[at : at + 5000]))
                 yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["mz", "doc_id", "tag", "at", "packed"])
 
-    return texts.mapInArrow(rows, schema)
+    return rows
 
 
 def windows_of(packed: bytes, window: int) -> list[bytes]:
@@ -150,7 +151,9 @@ def _span_batch(rows: list[tuple[int, int, int, int]]) -> pa.RecordBatch:
     return pa.record_batch([pa.array([r[k] for r in rows], pa.int64()) for k in range(4)], names=["doc_id", "tag", "s", "e"])
 
 
-def _sorted_buckets(cold: DataFrame, window: int) -> DataFrame:
+def _sorted_buckets(texts: DataFrame, window: int) -> DataFrame:
+    cold = texts.mapInArrow(_pack(window), _PACKED)
+
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         out: list[tuple[int, int, int, int]] = []
         for g in runs(batches, ["mz"]):
@@ -175,9 +178,11 @@ def _sorted_buckets(cold: DataFrame, window: int) -> DataFrame:
     return cold.repartition("mz").sortWithinPartitions("mz").mapInArrow(rows, _SPAN)
 
 
-def _hot_windows(hot: DataFrame, window: int) -> DataFrame:
+def _hot_windows(texts: DataFrame, window: int) -> DataFrame:
+    pack = _pack(window)
+
     def digests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in pack(batches):
             out: list[tuple[bytes, int, int, list[int]]] = []
             for p, d, tag, at in zip(*(b[c].to_pylist() for c in ("packed", "doc_id", "tag", "at"))):
                 where: dict[bytes, list[int]] = {}
@@ -188,7 +193,7 @@ def _hot_windows(hot: DataFrame, window: int) -> DataFrame:
                 cols = list(zip(*out[at : at + 10_000]))
                 yield pa.record_batch([pa.array(c, k) for c, k in zip(cols, (pa.binary(), pa.int64(), pa.int64(), pa.list_(pa.int64())))], names=["k", "doc_id", "tag", "hits"])
 
-    found = hot.mapInArrow(digests, "k binary, doc_id long, tag long, hits array<long>")
+    found = texts.mapInArrow(digests, "k binary, doc_id long, tag long, hits array<long>")
     owner = found.groupBy("k").agg(F.min("doc_id").alias("first"), F.max("doc_id").alias("last")).where("first < last").select("k", "first")
     lost = found.join(owner, "k").where("first < doc_id").select("doc_id", "tag", F.explode("hits").alias("s"))
     return lost.select("doc_id", "tag", "s", (F.col("s") + window).alias("e"))
@@ -210,11 +215,11 @@ def remove_repeats(docs: DataFrame, window: int = 50, gram: int = 16, hot: int =
     keyed = _keyed(docs, id_col, text_col, carry)
     texts = keyed.where("doc_id is not null and not bare").drop("bare")
 
-    def packed(hot_ones: bool) -> DataFrame:
+    def asking(hot_ones: bool) -> DataFrame:
         own = asked.withColumn("runs", F.filter("runs", lambda r: r["hot"] == F.lit(hot_ones))).where(F.size("runs") > 0)
-        return _pack(texts.join(own, ["doc_id", "tag"]).select("doc_id", "tag", "text", "runs"), window)
+        return texts.join(own, ["doc_id", "tag"]).select("doc_id", "tag", "text", "runs")
 
-    spans = _sorted_buckets(packed(False), window).unionByName(_hot_windows(packed(True), window))
+    spans = _sorted_buckets(asking(False), window).unionByName(_hot_windows(asking(True), window))
     spans = spans.groupBy("doc_id", "tag").agg(F.collect_set(F.struct("s", "e")).alias("spans"))
     judged = leads.join(spans, ["doc_id", "tag"], "left").select("doc_id", "tag", F.coalesce("spans", F.array().cast("array<struct<s:long,e:long>>")).alias("spans"))
     # A text that isn't the first of its copies has each of its windows in the first one.

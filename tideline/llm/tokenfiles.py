@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from tideline.llm.common import encoder, pieces
+from tideline.llm.common import encoder, forgetting, pieces
 from tideline.sources.tables import shared_dir
 
 #: Fixed values of the seekable format.
@@ -167,7 +167,7 @@ def write(docs: DataFrame, vocabulary: str, folder: str | None = None, end_id: i
     # The text's hash is part of the range, so that many rows with one id, or with none, are dealt to many tasks.
     order = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text")]
     ordered = keyed.repartitionByRange(*order).sortWithinPartitions(*order)
-    ordered.mapInArrow(rows, _MANIFEST).write.parquet(f"{folder}/manifest.parquet")
+    ordered.mapInArrow(forgetting(rows), _MANIFEST).write.parquet(f"{folder}/manifest.parquet")
     return folder
 
 
