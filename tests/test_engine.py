@@ -1,3 +1,5 @@
+import random
+
 import pytest
 from graphs import both_ways, dijkstra, edges_frame, peel, some_graph
 
@@ -12,7 +14,7 @@ from tideline.plans.autotune import autotune
 from tideline.plans.explain import explain_schedule
 from tideline.plans.schedule import PRESETS, UNBOUNDED, Schedule, validate
 from tideline.sources import files
-from tideline.sources.graphs import Graph, encode_ids
+from tideline.sources.graphs import Graph, encode_ids, nearest_rows, ranked, tiles
 
 EDGES = some_graph()
 SCHEDULES = {
@@ -164,3 +166,102 @@ def test_files_ids_and_tuner(spark, tmp_path):
     g = Graph(edges_frame(spark, EDGES[:40]))
     rep = autotune(P.SSSP, lambda s: P.sssp(g, 0, s), limit_s=60, max_trials=3, space={"delta": [4, 16, 64], "update": ["lazy", "eager_fused"]})
     assert len(rep.trials) == 3 and rep.best_seconds <= rep.trials[0][1]
+
+
+def test_parents_on_zero_weights_form_no_cycle(spark):
+    loop = [(9, 1, 0), (1, 2, 0), (2, 1, 0), (2, 3, 4)]
+    g = Graph(edges_frame(spark, loop))
+    assert P.extract_path(P.parents(g, P.sssp(g, 9), 9), 9, 3) == [9, 1, 2, 3]
+    rng = random.Random(6)
+    edges = [(rng.randrange(25), rng.randrange(25), rng.choice([0, 0, 0, 2])) for _ in range(90)]
+    g, want = Graph(edges_frame(spark, edges)), dijkstra(edges, 0)
+    tree = {r["id"]: (r["dist"], r["parent"]) for r in P.parents(g, P.sssp(g, 0, Schedule(delta=4)), 0).collect()}
+    assert {v: d for v, (d, _) in tree.items()} == want
+    best = {(a, b): min(w for x, y, w in edges if (x, y) == (a, b)) for a, b, _ in edges}
+    for v in tree:
+        hops = 0
+        while v != 0:
+            d, up = tree[v]
+            assert tree[up][0] + best[up, v] == d
+            v, hops = up, hops + 1
+            assert hops <= len(tree)
+
+
+def test_balanced_edges_stay_where_they_are(spark):
+    g = Graph(edges_frame(spark, EDGES))
+    for balance in ("vertex", "edge", "salted"):
+        for frontier, most in ((1, 1), (500_000, 2 if balance == "salted" else 1)):
+            plan = explain_schedule(P.SSSP, g, Schedule(delta=8, balance=balance), {0: 0}, frontier)
+            assert plan.count("Exchange hashpartitioning") == most and "Exchange rangepartitioning" not in plan
+    assert values(P.sssp(g, 0, Schedule(delta=8, balance="edge"))) == dijkstra(EDGES, 0)
+
+
+def test_rounds_give_their_folders_back(spark):
+    from pathlib import Path
+
+    chain = Graph(edges_frame(spark, [(i, i + 1, 1) for i in range(25)]))
+    chain.pushed()
+    here = Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
+    for how in (Schedule(), Schedule(update="eager", fuse_limit=0, blocks=2), Schedule(open_buckets=2)):
+        before = set(here.iterdir())
+        res = P.sssp(chain, 0, how)
+        assert res.metrics.rounds >= 26 and res.metrics.released >= 20
+        assert how.open_buckets or len(set(here.iterdir()) - before) < 12
+        assert values(res) == {i: i for i in range(26)}
+
+
+def test_additions_must_say_where_they_go():
+    low, high = R.PrioritySpec("low", False), R.PrioritySpec("high", False)
+    ok = lambda spec, rule: R.check_monotone(spec, rule).ok
+    assert ok(low, R.EdgeRule.add(-1, "current")) and ok(low, R.EdgeRule.add(2)) and ok(high, R.EdgeRule.add(-3))
+    assert not ok(low, R.EdgeRule.add(-1)) and not ok(high, R.EdgeRule.add(1)) and not ok(low, R.EdgeRule.add(0))
+    assert not ok(low, R.EdgeRule.add(lambda w: w)) and ok(low, R.EdgeRule.add(lambda w: w, sign=1))
+
+
+def test_inconsistent_estimates_are_counted_by_every_update(spark):
+    g = Graph(edges_frame(spark, [(0, 1, 1), (1, 2, 1)]))
+    jump = spark.createDataFrame([(0, 9), (1, 0), (2, 0)], "id long, h long")
+    for how in (Schedule(plan_hops=2), Schedule(update="eager", fuse_limit=0, blocks=1)):
+        assert P.astar(g, 0, 2, jump, how).metrics.violations > 0
+        assert P.sssp(g, 0, how).metrics.violations == 0
+
+
+def test_cover_runs_in_the_engine_and_winners_overlap_little(spark):
+    rng = random.Random(2)
+    sets = {s: set(rng.sample(range(120), rng.randint(1, 30))) for s in range(40)}
+    system = spark.createDataFrame([(s, e) for s, es in sets.items() for e in es], "set_id long, elem_id long")
+    got = C.set_cover(system)
+    rows = got.chosen.collect()
+    assert got.metrics.rounds >= got.metrics.buckets >= 1 and got.metrics.violations == 0
+    assert got.metrics.order == sorted(got.metrics.order, reverse=True)
+    everything, covered = set().union(*sets.values()), set()
+    for n in sorted({r["round"] for r in rows}):
+        now = [r for r in rows if r["round"] == n]
+        fresh = [sets[r["set_id"]] - covered for r in now]
+        for r, new in zip(now, fresh):
+            # each was worth its bucket, and keeps nearly all of that beside the others of its round
+            assert len(new) >= 1.1 ** r["bucket"] - 1e-6 and r["gain"] >= 0.9 * 1.1 ** r["bucket"] - 1e-6
+        assert sum(r["gain"] for r in now) <= len(set().union(*fresh))
+        covered |= set().union(*fresh)
+    assert covered == everything
+    cost = spark.createDataFrame([(s, 1 + s % 7) for s in sets], "set_id long, cost long")
+    assert C.verdict(system, C.set_cover(system, costs=cost).chosen).first()["uncovered"] == 0
+    assert C.set_cover(system.limit(0)).chosen.count() == 0
+    with pytest.raises(ValueError):
+        validate(R.OrderedProgram("x", R.PrioritySpec("high", False), R.EdgeRule("hook")), Schedule())
+
+
+def test_ranks_tiles_and_blocked_neighbours(spark):
+    rows = spark.createDataFrame([(i, i % 7) for i in range(53)], "id long, d long").repartition(5)
+    order = sorted((i % 7, i) for i in range(53))
+    assert {r["id"]: r["rank"] for r in ranked(rows, ["d", "id"]).collect()} == {i: k for k, (_, i) in enumerate(order)}
+    sizes = [53 // 10 + (k < 53 % 10) for k in range(10)]
+    want = [k + 1 for k, n in enumerate(sizes) for _ in range(n)]
+    assert {r["id"]: r["part"] for r in tiles(rows, 10, ["d", "id"]).collect()} == {i: want[k] for k, (_, i) in enumerate(order)}
+    rng = random.Random(1)
+    vs = [(i, [rng.random() for _ in range(3)]) for i in range(40)]
+    got = {}
+    for r in nearest_rows(spark.createDataFrame(vs, "id long, v array<double>"), 3, block=9).collect():
+        got.setdefault(r["src"], set()).add(r["dst"])
+    for i, v in vs:
+        assert got[i] == {j for _, j in sorted((sum((a - b) ** 2 for a, b in zip(v, u)), j) for j, u in vs if j != i)[:3]}

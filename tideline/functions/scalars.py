@@ -36,7 +36,14 @@ def register_sql(spark: SparkSession) -> None:
             for i, v in enumerate(path or []):
                 yield i, v
 
+    @F.udtf(returnType="dst long, weight long")
+    class Neighbours:
+        def eval(self, adj: list):
+            for e in adj or []:
+                yield e["dst"], e["weight"]
+
     spark.udtf.register("path_steps", PathSteps)
+    spark.udtf.register("neighbours", Neighbours)
 
 
 def edge_schema() -> T.StructType:

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tideline.sources.tables import cut
+from tideline.sources.tables import saved
 
 
 def _large_star(edges: DataFrame) -> DataFrame:
@@ -36,10 +36,10 @@ def connected_components(edges: DataFrame, a: str = "a", b: str = "b", max_round
     ``edges`` needs two long columns; direction, repeats and self-loops don't matter, rows with a null end are
     ignored. Vertices without such an edge aren't in the result.
     """
-    cur = cut(edges.where(F.col(a) != F.col(b)).select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo")).distinct())
+    cur = saved(edges.where(F.col(a) != F.col(b)).select(F.greatest(a, b).alias("hi"), F.least(a, b).alias("lo")).distinct())
     seen = _state(cur)
     for _ in range(max_rounds if seen[0] else 0):
-        nxt = cut(_small_star(_large_star(cur)))
+        nxt = saved(_small_star(_large_star(cur)))
         now = _state(nxt)
         cur = nxt
         if now == seen:

@@ -6,7 +6,9 @@ The driver holds no rows. State is a DataFrame with one row a vertex,
 
 hash-partitioned by id like the edges, so a round has one exchange, that of the messages, reduced before it. A round is one job:
 its counters ride along as an Observation and the new state goes to the shared folder with ``checkpoint``. Vertices that are
-final may be moved out of the state (``open_buckets``), so a round costs what is still open.
+final may be moved out of the state (``open_buckets``), so a round costs what is still open. What two rounds back was written is deleted.
+
+A program with hooks is run round by round like the others: its hooks get the bucket and say what becomes of each of its vertices.
 
 Eager runs cut the graph into blocks. A block's bins live in one Arrow group: improvements of own vertices apply at once, those of
 others leave as messages. With fusion the block goes on with its current bucket while that is small enough.
@@ -27,15 +29,19 @@ from pyspark.sql import functions as F
 from tideline.plans.rules import OrderedProgram, constant_sum
 from tideline.plans.schedule import Schedule, validate
 from tideline.sources.graphs import Graph
-from tideline.sources.tables import cut, shared_dir
+from tideline.sources.tables import Store, cut, shared_dir
 
 #: Frontiers up to this many rows (of three longs) may be broadcast: 24 MB at most.
 BROADCAST_ROWS = 1_000_000
+#: Partitions over which ``balance=salted`` deals a hub's edges.
+SALTS = 8
 
 
 @dataclass
 class Metrics:
-    """What a run cost. ``rounds`` are global barriers; ``inner_rounds`` happened inside blocks or chained plans."""
+    """What a run cost. ``rounds`` are global barriers; ``inner_rounds`` happened inside blocks or chained plans; ``shuffles`` are the
+    exchanges that rounds plan (of messages, of frontiers or of blocks); ``released`` counts folders given back. ``work``, in ``row``, is the
+    number of rows that the algorithm itself handled: vertices taken, edges relaxed, priorities moved."""
 
     rounds: int = 0
     inner_rounds: int = 0
@@ -47,11 +53,14 @@ class Metrics:
     violations: int = 0
     jobs: int = 0
     pulls: int = 0
+    released: int = 0
+    shuffles: int = 0
     seconds: float = 0.0
     order: list = field(default_factory=list)
 
     def row(self) -> dict:
-        return {k: v for k, v in asdict(self).items() if k != "order"}
+        out = {k: v for k, v in asdict(self).items() if k != "order"}
+        return out | {"work": self.visited + self.relaxations + self.inserts}
 
 
 @dataclass
@@ -178,17 +187,20 @@ def initial_state(program: OrderedProgram, graph: Graph, start: dict[int, int] |
 def messages(frontier: DataFrame, graph: Graph, program: OrderedProgram, schedule: Schedule, size: int, pull: bool) -> DataFrame:
     """``[dst, new, n]``: the reduced updates along the frontier's out-edges and how many they were."""
     rule, f = program.rule, frontier.selectExpr("id AS src", "value AS __v")
-    if schedule.balance == "salted" and not pull:
-        # A hub's edges are dealt over several salts, and its frontier row goes to each.
-        salts = 8
-        f = f.withColumn("__s", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
-        sent = f.join(graph.pushed().withColumn("__s", F.pmod(F.xxhash64("dst"), F.lit(salts)).cast("int")), ["src", "__s"])
-    elif pull:
+    small = size <= BROADCAST_ROWS // 50
+    if pull:
         sent = graph.pulled().join(F.broadcast(f), "src")
-    elif schedule.balance == "edge":
-        sent = f.join(graph.edges.select("src", "dst", "weight"), "src")
+    elif schedule.balance == "edge" and size <= BROADCAST_ROWS:
+        # Partitions of equally many edges know nothing of the frontier's partitioning, so the frontier comes to them.
+        sent = graph.balanced().join(F.broadcast(f), "src")
+    elif schedule.balance == "salted" and small:
+        sent = graph.salted(SALTS).join(F.broadcast(f), "src")
+    elif schedule.balance == "salted":
+        # A hub's edges lie in several partitions, and its frontier row goes to each; the edges stay where they are.
+        f = f.withColumn("__s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        sent = graph.salted(SALTS).join(f.hint("shuffle_hash"), ["src", "__s"])
     else:
-        sent = graph.pushed().join(F.broadcast(f) if size <= BROADCAST_ROWS // 50 else f.hint("shuffle_hash"), "src")
+        sent = graph.pushed().join(F.broadcast(f) if small else f.hint("shuffle_hash"), "src")
     if rule.kind == "add":
         const = constant_sum(rule)
         if const and schedule.update == "lazy_count":
@@ -215,40 +227,68 @@ def better_sql(kind: str, bound: int | None, old: str = "value") -> str:
     return f"(new IS NOT NULL AND ({old} IS NULL OR new {'<' if kind == 'lower' else '>'} {old}){more})"
 
 
+_ROW = ["id", "value", "h", "active", "settled_at"]
+
+
+def side_by_side(q: BucketQueue, told: DataFrame, **columns: str) -> DataFrame:
+    """Each row of the state with the ``told`` columns (name to type) of its id, null where there are none, and ``__popped``.
+
+    Both lie by id already, so a union and an aggregate put them together without an exchange. A join would do the same, but its
+    estimated size is a product, which over rounds grows to numbers with millions of digits.
+    """
+    own = q.state.withColumn("__popped", q.ready()).selectExpr(*_ROW, "__popped", *[f"CAST(null AS {t}) AS {c}" for c, t in columns.items()])
+    other = told.selectExpr("id", "CAST(null AS long) AS value", "CAST(null AS long) AS h", "CAST(null AS boolean) AS active", "CAST(null AS long) AS settled_at", "CAST(null AS boolean) AS __popped", *columns)
+    return own.union(other).groupBy("id").agg(*[F.expr(f"max({c}) AS {c}") for c in [*_ROW[1:], "__popped", *columns]]).where("h IS NOT NULL")
+
+
 def merge(q: BucketQueue, msgs: DataFrame, bound: int | None) -> DataFrame:
-    """Reduced messages into the state: a left join on ids that lie together already."""
+    """Reduced messages into the state."""
     rule = q.program.rule
-    s = q.state.withColumn("__popped", q.ready()).join(msgs.hint("shuffle_hash"), F.col("id") == F.col("dst"), "left")
+    s = side_by_side(q, msgs.withColumnRenamed("dst", "id"), new="long", n="long")
     settled = f"CASE WHEN __popped THEN {q.cur}L ELSE settled_at END AS settled_at"
     if rule.kind == "add":
         floor = {None: None, "current": q.cur}.get(rule.floor, rule.floor)
         moved = "value + new" if floor is None else f"greatest(value + new, {floor}L)"
         changed = "(active AND NOT __popped AND new IS NOT NULL" + (")" if floor is None else f" AND value <> {floor})")
-        return s.selectExpr("id", f"CASE WHEN {changed} THEN {moved} ELSE value END AS value", "h", "active AND NOT __popped AS active", settled, "coalesce(n, 0) AS __n", f"{changed} AS __changed", "__popped")
+        back = f"{changed} AND (new {'>' if rule.sign < 0 else '<'} 0 OR {bucket_sql(q.schedule.delta, f'({moved})')} {'<' if q.program.spec.order == 'low' else '>'} {q.cur})"
+        return s.selectExpr("id", f"CASE WHEN {changed} THEN {moved} ELSE value END AS value", "h", "active AND NOT __popped AS active", settled, "coalesce(n, 0) AS __n", f"{changed} AS __changed", "__popped", f"coalesce({back}, false) AS __back")
     ch = better_sql(rule.kind, bound)
     # An accepted offer before the bucket in hand breaks the order: a negative weight, or an estimate that isn't consistent.
     back = f"{ch} AND {bucket_sql(q.schedule.delta, 'new + h')} {'<' if q.program.spec.order == 'low' else '>'} {q.cur}"
     return s.selectExpr("id", f"CASE WHEN {ch} THEN new ELSE value END AS value", "h", f"{ch} OR (active AND NOT __popped) AS active", settled, "coalesce(n, 0) AS __n", f"{ch} AS __changed", "__popped", f"coalesce({back}, false) AS __back")
 
 
+def hooked_round(q: BucketQueue, number: int) -> DataFrame:
+    """The state after the program's hooks have dealt with the bucket in hand."""
+    popped = q.pop().select("id", "value")
+    told = q.program.hooks[0](popped, q.cur, number)
+    for hook in q.program.hooks[1:]:
+        told = hook(told, q.cur, number)
+    s = side_by_side(q, told.select("id", "new", "keep"), new="long", keep="boolean")
+    stays = "(active AND (NOT __popped OR coalesce(keep, false)))"
+    moved = "(__popped AND new IS NOT NULL AND NOT new <=> value)"
+    back = f"{stays} AND {moved} AND {bucket_sql(q.schedule.delta, 'new + h')} {'<' if q.program.spec.order == 'low' else '>'} {q.cur}"
+    return s.selectExpr("id", f"CASE WHEN {moved} THEN new ELSE value END AS value", "h", f"{stays} AS active", f"CASE WHEN __popped AND NOT coalesce(keep, false) THEN {q.cur}L ELSE settled_at END AS settled_at", "CAST(__popped AS long) AS __n", f"{moved} AS __changed", "__popped", f"coalesce({back}, false) AS __back")
+
+
 def chained_hops(q: BucketQueue, graph: Graph, hops: int, bound: int | None) -> DataFrame:
     """Several hops of the bucket in one plan. A hop reads the state once: every row sends itself and, if it is in the bucket,
     an offer to each neighbour; one aggregate by id puts them together."""
     rule = q.program.rule
     best = F.min if rule.kind == "lower" else F.max
-    s = q.state.select("*", F.lit(0).cast("long").alias("__n"), F.lit(False).alias("__changed"), F.lit(False).alias("__popped"))
+    s = q.state.select("*", F.lit(0).cast("long").alias("__n"), F.lit(False).alias("__changed"), F.lit(False).alias("__popped"), F.lit(False).alias("__back"))
     adj = graph.packed()
     for _ in range(hops):
         x = s.join(adj, "id", "left").withColumn("__go", q.ready())
         me = F.struct(F.col("id").alias("to"), F.col("value").alias("v"), F.lit(True).alias("own"))
         offers = F.transform("adj", lambda e: F.struct(e["dst"].alias("to"), rule.new(F.col("value"), e["weight"]).cast("long").alias("v"), F.lit(False).alias("own")))
         sent = F.concat(F.array(me), F.when(F.col("__go") & F.col("adj").isNotNull(), offers).otherwise(F.array().cast("array<struct<to:long,v:long,own:boolean>>")))
-        y = x.select(F.explode(sent).alias("m"), "h", "active", "settled_at", "__go", "__n", "__changed", "__popped")
+        y = x.select(F.explode(sent).alias("m"), "h", "active", "settled_at", "__go", "__n", "__changed", "__popped", "__back")
         own = lambda c: F.max(F.when(F.col("m.own"), F.col(c)))
-        g = y.groupBy(F.col("m.to").alias("id")).agg(own("m.v").alias("old"), best(F.when(~F.col("m.own"), F.col("m.v"))).alias("new"), F.count(F.when(~F.col("m.own"), 1)).alias("got"), *[own(c).alias(c) for c in ("h", "active", "settled_at", "__go", "__n", "__changed", "__popped")])
+        g = y.groupBy(F.col("m.to").alias("id")).agg(own("m.v").alias("old"), best(F.when(~F.col("m.own"), F.col("m.v"))).alias("new"), F.count(F.when(~F.col("m.own"), 1)).alias("got"), *[own(c).alias(c) for c in ("h", "active", "settled_at", "__go", "__n", "__changed", "__popped", "__back")])
         ch = better(rule.kind, F.col("new"), F.col("old"))
         ch = ch if bound is None else ch & (F.col("new") + F.col("h") < bound)
-        s = g.where("h is not null").select("id", F.when(ch, F.col("new")).otherwise(F.col("old")).alias("value"), "h", (ch | (F.col("active") & ~F.col("__go"))).alias("active"), F.when(F.col("__go"), F.lit(q.cur).cast("long")).otherwise(F.col("settled_at")).alias("settled_at"), (F.col("__n") + F.col("got")).alias("__n"), (F.col("__changed") | ch).alias("__changed"), (F.col("__popped") | F.col("__go")).alias("__popped"))
+        s = g.where("h is not null").select("id", F.when(ch, F.col("new")).otherwise(F.col("old")).alias("value"), "h", (ch | (F.col("active") & ~F.col("__go"))).alias("active"), F.when(F.col("__go"), F.lit(q.cur).cast("long")).otherwise(F.col("settled_at")).alias("settled_at"), (F.col("__n") + F.col("got")).alias("__n"), (F.col("__changed") | ch).alias("__changed"), (F.col("__popped") | F.col("__go")).alias("__popped"), (F.col("__back") | (ch & F.coalesce(F.expr(f"{bucket_sql(q.schedule.delta, 'new + h')} {'<' if q.program.spec.order == 'low' else '>'} {q.cur}"), F.lit(False)))).alias("__back"))
     return s
 
 
@@ -276,7 +316,7 @@ def block_step(program: OrderedProgram, schedule: Schedule, cur: int):
         mine = to == block
         place = np.where(mine, np.searchsorted(ids, dst), -1)
         in_hand = lambda: active & (value != none) & ((value + np.where(value != none, h, 0)) // delta <= cur)
-        frontier, rounds, relaxed, inserted, popped = np.flatnonzero(in_hand()), 0, 0, 0, 0
+        frontier, rounds, relaxed, inserted, popped, back = np.flatnonzero(in_hand()), 0, 0, 0, 0, 0
         sent_to: list[np.ndarray] = []
         sent_at: list[np.ndarray] = []
         sent_v: list[np.ndarray] = []
@@ -307,6 +347,7 @@ def block_step(program: OrderedProgram, schedule: Schedule, cur: int):
             np.minimum.at(value, p, v)
             inserted += int((v < old[p]).sum())
             moved = np.flatnonzero(value < old)
+            back += int(((value[moved] + h[moved]) // delta < cur).sum())
             active[moved] = True
             frontier = moved[(value[moved] + h[moved]) // delta <= cur]
             if not 0 < len(frontier) <= limit:
@@ -315,22 +356,22 @@ def block_step(program: OrderedProgram, schedule: Schedule, cur: int):
         tb, td, tv = cat(sent_to, np.int32), cat(sent_at, np.int64), cat(sent_v, np.int64)
         m, k = len(ids), len(td)
         null = lambda x: pa.array(x, pa.int64(), mask=x == none)
-        kinds = np.r_[np.zeros(m, "i4"), np.ones(k, "i4"), np.arange(2, 6, dtype="i4")]
-        counts = np.r_[np.zeros(m + k, "i8"), relaxed, inserted, popped, rounds]
+        kinds = np.r_[np.zeros(m, "i4"), np.ones(k, "i4"), np.arange(2, 7, dtype="i4")]
+        counts = np.r_[np.zeros(m + k, "i8"), relaxed, inserted, popped, rounds, back]
         return pa.table({
-            "kind": kinds, "block": np.r_[np.full(m, block, "i4"), tb, np.full(4, -1)].astype("i4"), "id": np.r_[ids, td, np.full(4, -1)],
-            "value": pa.concat_arrays([null(value), pa.array(tv, pa.int64()), pa.nulls(4, pa.int64())]), "h": np.r_[h, np.zeros(k + 4, "i8")],
-            "active": np.r_[active, np.zeros(k + 4, bool)], "settled_at": pa.concat_arrays([null(settled), pa.nulls(k + 4, pa.int64())]), "n": counts,
+            "kind": kinds, "block": np.r_[np.full(m, block, "i4"), tb, np.full(5, -1)].astype("i4"), "id": np.r_[ids, td, np.full(5, -1)],
+            "value": pa.concat_arrays([null(value), pa.array(tv, pa.int64()), pa.nulls(5, pa.int64())]), "h": np.r_[h, np.zeros(k + 5, "i8")],
+            "active": np.r_[active, np.zeros(k + 5, bool)], "settled_at": pa.concat_arrays([null(settled), pa.nulls(k + 5, pa.int64())]), "n": counts,
         })
 
     return step
 
 
-def eager_round(q: BucketQueue, edges: DataFrame, active_blocks: list[int], parts: int) -> tuple[DataFrame, DataFrame]:
+def eager_round(q: BucketQueue, edges: DataFrame, active_blocks: list[int], parts: int, store: Store) -> tuple[DataFrame, DataFrame]:
     """The state after one round, and the counters by kind. ``state`` has a ``block`` column and is partitioned by it."""
     rule = q.program.rule
     here = F.col("block").isin(active_blocks)
-    out = cut(q.state.where(here).groupBy("block").cogroup(edges.where(here).groupBy("block")).applyInArrow(block_step(q.program, q.schedule, q.cur), _OUT))
+    out = store.cut(q.state.where(here).groupBy("block").cogroup(edges.where(here).groupBy("block")).applyInArrow(block_step(q.program, q.schedule, q.cur), _OUT))
     rest = q.state.where(~here).select(F.lit(0).alias("kind"), "block", "id", "value", "h", "active", "settled_at")
     rows = out.where("kind < 2").drop("n").unionByName(rest).repartition(parts, "block")
     own = lambda c: F.max(F.when(F.col("kind") == 0, F.col(c)))
@@ -357,12 +398,12 @@ def run_ordered(program: OrderedProgram, graph: Graph, schedule: Schedule | None
         state = initial_state(program, graph, start, extra)
         edges = None
         if eager:
-            owner, edges = graph.blocked(schedule.blocks, schedule.layout)
+            owner, edges = graph.blocked(schedule.blocks or graph.block_count(), schedule.layout)
             state = state.join(owner, "id", "left").withColumn("block", F.coalesce("block", F.lit(0))).repartition(graph.P, "block")
         else:
             state = state.repartition(graph.P, "id")
-        q = BucketQueue(program, schedule, state)
-        view = _settle(q, m, watch, eager)
+        q, lake = BucketQueue(program, schedule, state), Store(graph.spark)
+        view = _settle(q, m, watch, eager, lake)
         degrees = edges_total = None
         store = _Overflow(q, schedule) if schedule.open_buckets else None
         seen: set[int] = set()
@@ -376,13 +417,15 @@ def run_ordered(program: OrderedProgram, graph: Graph, schedule: Schedule | None
             bound = view["watched"] if prune else None
             if eager:
                 blocks = sorted(view["blocks"] or [])
-                new, counts = eager_round(q, edges, blocks, graph.P)
+                new, counts = eager_round(q, edges, blocks, graph.P, lake)
                 tally = {r["kind"]: r for r in counts.collect()}
                 m.jobs += 2
+                m.shuffles += 2
                 m.relaxations += tally[2]["n"]
                 m.inserts += tally[3]["n"]
                 m.visited += tally[4]["n"]
                 m.inner_rounds += max(0, tally[5]["most"] - 1)
+                m.violations += tally[6]["n"]
                 q.state = new
             else:
                 pull = schedule.direction == "pull"
@@ -395,17 +438,21 @@ def run_ordered(program: OrderedProgram, graph: Graph, schedule: Schedule | None
                     pull = out > schedule.auto_ratio * edges_total
                 pull = pull and view["n_active"] <= BROADCAST_ROWS
                 m.pulls += pull
-                if store:
+                m.shuffles += schedule.plan_hops if schedule.plan_hops > 1 else int(not pull) + (schedule.balance == "salted" and not pull and view["n_active"] > BROADCAST_ROWS // 50)
+                if program.hooks:
+                    q.state = hooked_round(q, m.rounds)
+                elif store:
                     q.state = store.round(q, graph, view["n_active"], pull, bound)
                 elif schedule.plan_hops > 1:
                     q.state = chained_hops(q, graph, schedule.plan_hops, bound)
                     m.inner_rounds += schedule.plan_hops - 1
                 else:
                     q.state = lazy_round(q, graph, view["n_active"], pull, bound)
-            view = _settle(q, m, watch, eager)
+            view = _settle(q, m, watch, eager, lake)
             if store and view["next"] is None:
                 view = store.reopen(q, m, watch)
-        m.buckets = len(seen)
+                lake.pin()
+        m.buckets, m.released = len(seen), lake.released
         m.seconds = time.monotonic() - began
         final = q.state if store is None else store.all_rows(q)
         return OrderedResult(final, m)
@@ -415,8 +462,9 @@ def _least(q: BucketQueue) -> int:
     return q.cur * q.schedule.delta
 
 
-def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool) -> dict:
-    """Writes the new state, reads the round's counters, and moves the queue to the next bucket."""
+def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool, lake: Store | None = None) -> dict:
+    """Writes the new state, reads the round's counters, moves the queue to the next bucket, and gives back what lies behind it."""
+    write = lake.cut if lake else cut
     has = set(q.state.columns)
     cols = q.counters(watch)
     for c, name in (("__n", "sent"), ("__changed", "moved"), ("__popped", "popped"), ("__back", "back")):
@@ -424,14 +472,16 @@ def _settle(q: BucketQueue, m: Metrics, watch: int | None, eager: bool) -> dict:
     if eager:
         cols.append(F.collect_set(F.when(F.col("active"), F.col("block"))).alias("blocks"))
     if q.schedule.callback:  # a Python function can't stand in an Observation
-        state = cut(q.state)
+        state = write(q.state)
         view = state.agg(*cols).first().asDict()
         m.jobs += 2
     else:
         seen = Observation()
-        state = cut(q.state.observe(seen, *cols))
+        state = write(q.state.observe(seen, *cols))
         view = seen.get
         m.jobs += 1
+    if lake:
+        lake.keep(state)
     q.state = state.drop("__n", "__changed", "__popped", "__back")
     q.cur = view["next"]
     if eager and m.rounds and q.cur is not None:

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from tideline.operators.engine import OrderedResult, RoundView, run_ordered
 from tideline.plans.rules import EdgeRule, OrderedProgram, PrioritySpec
 from tideline.plans.schedule import UNBOUNDED, Schedule
-from tideline.sources.graphs import Graph
+from tideline.sources.graphs import Graph, tiles
 from tideline.sources.tables import cut
 
 SSSP = OrderedProgram("sssp", PrioritySpec("low", True), EdgeRule.lower(lambda v, w: v + w), "sssp")
@@ -94,11 +94,25 @@ def many(graph: Graph, sources: list[int], delta: int = 1, targets: dict[int, in
 
 
 def parents(graph: Graph, result: OrderedResult, source: int) -> DataFrame:
-    """``[id, dist, parent]``: for each reached vertex the smallest neighbour on a shortest path; null for the source."""
+    """``[id, dist, parent]``: for each reached vertex a neighbour on a shortest path; null for the source.
+
+    Over edges of positive weight the smallest such neighbour, which lies nearer to the source. A vertex that only edges of weight zero reach
+    takes the smallest neighbour among those that the source reaches with one such edge less, so that parents never form a cycle.
+    """
     d = result.values("dist")
-    tight = d.toDF("src", "ds").join(graph.edges, "src").join(d.toDF("dst", "dd"), "dst").where("ds + weight = dd").where(F.col("dst") != source)
-    up = tight.groupBy(F.col("dst").alias("id")).agg(F.min(F.struct("ds", "src")).alias("m")).select("id", F.col("m.src").alias("parent"))
-    return d.join(up, "id", "left")
+    tight = cut(d.toDF("src", "ds").join(graph.edges, "src").join(d.toDF("dst", "dd"), "dst").where("ds + weight = dd").where(F.col("dst") != source).select("src", "dst", "weight"))
+    up = cut(tight.where("weight > 0").groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("parent")))
+    level = tight.where("weight = 0").join(up.select(F.col("id").alias("dst")), "dst", "left_anti").select("src", "dst")
+    if level.isEmpty():
+        return d.join(up, "id", "left")
+    level = cut(level)
+    found, front = up, up.select("id").unionByName(d.where(F.col("id") == source).select("id"))
+    while True:
+        new = level.join(front.select(F.col("id").alias("src")), "src").join(found.select(F.col("id").alias("dst")), "dst", "left_anti")
+        new = cut(new.groupBy(F.col("dst").alias("id")).agg(F.min("src").alias("parent")))
+        if new.isEmpty():
+            return d.join(found, "id", "left")
+        found, front = cut(found.unionByName(new)), new.select("id")
 
 
 def extract_path(tree: DataFrame, source: int, target: int, max_hops: int = 100_000) -> list[int]:
@@ -126,10 +140,8 @@ def k_hop(graph: Graph, source: int, k: int) -> DataFrame:
 
 def pairs_by_distance(graph: Graph, source: int, n: int = 10, schedule: Schedule | None = None) -> list[int]:
     """One target for each of ``n`` equal parts of the distances from ``source``: the first vertex of the part."""
-    from pyspark.sql import Window as W
-
     d = sssp(graph, source, schedule or Schedule(delta=UNBOUNDED)).values("dist")
-    part = d.withColumn("part", F.ntile(n).over(W.orderBy("dist", "id")))
+    part = tiles(d, n, ["dist", "id"])
     return [r["t"] for r in part.groupBy("part").agg(F.min_by("id", F.struct("dist", "id")).alias("t")).orderBy("part").collect()]
 
 

@@ -1,54 +1,105 @@
-"""Approximate set cover by buckets of value per cost, and sequential greedy cover as its yardstick."""
+"""Approximate set cover on the ordered engine, and sequential greedy cover as its yardstick."""
 
 from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tideline.sources.tables import cut
+from tideline.operators.engine import Metrics, run_ordered
+from tideline.plans.rules import EdgeRule, OrderedProgram, PrioritySpec
+from tideline.plans.schedule import Schedule
+from tideline.sources.graphs import Graph
+from tideline.sources.tables import cut, saved
 
 
 @dataclass
 class Cover:
     chosen: DataFrame  # set_id, gain, round, bucket
-    rounds: int
-    buckets: int
+    metrics: Metrics
 
+    @property
+    def rounds(self) -> int:
+        return self.metrics.rounds
 
-def set_cover(system: DataFrame, eps: float = 0.1, accept: float = 0.1, seed: int = 1, costs: DataFrame | None = None) -> Cover:
-    """Sets that together hold every element of ``[set_id, elem_id]``.
+    @property
+    def buckets(self) -> int:
+        return self.metrics.buckets
 
-    A set's bucket is floor(log base 1+eps of uncovered elements per cost); the highest bucket goes first. Its sets compete:
-    each of their uncovered elements goes to the set with the smallest rank, ranks being an arithmetic hash of set, round and
-    seed. A set that wins at least a (1 - accept) part of what its bucket promises is chosen. The set of the smallest rank wins
-    all its elements, so every round chooses one.
+
+class _Election:
+    """What a round does with the sets of its bucket; the hook of the engine's program.
+
+    A round takes the sets of ``width`` buckets, and only these are counted anew: a count can only have fallen since, so a set that is elsewhere
+    can't be worth more than its bucket. The best bucket among the new counts is the true best one unless it lies below those taken;
+    then everything moves and the next round goes on there. Sets that belong to it compete, each of their uncovered elements going to the one of the smallest rank (an arithmetic hash of
+    set, round and seed). A set that wins at least a (1 - accept) part of what the bucket promises is chosen. The set of the
+    smallest rank wins all its elements, so a round with sets that belong here chooses one.
     """
-    pairs = cut(system.select("set_id", "elem_id").where("set_id is not null and elem_id is not null").distinct())
-    cost = costs.select("set_id", "cost") if costs is not None else None
-    spark, chosen, seen, rounds = system.sparkSession, [], set(), 0
-    while True:
-        worth = pairs.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
-        worth = worth.join(cost, "set_id") if cost is not None else worth.withColumn("cost", F.lit(1).cast("long"))
-        worth = cut(worth.withColumn("b", F.floor(F.log(F.col("n") / F.col("cost")) / F.log(F.lit(1 + eps)) + 1e-9)))
+
+    def __init__(self, pairs: DataFrame, eps: float, accept: float, seed: int, cost: DataFrame | None, width: int):
+        self.width = width
+        self.pairs, self.eps, self.accept, self.seed, self.cost = pairs, eps, accept, seed, cost
+        self.covered: list[DataFrame] = []
+        self.chosen: list[DataFrame] = []
+
+    def bucket(self) -> Column:
+        """floor(log base 1+eps of uncovered elements per cost)."""
+        return F.floor(F.log(F.col("n") / F.col("cost")) / F.log(F.lit(1 + self.eps)) + 1e-9)
+
+    def worth(self, pairs: DataFrame) -> DataFrame:
+        n = pairs.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
+        n = n.join(self.cost, "set_id") if self.cost is not None else n.withColumn("cost", F.lit(1).cast("long"))
+        return n.withColumn("b", self.bucket())
+
+    def _gone(self) -> DataFrame:
+        out = self.covered[0]
+        for x in self.covered[1:]:
+            out = out.unionByName(x)
+        return out
+
+    def __call__(self, popped: DataFrame, cur: int, number: int) -> DataFrame:
+        live = popped.select(F.col("id").alias("set_id")).join(self.pairs, "set_id")
+        live = saved(live.join(self._gone(), "elem_id", "left_anti").select("set_id", "elem_id") if self.covered else live.select("set_id", "elem_id"))
+        worth = self.worth(live)
         top = worth.agg(F.max("b")).first()[0]
-        if top is None:
-            break
-        rounds += 1
-        seen.add(top)
-        rank = (F.col("set_id") * 7919 + F.lit((rounds * 104729 + seed * 15485863) % 1_000_003)) * 31 % 1_000_003
-        bucket = worth.where(F.col("b") == top).select("set_id", "cost", rank.alias("rank"))
-        won = pairs.join(bucket, "set_id").groupBy("elem_id").agg(F.min(F.struct("rank", "set_id", "cost")).alias("w"))
+        new = self._elect(live, worth, top, number) if top is not None and top > cur - self.width else worth.limit(0)
+        told = popped.select("id").join(worth.select(F.col("set_id").alias("id"), F.col("b").alias("new")), "id", "left")
+        told = told.join(new.select(F.col("set_id").alias("id"), F.lit(True).alias("won")), "id", "left")
+        return told.select("id", F.least("new", F.lit(cur)).cast("long").alias("new"), (F.col("new").isNotNull() & F.col("won").isNull()).alias("keep"))
+
+    def _elect(self, live: DataFrame, worth: DataFrame, top: int, number: int) -> DataFrame:
+        """The sets that are chosen from bucket ``top``; their elements count as covered from here on."""
+        rank = (F.col("set_id") * 7919 + F.lit((number * 104729 + self.seed * 15485863) % 1_000_003)) * 31 % 1_000_003
+        here = worth.where(F.col("b") == top).select("set_id", "cost", rank.alias("rank"))
+        won = live.join(here, "set_id").groupBy("elem_id").agg(F.min(F.struct("rank", "set_id", "cost")).alias("w"))
         won = won.groupBy(F.col("w.set_id").alias("set_id"), F.col("w.cost").alias("cost")).agg(F.count(F.lit(1)).alias("gain"))
-        new = cut(won.where(F.col("gain") >= (1 - accept) * (1 + eps) ** top * F.col("cost") - 1e-9).select("set_id", "gain"))
-        chosen.append(new.select("set_id", "gain", F.lit(rounds).alias("round"), F.lit(top).alias("bucket")))
-        covered = pairs.join(new.select("set_id"), "set_id", "left_semi").select("elem_id").distinct()
-        pairs = cut(pairs.join(covered, "elem_id", "left_anti").select("set_id", "elem_id"))
+        new = saved(won.where(F.col("gain") >= (1 - self.accept) * (1 + self.eps) ** top * F.col("cost") - 1e-9).select("set_id", "gain"))
+        self.chosen.append(new.select("set_id", "gain", F.lit(number).alias("round"), F.lit(top).cast("long").alias("bucket")))
+        self.covered.append(saved(live.join(new.select("set_id"), "set_id", "left_semi").select("elem_id").distinct()))
+        if len(self.covered) > 8:
+            # Elements that are covered leave the table of pairs from time to time, not in every round.
+            self.pairs, self.covered = saved(self.pairs.join(self._gone(), "elem_id", "left_anti").select("set_id", "elem_id")), []
+        return new
+
+
+def set_cover(system: DataFrame, eps: float = 0.1, accept: float = 0.1, seed: int = 1, costs: DataFrame | None = None, width: int = 16) -> Cover:
+    """Sets that together hold every element of ``[set_id, elem_id]``: buckets of value per cost, the highest first.
+
+    A set without a row in ``costs`` (``[set_id, cost]``, positive) can't be chosen.
+    """
+    spark = system.sparkSession
+    pairs = cut(system.select("set_id", "elem_id").where("set_id is not null and elem_id is not null").distinct())
+    hook = _Election(pairs, eps, accept, seed, costs.select("set_id", "cost") if costs is not None else None, width)
+    first = cut(hook.worth(pairs).select(F.col("set_id").alias("id"), F.col("b").cast("long").alias("value")))
+    program = OrderedProgram("set_cover", PrioritySpec("high", False), EdgeRule("hook"), "set_cover", (hook,))
+    sets = Graph(spark.createDataFrame([], "src long, dst long, weight long"), first.select("id"))
+    res = run_ordered(program, sets, Schedule(width=width), extra=first)
     out = spark.createDataFrame([], "set_id long, gain long, round int, bucket long")
-    for x in chosen:
+    for x in hook.chosen:
         out = out.unionByName(x)
-    return Cover(cut(out), rounds, len(seen))
+    return Cover(cut(out), res.metrics)
 
 
 def greedy(system: DataFrame) -> DataFrame:

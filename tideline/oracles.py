@@ -47,6 +47,13 @@ TURN = """edges AS (SELECT conv_id * 1000 + turn AS src, conv_id * 1000 + nxt AS
   SELECT conv_id, turn, lead(turn) OVER (PARTITION BY conv_id ORDER BY turn) AS nxt FROM (SELECT DISTINCT conv_id, turn FROM conversations)) WHERE nxt IS NOT NULL)"""
 
 
+def log_weights(graph: str) -> str:
+    """The edges of a graph with weights 1..floor(log2 n) - 1."""
+    return graph.replace("edges AS", "heavy AS") + """,
+most AS (SELECT greatest(1, CAST(floor(log2(count(*))) AS BIGINT) - 1) AS m FROM (SELECT src FROM heavy UNION SELECT dst FROM heavy)),
+edges AS (SELECT src, dst, CAST((7919 * src + 104729 * dst) % m + 1 AS BIGINT) AS weight FROM heavy, most)"""
+
+
 def plain(graph: str, body: str) -> str:
     return f"WITH {graph}\n{body}"
 

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import io
+from contextlib import redirect_stdout
+
 from tideline.operators.engine import BucketQueue, initial_state, lazy_round, steady
 from tideline.plans.rules import OrderedProgram
 from tideline.plans.schedule import Schedule, validate
@@ -17,4 +20,7 @@ def explain_schedule(program: OrderedProgram, graph: Graph, schedule: Schedule,
         q = BucketQueue(program, schedule, state)
         q.cur = 0
         new = lazy_round(q, graph, frontier, schedule.direction == "pull", None)
-        return new._jdf.queryExecution().executedPlan().toString()
+        told = io.StringIO()
+        with redirect_stdout(told):
+            new.explain()
+        return told.getvalue()

@@ -25,13 +25,15 @@ class EdgeRule:
     """What an edge out of the bucket does to its target: ``lower`` or ``raise`` to a value, or ``add`` to it.
 
     ``new``: from the source's value and the edge's weight (columns) to the offered value. ``delta``: what ``add`` adds,
-    a number or a Column of the edge; ``floor``: the least result of an addition, a number or ``current``.
+    a number or a Column of the edge, whose ``sign`` (1 or -1) must then be told; ``floor``: the least result of an addition, a number
+    or ``current``. The kind ``hook`` sends nothing along edges: the program's hooks say what becomes of the bucket.
     """
 
     kind: str
     new: Callable[[Column, Column], Column] | None = None
     delta: int | Callable[[Column], Column] | None = None
     floor: int | str | None = None
+    sign: int = 0
 
     @staticmethod
     def lower(new: Callable[[Column, Column], Column]) -> EdgeRule:
@@ -42,13 +44,17 @@ class EdgeRule:
         return EdgeRule("raise", new)
 
     @staticmethod
-    def add(delta: int | Callable[[Column], Column], floor: int | str | None = None) -> EdgeRule:
-        return EdgeRule("add", None, delta, floor)
+    def add(delta: int | Callable[[Column], Column], floor: int | str | None = None, sign: int = 0) -> EdgeRule:
+        return EdgeRule("add", None, delta, floor, (delta > 0) - (delta < 0) if isinstance(delta, int) else sign)
 
 
 @dataclass(frozen=True)
 class OrderedProgram:
-    """An algorithm without a word on how it runs. ``hooks``: outside code that also looks at the bucket."""
+    """An algorithm without a word on how it runs.
+
+    ``hooks``: outside code that looks at the bucket. A round calls each with the bucket's rows (``[id, value]``), its number and the
+    number of the round; it returns ``[id, new, keep]``: the value that each of these vertices has now, and whether it stays active.
+    """
 
     name: str
     spec: PrioritySpec
@@ -95,6 +101,10 @@ def check_monotone(spec: PrioritySpec, rule: EdgeRule) -> Verdict:
     """Priorities may only move one way; which way a rule moves them must fit what is taken first."""
     if rule.kind == "lower" and spec.order != "low" or rule.kind == "raise" and spec.order != "high":
         return Verdict(False, f"rule {rule.kind} under order {spec.order}")
-    if rule.kind == "add" and isinstance(rule.delta, int) and rule.delta == 0:
-        return Verdict(False, "an addition of nothing")
+    if rule.kind == "add" and not rule.sign:
+        return Verdict(False, "an addition of nothing, or of a sign that isn't told")
+    if rule.kind == "add" and spec.order == "low" and rule.sign < 0 and rule.floor != "current":
+        return Verdict(False, "priorities may fall below the bucket in hand: the floor must be the current one")
+    if rule.kind == "add" and spec.order == "high" and rule.sign > 0:
+        return Verdict(False, "priorities may rise above the bucket in hand")
     return Verdict(True)

@@ -17,7 +17,7 @@ class Schedule:
     is worked off without a barrier. ``direction``: push, pull, or by the frontier's out-degree each round.
     ``open_buckets``: buckets kept at hand, later ones wait in an overflow (0: all). ``width``: buckets taken in one round
     (1: exact order). ``plan_hops``: hops of one bucket in one plan. ``callback``: bucket ids by a Python function.
-    ``blocks``/``layout``: how eager runs cut the graph. ``balance``: vertex, edge or salted frontiers."""
+    ``blocks``/``layout``: how eager runs cut the graph (0: by its edges). ``balance``: vertex, edge or salted frontiers."""
 
     update: str = "lazy"
     delta: int = 1
@@ -27,7 +27,7 @@ class Schedule:
     width: int = 1
     plan_hops: int = 1
     callback: bool = False
-    blocks: int = 8
+    blocks: int = 0
     layout: str = "range"
     balance: str = "vertex"
     auto_ratio: float = 0.05
@@ -74,14 +74,16 @@ def validate(program: OrderedProgram, s: Schedule) -> None:
     need(s.update in UPDATES, f"unknown update {s.update}")
     need(s.direction in DIRECTIONS, f"unknown direction {s.direction}")
     need(s.balance in ("vertex", "edge", "salted"), f"unknown balance {s.balance}")
-    need(s.delta >= 1 and s.width >= 1 and s.plan_hops >= 1 and s.open_buckets >= 0 and s.blocks >= 1 and s.fuse_limit >= 0, "numbers must not be below their least value")
+    need(s.delta >= 1 and s.width >= 1 and s.plan_hops >= 1 and s.open_buckets >= 0 and s.blocks >= 0 and s.fuse_limit >= 0, "numbers must not be below their least value")
     mono = check_monotone(program.spec, program.rule)
     need(mono.ok, mono.reason)
     eager = s.update in ("eager", "eager_fused")
+    need(bool(program.hooks) == (program.rule.kind == "hook"), "hooks and the rule of that kind belong together")
+    need(not (program.hooks and (s.update != "lazy" or s.callback or s.plan_hops > 1 or s.open_buckets)), "hooks run in plain lazy rounds")
     need(not (eager and s.direction != "push"), "eager updates only push")
     need(not (s.update == "lazy_count" and not constant_sum(program.rule)), "updates aren't a constant sum")
     need(program.spec.coarsen or s.delta == 1, "its order must be strict, so delta is 1")
-    need(program.spec.coarsen or s.width == 1, "its order must be strict, so width is 1")
+    need(program.spec.coarsen or s.width == 1 or bool(program.hooks), "its order must be strict, so width is 1")
     if eager:
         verdict = eager_legal(program)
         need(verdict.ok, verdict.reason)

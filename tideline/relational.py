@@ -124,8 +124,12 @@ def bucket_prefix_sum(s, d):
 def core_rank(s, d):
     from tideline.operators import kcore as K
 
+    core = K.coreness(K.kcore(G.g_web(s, d, True))).select("id", "coreness")
+    # Windows run over the distinct values only; rows take their value's rank by a join.
     w = W.orderBy(F.desc("coreness"))
-    return K.coreness(K.kcore(G.g_web(s, d, True))).select("id", "coreness", F.rank().over(w).cast("long").alias("r"), F.dense_rank().over(w).cast("long").alias("dr"))
+    n = core.groupBy("coreness").agg(F.count(F.lit(1)).alias("n"))
+    rank = n.select("coreness", (F.coalesce(F.sum("n").over(w.rowsBetween(W.unboundedPreceding, -1)), F.lit(0)) + 1).cast("long").alias("r"), F.row_number().over(w).cast("long").alias("dr"))
+    return core.join(rank, "coreness").select("id", "coreness", "r", "dr")
 
 
 @register("top_neighbors", O.plain(SOCIAL, "SELECT src, dst, weight FROM (SELECT *, row_number() OVER (PARTITION BY src ORDER BY weight, dst) AS r FROM edges) WHERE r <= 3"))
@@ -147,7 +151,7 @@ def conversation_chain(s, d):
 @register("distance_deciles", O.distances(SOCIAL, 0, "SELECT part, count(*) AS n, min(dist) AS low, max(dist) AS high FROM (SELECT dist, ntile(10) OVER (ORDER BY dist, id) AS part FROM d) GROUP BY part"))
 def distance_deciles(s, d):
     x = P.sssp(G.g_social(s, d), 0, Schedule(delta=64)).values("dist")
-    return x.withColumn("part", F.ntile(10).over(W.orderBy("dist", "id")).cast("long")).groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.min("dist").alias("low"), F.max("dist").alias("high"))
+    return G.tiles(x, 10, ["dist", "id"]).groupBy("part").agg(F.count(F.lit(1)).alias("n"), F.min("dist").alias("low"), F.max("dist").alias("high"))
 
 
 @register("farthest_k", O.distances(SOCIAL, 0, "SELECT id, dist FROM d ORDER BY dist DESC, id LIMIT 10"))
@@ -235,9 +239,11 @@ def suggest_delta(s, d):
     return s.createDataFrame([(x & (x - 1) == 0, 1 <= x <= 1 << 17)], "power_of_two boolean, within boolean")
 
 
-@register("frontier_estimate")
+@register("frontier_estimate", O.plain(SOCIAL, "SELECT weight // 256 AS bucket, count(DISTINCT dst) AS targets, true AS estimate_within_a_fifth FROM edges GROUP BY 1"))
 def frontier_estimate(s, d):
-    return G.g_social(s, d).edges.groupBy(X.bucket_of(F.col("weight"), 256).alias("bucket")).agg(F.approx_count_distinct("dst").alias("targets"))
+    """The sketch's estimate of a frontier's size, held against the exact number."""
+    n = G.g_social(s, d).edges.groupBy(X.bucket_of(F.col("weight"), 256).alias("bucket")).agg(F.approx_count_distinct("dst").alias("e"), F.countDistinct("dst").alias("targets"))
+    return n.select("bucket", "targets", (F.abs(F.col("e") - F.col("targets")) <= 0.2 * F.col("targets")).alias("estimate_within_a_fifth"))
 
 
 register("events_tumbling", "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2")(lambda s, d: S.tumbling(table(s, d, "events"), "1 hour"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from pathlib import Path
 
@@ -10,8 +11,9 @@ from pyspark.sql import functions as F
 
 from tideline.operators.engine import OrderedResult
 from tideline.plans.schedule import Schedule
+from tideline.sources.graphs import Graph
 
-FIELDS = "run string, rounds long, inner_rounds long, buckets long, revisits long, relaxations long, inserts long, visited long, violations long, jobs long, pulls long, seconds double"
+FIELDS = "run string, rounds long, inner_rounds long, buckets long, revisits long, relaxations long, inserts long, visited long, violations long, jobs long, shuffles long, pulls long, released long, work long, seconds double"
 
 
 def table_of(spark: SparkSession, runs: dict[str, OrderedResult]) -> DataFrame:
@@ -33,6 +35,19 @@ def update_table(spark: SparkSession, run: Callable[[Schedule], OrderedResult],
     return compare(spark, run, {m: Schedule(update=m, delta=delta) for m in modes})
 
 
+def seconds(run: Callable[[], object]) -> float:
+    """Wall clock of a call."""
+    began = time.monotonic()
+    run()
+    return time.monotonic() - began
+
+
+def redundant(graph: Graph, result: OrderedResult) -> float:
+    """The share of relaxations beyond one for each edge out of a vertex that was reached."""
+    once = graph.edges.join(result.values().select(F.col("id").alias("src")), "src", "left_semi").count()
+    return max(0.0, 1 - once / max(1, result.metrics.relaxations))
+
+
 def mean_over(run: Callable[[int], OrderedResult], starts: list[int]) -> float:
     """Mean seconds over starts."""
     return sum(run(s).metrics.seconds for s in starts) / len(starts)

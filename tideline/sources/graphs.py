@@ -8,6 +8,8 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -54,6 +56,20 @@ class Graph:
             self._copies["push"] = cut(self.edges.select(*EDGE).repartition(self.P, "src").sortWithinPartitions("src"))
         return self._copies["push"]
 
+    def salted(self, salts: int) -> DataFrame:
+        """Edges with a salt of their target, partitioned by source and salt: a hub's edges lie in several partitions."""
+        key = f"salt-{salts}"
+        if key not in self._copies:
+            e = self.edges.select(*EDGE, F.pmod(F.xxhash64("dst"), F.lit(salts)).cast("int").alias("__s"))
+            self._copies[key] = cut(e.repartition(self.P, "src", "__s").sortWithinPartitions("src"))
+        return self._copies[key]
+
+    def balanced(self) -> DataFrame:
+        """Edges in ranges of (source, target): partitions hold equally many edges, whatever the degrees."""
+        if "even" not in self._copies:
+            self._copies["even"] = cut(self.edges.select(*EDGE).repartitionByRange(self.P, "src", "dst"))
+        return self._copies["even"]
+
     def pulled(self) -> DataFrame:
         """Edges partitioned by target, so a pull aggregates without an exchange."""
         if "pull" not in self._copies:
@@ -66,6 +82,10 @@ class Graph:
             self._copies["pack"] = cut(pack_adjacency(self.edges).select(F.col("src").alias("id"), "adj").repartition(self.P, "id"))
         return self._copies["pack"]
 
+    def block_count(self, edges: int = 1_000_000) -> int:
+        """As many blocks as leave about ``edges`` edges to each, a task's worth of arrays; at least 8."""
+        return max(8, -(-self.edges.count() // edges))
+
     def blocked(self, blocks: int, method: str = "range") -> tuple[DataFrame, DataFrame]:
         """``[id, block]`` and ``[src, dst, weight, block, dst_block]`` partitioned by block of the source.
 
@@ -77,11 +97,7 @@ class Graph:
             if method == "hash":
                 owner = ids.select("id", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int").alias("block"))
             elif method == "range":
-                cuts = ids.agg(F.percentile_approx("id", [i / blocks for i in range(1, blocks)], 10_000).alias("c")).first()["c"] if blocks > 1 else []
-                expr = F.lit(0)
-                for c in sorted(set(cuts or [])):
-                    expr = expr + (F.col("id") > c).cast("int")
-                owner = ids.select("id", expr.alias("block"))
+                owner = ids.repartitionByRange(blocks, "id").select("id", F.spark_partition_id().alias("block"))
             else:
                 raise ValueError(f"unknown block method {method}")
             owner = cut(owner)
@@ -179,32 +195,92 @@ def g_web(spark: SparkSession, sf_dir: str, symmetric: bool = False) -> Graph:
     return Graph(symmetrize(edges) if symmetric else edges)
 
 
+def log_weights(graph: Graph) -> Graph:
+    """The same edges with weights 1..floor(log2 n) - 1 by the vertices' number (at least 1)."""
+    most = max(1, graph.all_vertices().count().bit_length() - 2)
+    return Graph(graph.edges.select("src", "dst", hashed_weight(F.col("src"), F.col("dst"), most).cast("long").alias("weight")))
+
+
 def encode_ids(keys: DataFrame, key: str, base: int = 0) -> DataFrame:
     """``[key, id]``: dense ids in the keys' order. Ranks within range partitions plus the sizes of those before."""
-    ranged = cut(keys.repartitionByRange(key).withColumn("__p", F.spark_partition_id()))
-    sizes = ranged.groupBy("__p").count().withColumn("__b", F.coalesce(F.sum("count").over(W.orderBy("__p").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
-    rank = F.row_number().over(W.partitionBy("__p").orderBy(key)) - 1
-    return ranged.withColumn("__r", rank).join(sizes, "__p").select(key, (F.lit(base) + F.col("__b") + F.col("__r")).cast("long").alias("id"))
+    return ranked(keys, [key]).select(key, (F.lit(base) + F.col("rank")).cast("long").alias("id"))
+
+
+def nearest_rows(vectors: DataFrame, k: int, block: int = 2048) -> DataFrame:
+    """``[src, dst, d]``: the ``k`` nearest other rows of each row of ``[id, v]``, exactly, ties to smaller ids.
+
+    All rows are compared, block by block: a task holds two blocks of about ``block`` rows and answers each row of the first with its
+    best ``k``, so nothing is broadcast and memory doesn't follow the table. The work is what an exact answer costs.
+    """
+    n = max(1, -(-vectors.count() // block))
+    rows = vectors.select("id", "v", F.pmod(F.xxhash64("id"), F.lit(n)).cast("int").alias("mine"))
+    every = F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    left = rows.select(F.col("id").alias("src"), F.col("v").alias("a"), F.col("mine").alias("i"), every.alias("j"))
+    right = rows.select(F.col("id").alias("dst"), F.col("v").alias("b"), F.col("mine").alias("y"), every.alias("x"))
+
+    def best(key: tuple, q: pa.Table, r: pa.Table) -> pa.Table:
+        src, dst, dist = [], [], []
+        if q.num_rows and r.num_rows:
+            ids, there = r["dst"].to_numpy(), np.array(r["b"].to_pylist())
+            for s, v in zip(q["src"].to_pylist(), np.array(q["a"].to_pylist())):
+                d = np.sqrt(((there - v) ** 2).sum(1))
+                d[ids == s] = np.inf
+                for at in np.lexsort((ids, d))[:k].tolist():
+                    if np.isfinite(d[at]):
+                        src.append(s)
+                        dst.append(int(ids[at]))
+                        dist.append(float(d[at]))
+        return pa.table({"src": pa.array(src, pa.int64()), "dst": pa.array(dst, pa.int64()), "d": pa.array(dist, pa.float64())})
+
+    found = left.groupBy("i", "j").cogroup(right.groupBy("x", "y")).applyInArrow(best, "src long, dst long, d double")
+    return found.withColumn("r", F.row_number().over(W.partitionBy("src").orderBy("d", "dst"))).where(F.col("r") <= k).select("src", "dst", "d")
 
 
 def g_vec(spark: SparkSession, sf_dir: str, k: int = 5) -> Graph:
-    """The ``k`` nearest vectors of each vector; weight = ceil(1000 * distance). The table is small by contract of its use."""
-    e = table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
-    d = F.sqrt(F.aggregate(F.zip_with("v", "v2", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda s, x: s + x))
-    pairs = e.join(F.broadcast(e.toDF("dst", "v2")), F.col("vec_id") != F.col("dst")).select(F.col("vec_id").alias("src"), "dst", d.alias("d"))
-    near = pairs.withColumn("r", F.row_number().over(W.partitionBy("src").orderBy("d", "dst"))).where(F.col("r") <= k)
+    """The ``k`` nearest vectors of each vector; weight = ceil(1000 * distance)."""
+    e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
+    near = nearest_rows(e, k)
     return Graph(near.select("src", "dst", F.ceil(F.round(F.col("d") * 1000, 6)).cast("long").alias("weight")))
 
 
+def ranked(rows: DataFrame, order: list) -> DataFrame:
+    """``rows`` with ``rank``, 0.. in the order: ranks within range partitions plus the sizes of those before."""
+    ranged = cut(rows.repartitionByRange(*order).withColumn("__p", F.spark_partition_id()))
+    sizes = ranged.groupBy("__p").count().withColumn("__b", F.coalesce(F.sum("count").over(W.orderBy("__p").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))
+    inside = F.row_number().over(W.partitionBy("__p").orderBy(*order)) - 1
+    return ranged.withColumn("__r", inside).join(sizes, "__p").withColumn("rank", (F.col("__b") + F.col("__r")).cast("long")).drop("__p", "__b", "__r", "count")
+
+
+def tiles(rows: DataFrame, n: int, order: list) -> DataFrame:
+    """``rows`` with ``part``, 1..n: equal parts in the order, the first ones a row larger, without one task for all rows."""
+    x = ranked(rows, order)
+    total = x.count()
+    size, more = divmod(total, n)
+    first = more * (size + 1)
+    r = F.col("rank")
+    part = F.when(r < first, F.floor(r / (size + 1))).otherwise(more + F.floor((r - first) / max(1, size)))
+    return x.withColumn("part", (part + 1).cast("long")).drop("rank")
+
+
 def g_time(spark: SparkSession, sf_dir: str) -> Graph:
     """Each event to the next one of its user and the next one of its type; weight = whole seconds between + 1."""
     ev = table(spark, sf_dir, "events").select("event_id", "ts", "user_id", "event_type")
     seconds = lambda a, b: F.floor((F.unix_micros(b.cast("timestamp")) - F.unix_micros(a.cast("timestamp"))) / 1_000_000).cast("long") + 1
+    # A type holds a fifth of all events: its chain is made within days, and the last event of a day meets the first of the next day that has one.
     parts = []
     for key in ("user_id", "event_type"):
-        w = W.partitionBy(key).orderBy("ts", "event_id")
-        parts.append(ev.select(F.col("event_id").alias("src"), F.lead("event_id").over(w).alias("dst"), seconds(F.col("ts"), F.lead("ts").over(w)).alias("weight")).where("dst is not null"))
-    return Graph(parts[0].unionByName(parts[1]).groupBy("src", "dst").agg(F.min("weight").alias("weight")))
+        day = F.lit(0) if key == "user_id" else F.to_date("ts")
+        w = W.partitionBy(key, "__d").orderBy("ts", "event_id")
+        rows = ev.withColumn("__d", day).select(key, "__d", "event_id", "ts", F.lead("event_id").over(w).alias("dst"), F.lead("ts").over(w).alias("after"))
+        parts.append(rows.where("dst is not null").select(F.col("event_id").alias("src"), "dst", seconds(F.col("ts"), F.col("after")).alias("weight")))
+        if key != "user_id":
+            ends = ev.withColumn("__d", day).groupBy(key, "__d").agg(F.min(F.struct("ts", "event_id")).alias("first"), F.max(F.struct("ts", "event_id")).alias("last"))
+            nxt = ends.select("last", F.lead("first").over(W.partitionBy(key).orderBy("__d")).alias("then")).where("then is not null")
+            parts.append(nxt.select(F.col("last.event_id").alias("src"), F.col("then.event_id").alias("dst"), seconds(F.col("last.ts"), F.col("then.ts")).alias("weight")))
+    out = parts[0]
+    for x in parts[1:]:
+        out = out.unionByName(x)
+    return Graph(out.groupBy("src", "dst").agg(F.min("weight").alias("weight")))
 
 
 def g_turn(spark: SparkSession, sf_dir: str) -> Graph:
