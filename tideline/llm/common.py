@@ -29,7 +29,7 @@ _ENDED = r"([A-Za-z])([!-@\[-`{-~])"
 _MARK = "!"
 
 #: Distinct chunks over which a worker forgets those that it didn't use lately. A bound of memory, not of results.
-MEMO_LIMIT = 300_000
+MEMO_LIMIT = 150_000
 
 
 #: What a worker remembers for each operator, by name: how to forget it.
