@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from tideline.plans.rules import OrderedProgram, constant_sum
 from tideline.plans.schedule import Schedule, validate
 from tideline.sources.graphs import Graph
-from tideline.sources.tables import Store, cut, shared_dir
+from tideline.sources.tables import Store, cut, saved, shared_dir
 
 #: Frontiers up to this many rows (of three longs) may be broadcast: 24 MB at most.
 BROADCAST_ROWS = 1_000_000
@@ -536,7 +536,7 @@ class _Overflow:
         if bound is not None:
             hit = hit.where(F.col("new") + F.col("h") < bound)
         prio = _div(F.col("new") + F.col("h"), q.schedule.delta)
-        self.log.append(cut(hit.where(~self._inside(q, prio)).select("id", "new")))
+        self.log.append(saved(hit.where(~self._inside(q, prio)).select("id", "new")))
         near = merge(q, msgs, bound)
         moved = hit.where(self._inside(q, prio)).select("id", F.col("new").alias("value"), "h", F.lit(True).alias("active"), F.lit(None).cast("long").alias("settled_at"), F.col("n").alias("__n"), F.lit(True).alias("__changed"), F.lit(False).alias("__popped"), F.lit(False).alias("__back"))
         return near.unionByName(moved).repartition(graph.P, "id")
