@@ -206,7 +206,34 @@ def encode_ids(keys: DataFrame, key: str, base: int = 0) -> DataFrame:
     return ranked(keys, [key]).select(key, (F.lit(base) + F.col("rank")).cast("long").alias("id"))
 
 
-def nearest_rows(vectors: DataFrame, k: int, block: int = 2048) -> DataFrame:
+def _vectors(col: pa.ChunkedArray) -> np.ndarray:
+    """A column of equally long lists as one matrix, without a Python object for each number."""
+    flat = col.combine_chunks().flatten()
+    return flat.to_numpy(zero_copy_only=False).astype(np.float64, copy=False).reshape(len(col), -1)
+
+
+def _nearest_between(src: np.ndarray, a: np.ndarray, dst: np.ndarray, b: np.ndarray, k: int, strip: int = 512) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The ``k`` nearest of ``b`` for each row of ``a``: a product of matrices tells which rows may be among them, the distances themselves decide."""
+    found = []
+    bb = np.einsum("ij,ij->i", b, b)
+    largest = np.max(bb[np.isfinite(bb)], initial=0.0)
+    for at in range(0, len(a), strip):
+        x, ids = a[at : at + strip], src[at : at + strip]
+        aa = np.einsum("ij,ij->i", x, x)
+        rough = aa[:, None] + bb[None, :] - 2 * (x @ b.T)
+        rough[~np.isfinite(rough) | (ids[:, None] == dst[None, :])] = np.inf
+        # The product's rounding errors are far below this part of the norms.
+        last = np.partition(rough, k - 1, axis=1)[:, k - 1] if k < len(b) else np.full(len(x), np.inf)
+        i, j = np.nonzero((rough <= (last + 1e-9 * (1 + np.abs(aa) + largest))[:, None]) & (rough < np.inf))
+        d = np.sqrt(((b[j] - x[i]) ** 2).sum(1))
+        order = np.lexsort((dst[j], d, i))
+        i, j, d = i[order], j[order], d[order]
+        best = np.arange(len(i)) - np.searchsorted(i, i) < k
+        found.append((ids[i[best]], dst[j[best]], d[best]))
+    return tuple(np.concatenate(c) for c in zip(*found))
+
+
+def nearest_rows(vectors: DataFrame, k: int, block: int = 8192) -> DataFrame:
     """``[src, dst, d]``: the ``k`` nearest other rows of each row of ``[id, v]``, exactly, ties to smaller ids.
 
     All rows are compared, block by block: a task holds two blocks of about ``block`` rows and answers each row of the first with its
@@ -219,18 +246,10 @@ def nearest_rows(vectors: DataFrame, k: int, block: int = 2048) -> DataFrame:
     right = rows.select(F.col("id").alias("dst"), F.col("v").alias("b"), F.col("mine").alias("y"), every.alias("x"))
 
     def best(key: tuple, q: pa.Table, r: pa.Table) -> pa.Table:
-        src, dst, dist = [], [], []
+        src, dst, d = [], [], []
         if q.num_rows and r.num_rows:
-            ids, there = r["dst"].to_numpy(), np.array(r["b"].to_pylist())
-            for s, v in zip(q["src"].to_pylist(), np.array(q["a"].to_pylist())):
-                d = np.sqrt(((there - v) ** 2).sum(1))
-                d[ids == s] = np.inf
-                for at in np.lexsort((ids, d))[:k].tolist():
-                    if np.isfinite(d[at]):
-                        src.append(s)
-                        dst.append(int(ids[at]))
-                        dist.append(float(d[at]))
-        return pa.table({"src": pa.array(src, pa.int64()), "dst": pa.array(dst, pa.int64()), "d": pa.array(dist, pa.float64())})
+            src, dst, d = _nearest_between(q["src"].to_numpy(), _vectors(q["a"]), r["dst"].to_numpy(), _vectors(r["b"]), k)
+        return pa.table({"src": pa.array(src, pa.int64()), "dst": pa.array(dst, pa.int64()), "d": pa.array(d, pa.float64())})
 
     found = left.groupBy("i", "j").cogroup(right.groupBy("x", "y")).applyInArrow(best, "src long, dst long, d double")
     return found.withColumn("r", F.row_number().over(W.partitionBy("src").orderBy("d", "dst"))).where(F.col("r") <= k).select("src", "dst", "d")
@@ -240,7 +259,7 @@ def g_vec(spark: SparkSession, sf_dir: str, k: int = 5) -> Graph:
     """The ``k`` nearest vectors of each vector; weight = ceil(1000 * distance)."""
     e = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("v"))
     near = nearest_rows(e, k)
-    return Graph(near.select("src", "dst", F.ceil(F.round(F.col("d") * 1000, 6)).cast("long").alias("weight")))
+    return Graph(cut(near.select("src", "dst", F.ceil(F.round(F.col("d") * 1000, 6)).cast("long").alias("weight"))))
 
 
 def ranked(rows: DataFrame, order: list) -> DataFrame:
