@@ -4,6 +4,7 @@ import random
 
 import numpy as np
 
+from tideline.operators import setcover as C
 from tideline.sources import graphs as G
 
 
@@ -24,3 +25,29 @@ def test_neighbours_are_found_once_and_exactly(spark, sf):
     for i, v in enumerate(far):
         d = np.sqrt(((far - v) ** 2).sum(1))
         assert sorted(got[i]) == sorted((float(d[j]), j) for j in range(60) if j != i)[:4]
+
+
+def system_of(spark, seed, n=40, top=120):
+    rng = random.Random(seed)
+    sets = {s: set(rng.sample(range(top), rng.randint(1, 30))) for s in range(n)}
+    return sets, spark.createDataFrame([(s, e) for s, es in sets.items() for e in es], "set_id long, elem_id long")
+
+
+def test_greedy_cover_takes_no_job_for_a_step(spark):
+    sets, system = system_of(spark, 1)
+    want, left = [], set().union(*sets.values())
+    while left:
+        best = min(sets, key=lambda s: (-len(sets[s] & left), s))
+        want.append((len(want) + 1, best, len(sets[best] & left)))
+        left -= sets[best]
+    assert [tuple(r) for r in C.greedy(system, at_once=200).orderBy("step").collect()] == want
+    spark.sparkContext.setJobGroup("greedy", "")
+    assert [tuple(r) for r in C.greedy(system).orderBy("step").collect()] == want
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("greedy")) < len(want)
+
+
+def test_elections_of_a_window_need_no_barrier(spark):
+    sets, system = system_of(spark, 2)
+    got = C.set_cover(system, costs=spark.createDataFrame([(s, 1 + s % 7) for s in sets], "set_id long, cost long"))
+    assert C.verdict(system, got.chosen).first().asDict() == {"n_elements": len(set().union(*sets.values())), "uncovered": 0, "empty_picks": 0}
+    assert got.rounds < got.chosen.select("round").distinct().count()

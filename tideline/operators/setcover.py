@@ -2,17 +2,23 @@
 
 from __future__ import annotations
 
+import heapq
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tideline.operators.engine import Metrics, run_ordered
 from tideline.plans.rules import EdgeRule, OrderedProgram, PrioritySpec
 from tideline.plans.schedule import Schedule
-from tideline.sources.graphs import Graph
+from tideline.sources.graphs import Graph, ranked
 from tideline.sources.tables import cut, saved
 
+#: Pairs of set and element that one task may hold: 64 MB as they come, some 300 MB with their indexes. More are dealt with by rounds of jobs.
+AT_ONCE = 4_000_000
+
 
 @dataclass
 class Cover:
@@ -36,10 +42,13 @@ class _Election:
     then everything moves and the next round goes on there. Sets that belong to it compete, each of their uncovered elements going to the one of the smallest rank (an arithmetic hash of
     set, round and seed). A set that wins at least a (1 - accept) part of what the bucket promises is chosen. The set of the
     smallest rank wins all its elements, so a round with sets that belong here chooses one.
+
+    Buckets are fused like those of paths: while the sets of a round have at most ``at_once`` uncovered elements together, one task holds
+    all elections among them, one after the other, until the best bucket lies below those taken.
     """
 
-    def __init__(self, pairs: DataFrame, eps: float, accept: float, seed: int, cost: DataFrame | None, width: int):
-        self.width = width
+    def __init__(self, pairs: DataFrame, eps: float, accept: float, seed: int, cost: DataFrame | None, width: int, at_once: int = AT_ONCE):
+        self.width, self.at_once, self.number = width, at_once, 0
         self.pairs, self.eps, self.accept, self.seed, self.cost = pairs, eps, accept, seed, cost
         self.covered: list[DataFrame] = []
         self.chosen: list[DataFrame] = []
@@ -62,9 +71,12 @@ class _Election:
     def __call__(self, popped: DataFrame, cur: int, number: int) -> DataFrame:
         live = popped.select(F.col("id").alias("set_id")).join(self.pairs, "set_id")
         live = saved(live.join(self._gone(), "elem_id", "left_anti").select("set_id", "elem_id") if self.covered else live.select("set_id", "elem_id"))
+        if live.count() <= self.at_once:
+            return self._fused(popped, live, cur)
         worth = self.worth(live)
         top = worth.agg(F.max("b")).first()[0]
-        new = self._elect(live, worth, top, number) if top is not None and top > cur - self.width else worth.limit(0)
+        self.number += 1
+        new = self._elect(live, worth, top, self.number) if top is not None and top > cur - self.width else worth.limit(0)
         told = popped.select("id").join(worth.select(F.col("set_id").alias("id"), F.col("b").alias("new")), "id", "left")
         told = told.join(new.select(F.col("set_id").alias("id"), F.lit(True).alias("won")), "id", "left")
         return told.select("id", F.least("new", F.lit(cur)).cast("long").alias("new"), (F.col("new").isNotNull() & F.col("won").isNull()).alias("keep"))
@@ -76,22 +88,86 @@ class _Election:
         won = live.join(here, "set_id").groupBy("elem_id").agg(F.min(F.struct("rank", "set_id", "cost")).alias("w"))
         won = won.groupBy(F.col("w.set_id").alias("set_id"), F.col("w.cost").alias("cost")).agg(F.count(F.lit(1)).alias("gain"))
         new = saved(won.where(F.col("gain") >= (1 - self.accept) * (1 + self.eps) ** top * F.col("cost") - 1e-9).select("set_id", "gain"))
-        self.chosen.append(new.select("set_id", "gain", F.lit(number).alias("round"), F.lit(top).cast("long").alias("bucket")))
+        self._take(live, new.select("set_id", "gain", F.lit(number).alias("round"), F.lit(top).cast("long").alias("bucket")))
+        return new
+
+    def _take(self, live: DataFrame, new: DataFrame) -> None:
+        self.chosen.append(new)
         self.covered.append(saved(live.join(new.select("set_id"), "set_id", "left_semi").select("elem_id").distinct()))
         if len(self.covered) > 8:
             # Elements that are covered leave the table of pairs from time to time, not in every round.
             self.pairs, self.covered = saved(self.pairs.join(self._gone(), "elem_id", "left_anti").select("set_id", "elem_id")), []
-        return new
 
-
-def set_cover(system: DataFrame, eps: float = 0.1, accept: float = 0.1, seed: int = 1, costs: DataFrame | None = None, width: int = 16) -> Cover:
+    def _fused(self, popped: DataFrame, live: DataFrame, cur: int) -> DataFrame:
+        rows = live.join(self.cost, "set_id") if self.cost is not None else live.withColumn("cost", F.lit(1))
+        rows = rows.select("set_id", "elem_id", F.col("cost").cast("double").alias("cost"))
+        step = _elections(self.eps, self.accept, self.seed, cur - self.width, self.number)
+        out = saved(rows.groupBy().applyInArrow(step, _ELECTED))
+        new = out.where("gain is not null").select("set_id", "gain", "round", "bucket")
+        most = new.agg(F.max("round")).first()[0]
+        if most is not None:
+            self.number = most
+            self._take(live, new)
+        told = popped.select("id").join(out.where("gain is null").select(F.col("set_id").alias("id"), F.col("bucket").alias("new")), "id", "left")
+        return told.select("id", F.least("new", F.lit(cur)).cast("long").alias("new"), F.col("new").isNotNull().alias("keep"))
+
+
+#: A chosen set with its gain, its election and its bucket; or a set that is left (``gain`` is null) with the bucket that it has now.
+_ELECTED = "set_id long, gain long, round int, bucket long"
+
+
+def _elections(eps: float, accept: float, seed: int, low: int, number: int):
+    """All elections among some sets, down to bucket ``low``; the same rules as those of :class:`_Election`."""
+
+    def step(t: pa.Table) -> pa.Table:
+        ids, first, s = np.unique(t["set_id"].to_numpy(), return_index=True, return_inverse=True)
+        cost = t["cost"].to_numpy()[first]
+        elems, e = np.unique(t["elem_id"].to_numpy(), return_inverse=True)
+        rows, at = [], number
+        while True:
+            n = np.bincount(s, minlength=len(ids))
+            b = np.full(len(ids), np.iinfo(np.int64).min)
+            left = np.flatnonzero(n)
+            b[left] = np.floor(np.log(n[left] / cost[left]) / np.log(1 + eps) + 1e-9).astype("i8")
+            if not len(left) or (top := int(b.max())) <= low:
+                break
+            at += 1
+            here = np.flatnonzero(b == top)
+            rank = (ids[here] % 1_000_003 * 7919 + (at * 104729 + seed * 15485863) % 1_000_003) * 31 % 1_000_003
+            place = np.full(len(ids), len(ids))
+            place[here[np.lexsort((ids[here], rank))]] = np.arange(len(here))
+            meets = place[s] < len(ids)
+            ps, pe = s[meets], e[meets]
+            best = np.full(len(elems), len(ids))
+            np.minimum.at(best, pe, place[ps])
+            gain = np.bincount(ps[best[pe] == place[ps]], minlength=len(ids))
+            won = np.zeros(len(ids), bool)
+            won[here] = gain[here] >= (1 - accept) * (1 + eps) ** top * cost[here] - 1e-9
+            rows.append((ids[won], gain[won], at, top))
+            gone = np.zeros(len(elems), bool)
+            gone[e[won[s]]] = True
+            stay = ~gone[e]
+            s, e = s[stay], e[stay]
+        sizes = [len(r[0]) for r in rows]
+        per = lambda i: np.repeat([r[i] for r in rows], sizes) if rows else np.empty(0, "i8")
+        cat = lambda i: np.concatenate([r[i] for r in rows]) if rows else np.empty(0, "i8")
+        null = lambda kind: pa.nulls(len(left), kind)
+        return pa.table({
+            "set_id": pa.array(np.r_[cat(0), ids[left]], pa.int64()), "gain": pa.concat_arrays([pa.array(cat(1), pa.int64()), null(pa.int64())]),
+            "round": pa.concat_arrays([pa.array(per(2).astype("i4"), pa.int32()), null(pa.int32())]), "bucket": pa.array(np.r_[per(3), b[left]], pa.int64()),
+        })
+
+    return step
+
+
+def set_cover(system: DataFrame, eps: float = 0.1, accept: float = 0.1, seed: int = 1, costs: DataFrame | None = None, width: int = 16, at_once: int = AT_ONCE) -> Cover:
     """Sets that together hold every element of ``[set_id, elem_id]``: buckets of value per cost, the highest first.
 
     A set without a row in ``costs`` (``[set_id, cost]``, positive) can't be chosen.
     """
     spark = system.sparkSession
     pairs = cut(system.select("set_id", "elem_id").where("set_id is not null and elem_id is not null").distinct())
-    hook = _Election(pairs, eps, accept, seed, costs.select("set_id", "cost") if costs is not None else None, width)
+    hook = _Election(pairs, eps, accept, seed, costs.select("set_id", "cost") if costs is not None else None, width, at_once)
     first = cut(hook.worth(pairs).select(F.col("set_id").alias("id"), F.col("b").cast("long").alias("value")))
     program = OrderedProgram("set_cover", PrioritySpec("high", False), EdgeRule("hook"), "set_cover", (hook,))
     sets = Graph(spark.createDataFrame([], "src long, dst long, weight long"), first.select("id"))
@@ -102,17 +178,56 @@ def set_cover(system: DataFrame, eps: float = 0.1, accept: float = 0.1, seed: in
     return Cover(cut(out), res.metrics)
 
 
-def greedy(system: DataFrame) -> DataFrame:
-    """``[step, set_id, gain]``: one best set a round, the smallest id on ties."""
-    pairs = cut(system.select("set_id", "elem_id").distinct())
-    picked = []
-    while True:
-        best = pairs.groupBy("set_id").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "set_id").first()
-        if best is None:
-            return system.sparkSession.createDataFrame(picked, "step int, set_id long, gain long")
-        picked.append((len(picked) + 1, best["set_id"], best["n"]))
-        gone = pairs.where(F.col("set_id") == best["set_id"]).select("elem_id")
-        pairs = cut(pairs.join(gone, "elem_id", "left_anti").select("set_id", "elem_id"))
+def greedy(system: DataFrame, at_once: int = AT_ONCE) -> DataFrame:
+    """``[step, set_id, gain]``: one best set a step, the smallest id on ties.
+
+    A set that is the best one (most uncovered elements, then the smallest id) of every uncovered element that it has is picked with what it is worth now:
+    only a better set that shares an element could change that, and none can become better. So all such sets are taken at once
+    until at most ``at_once`` pairs of a set and an uncovered element are left, which one task works off step by step. Worth never
+    rises from step to step and ids rise among equals, so the steps are the ranks of the picks by both.
+    """
+    pairs = cut(system.select("set_id", "elem_id").where("set_id is not null and elem_id is not null").distinct())
+    picks = system.sparkSession.createDataFrame([], "set_id long, gain long")
+    while pairs.count() > at_once:
+        n = pairs.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
+        worth = pairs.join(n, "set_id").select("elem_id", "set_id", F.struct("n", (-F.col("set_id")).alias("id")).alias("w"))
+        best = worth.groupBy("elem_id").agg(F.max("w").alias("best"))
+        new = worth.join(best, "elem_id").groupBy("set_id").agg(F.min(F.col("w") == F.col("best")).alias("all"), F.max("w.n").alias("gain")).where("all")
+        new = saved(new.select("set_id", "gain"))
+        picks = picks.unionByName(new)
+        gone = pairs.join(new.select("set_id"), "set_id", "left_semi").select("elem_id").distinct()
+        pairs = saved(pairs.join(gone, "elem_id", "left_anti").select("set_id", "elem_id"))
+    picks = picks.unionByName(pairs.groupBy().applyInArrow(_steps, "set_id long, gain long"))
+    return ranked(picks, [F.desc("gain"), "set_id"]).select((F.col("rank") + 1).cast("int").alias("step"), "set_id", "gain")
+
+
+def _steps(t: pa.Table) -> pa.Table:
+    """The picks of sequential greedy cover among the pairs of one task."""
+    ids, s = np.unique(t["set_id"].to_numpy(), return_inverse=True)
+    elems, e = np.unique(t["elem_id"].to_numpy(), return_inverse=True)
+    by_set, by_elem = e[np.argsort(s, kind="stable")], s[np.argsort(e, kind="stable")]
+    n = np.bincount(s, minlength=len(ids))
+    sets, holds = np.r_[0, np.cumsum(n)], np.r_[0, np.cumsum(np.bincount(e, minlength=len(elems)))]
+    open_ = np.ones(len(elems), bool)
+    heap = [(-int(x), i) for i, x in enumerate(n)]
+    heapq.heapify(heap)
+    found, gains = [], []
+    while heap:
+        told, i = heap[0]
+        if not n[i]:
+            heapq.heappop(heap)
+        elif -told != n[i]:
+            heapq.heapreplace(heap, (-int(n[i]), i))
+        else:
+            found.append(i)
+            gains.append(-told)
+            new = by_set[sets[i] : sets[i + 1]]
+            new = new[open_[new]]
+            open_[new] = False
+            deg = holds[new + 1] - holds[new]
+            ends = np.cumsum(deg)
+            np.subtract.at(n, by_elem[np.repeat(holds[new] - (ends - deg), deg) + np.arange(ends[-1])], 1)
+    return pa.table({"set_id": pa.array(ids[found] if found else [], pa.int64()), "gain": pa.array(gains, pa.int64())})
 
 
 def verdict(system: DataFrame, cover: DataFrame) -> DataFrame:
