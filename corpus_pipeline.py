@@ -40,9 +40,13 @@ def identify_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document with the smallest id of each group of near-duplicates: 4/5 and more of their 5-word shingles."""
+    """Keeps the document with the smallest id of each group of near-duplicates.
+
+    SimHash comes first: of documents that fingerprints within two bits link, the first stays. Among what it keeps, groups of texts that share
+    4/5 and more of their 5-word shingles, whose fingerprints may be further apart, shrink to their first document too.
+    """
     _small_batches(spark)
-    return simhash.keep_similar(docs).select(*COLUMNS)
+    return simhash.keep_similar(simhash.keep_one(docs.select(*COLUMNS))).select(*COLUMNS)
 
 
 def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
