@@ -6,6 +6,7 @@ hash-partitioned by ``src`` for pushes and, on demand, by ``dst`` for pulls or b
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -56,6 +57,14 @@ class Graph:
             self._copies["push"] = cut(self.edges.select(*EDGE).repartition(self.P, "src").sortWithinPartitions("src"))
         return self._copies["push"]
 
+    def adjacent(self) -> DataFrame:
+        """``[src, to, by]``: targets and weights of a source as two arrays, partitioned by source. A round that few sources take part in passes over
+        the others' edges without a look at each. A hub has several rows, since a row ends with its Arrow batch."""
+        if "adjacent" not in self._copies:
+            e = self.edges.select(*EDGE).where("src is not null").repartition(self.P, "src").sortWithinPartitions("src")
+            self._copies["adjacent"] = cut(e.mapInArrow(_by_source, "src long, to array<long>, by array<long>").repartition(self.P, "src"))
+        return self._copies["adjacent"]
+
     def salted(self, salts: int) -> DataFrame:
         """Edges with a salt of their target, partitioned by source and salt: a hub's edges lie in several partitions."""
         key = f"salt-{salts}"
@@ -106,11 +115,44 @@ class Graph:
             self._copies[key] = owner, cut(edges.repartition(self.P, "block"))
         return self._copies[key]
 
+    def packed_blocks(self, blocks: int, method: str = "range") -> tuple[DataFrame, DataFrame]:
+        """Like :meth:`blocked`, but the edges lie as ``[block, src, dst, weight, dst_block]`` with the bytes of many edges in a row: a round
+        ships them to Python as they are."""
+        key = f"bytes-{blocks}-{method}"
+        if key not in self._copies:
+            owner, edges = self.blocked(blocks, method)
+            packed = edges.sortWithinPartitions("block", "src").mapInArrow(_by_block, "block int, src binary, dst binary, weight binary, dst_block binary")
+            self._copies[key] = owner, cut(packed.repartition(self.P, "block").sortWithinPartitions("block"))
+        return self._copies[key]
+
     def symmetric(self) -> Graph:
         """Both directions of every edge, once, without self-loops; the smallest weight of repeats."""
         return Graph(symmetrize(self.edges), self.vertices, self.parts, self.coords)
 
 
+def _cuts(keys: np.ndarray) -> np.ndarray:
+    """Where runs of equal keys begin, with the end."""
+    return np.r_[0, np.flatnonzero(keys[1:] != keys[:-1]) + 1, len(keys)]
+
+
+def _by_source(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for b in batches:
+        if b.num_rows:
+            src = b["src"].to_numpy()
+            at = _cuts(src)
+            ends = pa.array(at.astype("i4"))
+            yield pa.record_batch([pa.array(src[at[:-1]]), pa.ListArray.from_arrays(ends, b["dst"]), pa.ListArray.from_arrays(ends, b["weight"])], names=["src", "to", "by"])
+
+
+def _by_block(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    names = ["src", "dst", "weight", "dst_block"]
+    for b in batches:
+        if b.num_rows:
+            block, cols = b["block"].to_numpy(), [b[c].to_numpy() for c in names]
+            at = _cuts(block)
+            yield pa.record_batch([pa.array(block[at[:-1]]), *[pa.array([c[i:j].tobytes() for i, j in zip(at, at[1:])], pa.binary()) for c in cols]], names=["block", *names])
+
+
 def symmetrize(edges: DataFrame) -> DataFrame:
     both = edges.select(*EDGE).unionByName(edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "weight"))
     return both.where("src <> dst").groupBy("src", "dst").agg(F.min("weight").alias("weight"))
