@@ -410,6 +410,16 @@ def test_digest_is_plain_sha256():
     assert substring.digest("a b") == hashlib.sha256(b"a b").hexdigest()
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_plain_words_need_no_run_of_the_library(name, monkeypatch):
+    enc = ChunkEncoder(P.path(name))
+    texts = ["The caf\u00e9 of \u00dcBER na\u00efve\nWords \u00c9t\u00e9", "abc \u00fe\u00df\u00d8 THE\nthe"]
+    want = [e.ids for e in enc.tok.encode_batch(texts, add_special_tokens=False)]
+    monkeypatch.setattr(enc, "_ids", lambda chunks: iter(()) if not chunks else pytest.fail(str(chunks)))
+    ids, at = enc.encode(pa.array(texts))
+    assert [ids[s:e].tolist() for s, e in zip(at, at[1:])] == want
+
+
 def test_encoder_that_forgets_gives_the_same_ids():
     enc = ChunkEncoder(P.path("byte_bpe_50k.json"), limit=3)
     for turn in range(6):
