@@ -84,6 +84,17 @@ def test_unordered_coreness_and_subgraph(spark):
     assert {tuple(r) for r in K.subgraph(g, core, 2).collect()} == {(0, 0), (1, 0), (2, 0), (7, 7), (8, 7), (9, 7)}
 
 
+def test_h_index_in_packed_rounds_and_in_joins(spark, monkeypatch):
+    ring = both_ways([(i, (i + j) % 60, 1) for i in range(60) for j in (1, 2, 5)] + [(100 + i, i, 1) for i in range(40)])
+    g = Graph(edges_frame(spark, ring))
+    joined, rounds = K.h_index_rounds(g, held=10)
+    want = peel(ring)
+    assert {r[0]: r[1] for r in joined.collect()} == want
+    monkeypatch.setattr(K, "_h_index_joins", None)
+    got, again = K.h_index_rounds(g, most=7)
+    assert {r[0]: r[1] for r in got.collect()} == want and again == rounds
+
+
 def test_cover(spark):
     system = spark.createDataFrame([(1, e) for e in range(6)] + [(2, e) for e in range(6, 10)] + [(3, 0), (3, 7), (4, 9)], "set_id long, elem_id long")
     got = C.set_cover(system)

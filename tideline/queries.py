@@ -205,7 +205,7 @@ register("kcore_eager", O.core(ROAD))(lambda s, d: K.coreness(K.kcore(G.g_road(s
 register("kcore_web", O.core(O.WEB_SYM))(lambda s, d: K.coreness(K.kcore(G.g_web(s, d, True))))
 register("kcore_road", O.core(ROAD))(lambda s, d: K.coreness(K.kcore(G.g_road(s, d))))
 register("kcore_lazy_callback", O.core(O.WEB_SYM))(lambda s, d: K.coreness(K.kcore(G.g_web(s, d, True), Schedule(callback=True))))
-register("kcore_hindex", O.core(SOCIAL))(lambda s, d: K.h_index_rounds(G.g_social(s, d))[0])
+register("kcore_hindex", O.core(SOCIAL))(lambda s, d: K.h_index_rounds(G.Graph(G.social_pairs(s, d)), dealt=True)[0])
 register("kcore_rescan", O.core(O.WEB_SYM))(lambda s, d: K.rescan(G.g_web(s, d, True)))
 register("kcore_histogram", O.core(O.WEB_SYM, "SELECT coreness, count(*) AS n, CAST(sum(count(*)) OVER (ORDER BY coreness DESC) AS BIGINT) AS at_least FROM core GROUP BY coreness"))(lambda s, d: K.histogram(K.coreness(K.kcore(G.g_web(s, d, True)))))
 

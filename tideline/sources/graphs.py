@@ -201,7 +201,8 @@ def g_road(spark: SparkSession, sf_dir: str, days: int = 28, wide: bool = False)
 def social_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     items = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct()
     other = items.select("l_orderkey", F.col("l_partkey").alias("dst"))
-    return items.join(other, "l_orderkey").where("l_partkey <> dst").select(F.col("l_partkey").alias("src"), "dst").distinct()
+    # Dealt by source before repeats go: one shuffle, and what reads the pairs finds them by source.
+    return items.join(other, "l_orderkey").where("l_partkey <> dst").select(F.col("l_partkey").alias("src"), "dst").repartition("src").distinct()
 
 
 def g_social(spark: SparkSession, sf_dir: str, log_weights: bool = False) -> Graph:
