@@ -86,6 +86,12 @@ def test_simhash(docs, empty):
     assert kept.where("doc_id is not null").count() == len(set(comp)) and kept.where("doc_id is null").count() == 1
 
 
+def test_keep_one_with_and_without_a_broadcast(docs):
+    key = lambda df: sorted(map(repr, df.collect()))
+    one = simhash.keep_one(docs)
+    assert key(one) == key(simhash.keep_one(docs, sieve=0))
+
+
 @pytest.mark.parametrize("radius", [0, 1, 2, 5])
 def test_bit_slices_against_pairs(radius):
     rng = np.random.default_rng(radius)

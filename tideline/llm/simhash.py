@@ -138,13 +138,27 @@ def near_duplicates(docs: DataFrame, words: int = 3, radius: int = 2, id_col: st
     return fps.join(classes, "fp", "left").select("doc_id", "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, words: int = 3, radius: int = 2) -> DataFrame:
+#: Ids that may be broadcast: at some 24 bytes each, 48 MB at the most.
+SIEVE = 2_000_000
+
+
+def keep_one(docs: DataFrame, words: int = 3, radius: int = 2, sieve: int = SIEVE) -> DataFrame:
     """The documents of ``docs`` that lead their group; repeated rows of a leader shrink to one, null ids stay. Two texts under a
-    leader's id both stay."""
+    leader's id both stay.
+
+    What goes, and the leaders that are there more than once, are looked for without their texts. While these are at most ``sieve`` ids they are broadcast,
+    and the texts of all other rows stay where they are.
+    """
     own = docs.columns
-    found = near_duplicates(docs, words, radius).where("doc_id = component_id").select(F.col("doc_id").alias("__lead")).distinct()
-    lead = docs.join(found, F.col("doc_id") == F.col("__lead"), "left_semi").withColumn("__hash", F.xxhash64("text")).dropDuplicates(["doc_id", "__hash"])
-    return lead.select(*own).unionByName(docs.where("doc_id is null"))
+    near = near_duplicates(docs, words, radius).where("doc_id is not null")
+    ids = cut(near.groupBy(F.col("doc_id").alias("__id")).agg(F.max(F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False))).alias("__leads"), F.count(F.lit(1)).alias("__rows")))
+    odd = ids.where("not __leads or __rows > 1").select("__id", "__leads")
+    if odd.count() <= sieve:
+        odd = F.broadcast(odd)
+    tagged = docs.join(odd, docs["doc_id"].cast("long") == F.col("__id"), "left")
+    lead = tagged.where("__leads").withColumn("__hash", F.xxhash64("text")).dropDuplicates(["doc_id", "__hash"])
+    # Ids that are null meet no other, so they are among the rows without a mark.
+    return tagged.where("__leads is null").select(*own).unionByName(lead.select(*own))
 
 
 def keep_similar(docs: DataFrame, words: int = 5) -> DataFrame:
