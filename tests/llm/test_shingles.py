@@ -5,6 +5,7 @@ import numpy as np
 import pytest
 
 from tideline.llm import shingles
+from tideline.operators.components import connected_components
 
 SCHEMA = "doc_id long, text string, lang string, source string, n_chars long"
 
@@ -91,3 +92,66 @@ def test_two_texts_under_one_id_and_null_ids(spark):
     got = [(r["doc_id"], r["text"]) for r in shingles.keep_one(frame(spark, rows)).collect()]
     assert sorted(got, key=str) == sorted([(1, one), (1, two), (None, one), (None, one)], key=str)
     assert shingles.keep_one(frame(spark, rows).where("false")).count() == 0
+
+
+def near_copies(n):
+    """Copies of one text with three words replaced in each: two of them share about 4/5 of their shingles, a little more or less."""
+    r = random.Random(9)
+    first = [f"w{i}" for i in range(300)]
+    out = []
+    for _ in range(n):
+        ws = list(first)
+        for _ in range(3):
+            ws[r.randrange(300)] = f"x{r.randrange(10**6)}"
+        out.append(" ".join(ws))
+    return out
+
+
+def together(n, pairs):
+    up = list(range(n))
+
+    def find(i):
+        while up[i] != i:
+            i = up[i]
+        return i
+
+    for a, b in pairs:
+        up[find(a)] = find(b)
+    return {frozenset(i for i in range(n) if find(i) == r) for r in map(find, range(n))}
+
+
+def test_a_large_bucket_answers_with_a_forest_of_its_possible_pairs():
+    sets = [shingles.shingles(t) for t in near_copies(150)]
+    bits = [shingles.sketch(s) for s in sets]
+    may = [(a, b) for a in range(150) for b in range(a) if a % 7 != b % 7 and shingles.may_be(bits[a], bits[b], len(sets[a]) + len(sets[b]))]
+    got = list(shingles._many({"v": list(range(150)), "c": [a % 7 for a in range(150)], "n": [len(s) for s in sets], "sketch": bits}))
+    assert len(may) > 1000 and len(got) < 150 and set(got) <= {(b, a) for a, b in may}
+    assert together(150, got) == together(150, may)
+
+
+def test_links_within_a_cell_join_what_all_similar_pairs_join():
+    sets = [s for t in edited() + near_copies(60) if len(s := shingles.shingles(t))]
+    n = len(sets)
+    group = [i if i % 5 else 0 for i in range(n)]
+    known = [(i, 0) for i in range(n) if i % 5 == 0]
+    all_pairs = [(a, b) for a in range(n) for b in range(a) if shingles.similar(sets[a], sets[b])]
+    got = shingles._links(list(range(n)), group, sets)
+    assert all(shingles.similar(sets[a], sets[b]) for a, b in got) and len(got) < n
+    assert together(n, got + known) == together(n, all_pairs + known)
+
+
+@pytest.mark.parametrize("deal", [400, 1 << 17])
+def test_cells_of_large_buckets_in_one_and_in_many_parts(spark, deal):
+    texts = edited() + near_copies(60)
+    told, sets = shingles.groups(frame(spark, enumerate(texts)), block=20, small=0, deal=deal)
+    lead = told.join(sets, "th").groupBy("c").agg({"doc_id": "min"}).collect()
+    assert sorted(r[1] for r in lead) == sorted(brute_leaders(texts))
+
+
+def test_components_in_one_task_are_those_of_rounds(spark):
+    r = random.Random(2)
+    rows = [(r.randrange(400), r.randrange(400)) for _ in range(220)] + [(1000 + i, 1001 + i) for i in range(60)] + [(5, 5), (None, 7)]
+    edges = spark.createDataFrame(rows, "a long, b long")
+    want, got = ({tuple(x) for x in connected_components(edges, small=k).collect()} for k in (0, 10_000))
+    assert got == want and len(got) > 100
+    assert connected_components(edges.where("false"), small=10).count() == 0

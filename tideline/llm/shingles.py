@@ -9,8 +9,10 @@ that offer it; then buckets whose members are not all in one group yet compare t
 sketches first: an element toggles one bit, so two sketches differ in at most as many bits as the sets differ in elements, and a pair
 beyond that bound is none. A sketch has about a bit for each shingle, so that it tells long texts apart too; the longer one of
 two is folded. What is left is verified on the texts: a star's middle travels once for each ``fan`` of its members.
-Buckets of up to ``small`` rows send no sketches, since their pairs are few and recur from bucket to bucket; larger ones
-compare sketches where they are, and over ``block`` rows they are dealt in parts. Texts that take part in nothing stay where they are:
+Buckets of up to ``small`` rows send no sketches, since their pairs are few and recur from bucket to bucket. Larger ones
+compare sketches where they are, dealt in parts over ``block`` rows, and answer with a spanning forest of what may be similar, never with
+its pairs. The trees of all these buckets together make cells: two similar sets that a large bucket holds and that are not in one group yet lie in
+one cell. A cell's texts meet once, dealt in parts over ``deal`` shingles, and answer with a spanning forest of the pairs that are similar. Texts that take part in nothing stay where they are:
 while the keys of those that do are at most ``SIEVE`` rows they are broadcast as hashes, and only rows with such a hash meet the exact join.
 
 Nulls, empties, repeats: a null or empty text has no shingle and equals others like it; a text of fewer words than a
@@ -29,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tideline.llm.common import forgetting, pieces, runs
-from tideline.llm.simhash import _LOWER
+from tideline.llm.simhash import _LOWER, ONE_TASK
 from tideline.llm.substring import _HASHES, _MULT
 from tideline.operators.components import connected_components
 from tideline.sources.tables import cut
@@ -141,8 +143,9 @@ def _possible(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return pairs.join(one, "a").join(two, "b").where("5 * na >= 4 * nb and 5 * nb >= 4 * na").mapInArrow(rows, _PAIR)
 
 
-def _across(v: np.ndarray, c: np.ndarray, n: np.ndarray, sketches: list[bytes]) -> Iterator[tuple[int, int]]:
-    """Pairs of a bucket's members in different groups whose sketches let them be similar."""
+def _near(group: np.ndarray, n: np.ndarray, sketches: list[bytes]) -> Iterator[tuple[int, np.ndarray]]:
+    """Places of sets, each with places of others in different groups whose sketches let them be similar; each pair once. What the caller
+    changes in ``group`` counts from then on."""
     width = np.array([len(x) for x in sketches])
     for w in np.unique(width).tolist():
         own, wider = np.flatnonzero(width == w), np.flatnonzero((width >= w) & (width <= 2 * w))
@@ -152,10 +155,18 @@ def _across(v: np.ndarray, c: np.ndarray, n: np.ndarray, sketches: list[bytes])
         for at in range(0, len(own), step):
             i, p = own[at : at + step], place[at : at + step]
             far = np.bitwise_count(rows[p][:, None] ^ rows[None]).sum(2, dtype=np.int64)
-            ok = (9 * far <= n[i][:, None] + n[wider]) & (c[i][:, None] != c[wider]) & ((width[wider] > w) | (wider > i[:, None]))
-            for x, y in zip(*np.nonzero(ok)):
-                a, b = int(v[i[x]]), int(v[wider[y]])
-                yield (a, b) if a < b else (b, a)
+            ok = (9 * far <= n[i][:, None] + n[wider]) & (group[i][:, None] != group[wider]) & ((width[wider] > w) | (wider > i[:, None]))
+            for x in np.flatnonzero(ok.any(1)).tolist():
+                yield int(i[x]), wider[ok[x]]
+
+
+def _joined(label: np.ndarray, x: int, others: np.ndarray) -> list[int]:
+    """Gives all of the others' labels' members the label of ``x``; one of the others for each label that went."""
+    gone, first = np.unique(label[others], return_index=True)
+    new = gone != label[x]
+    if new.any():
+        label[np.isin(label, gone[new])] = label[x]
+    return others[first[new]].tolist()
 
 
 def _paired(dealt: DataFrame, keys: list[str], pairs_of) -> DataFrame:
@@ -184,16 +195,60 @@ def _few(g: dict[str, list]) -> Iterator[tuple[int, int]]:
 
 
 def _many(g: dict[str, list]) -> Iterator[tuple[int, int]]:
-    return _across(np.array(g["v"]), np.array(g["c"]), np.array(g["n"]), g["sketch"])
+    """A spanning forest of the pairs of a large bucket's members in different groups that may be similar."""
+    tree = np.arange(len(g["v"]))
+    for x, others in _near(np.array(g["c"]), np.array(g["n"]), g["sketch"]):
+        for y in _joined(tree, x, others):
+            yield min(g["v"][x], g["v"][y]), max(g["v"][x], g["v"][y])
+
+
+def _links(v: list[int], group: list[int], sets: list[np.ndarray]) -> list[tuple[int, int]]:
+    """Similar pairs that join the groups of the sets as all similar pairs would."""
+    label, n = np.unique(np.array(group), return_inverse=True)[1], np.array([len(s) for s in sets])
+    if label.max() == 0:
+        return []
+    names, flat = np.unique(np.concatenate(sets), return_inverse=True)
+    ends = np.cumsum(n)
+    own = [flat[e - k : e] for e, k in zip(ends.tolist(), n.tolist())]
+    marked, out = np.zeros(len(names), bool), []
+    for x, others in _near(label, n, [sketch(s) for s in sets]):
+        others = others[label[others] != label[x]]
+        if not len(others):
+            continue
+        marked[own[x]] = True
+        both = np.add.reduceat(marked[np.concatenate([own[y] for y in others.tolist()])], np.r_[0, np.cumsum(n[others])[:-1]], dtype=np.int64)
+        marked[own[x]] = False
+        out += [(min(v[x], v[y]), max(v[x], v[y])) for y in _joined(label, x, others[9 * both >= 4 * (n[x] + n[others])])]
+    return out
 
 
-def _rest(told: DataFrame, sets: DataFrame, tried: DataFrame, small: int, block: int) -> DataFrame:
-    """Distinct pairs of ``[h, size, v, c]`` with one h and different c that pass the sketches and weren't tried."""
+def _rest(told: DataFrame, sets: DataFrame, tried: DataFrame, small: int, block: int) -> tuple[DataFrame, DataFrame]:
+    """Of ``[h, size, v, c]`` with one h and different c: from small buckets the distinct pairs that pass the sketches and weren't tried,
+    from larger ones a forest of the pairs that pass."""
     few = _paired(told.where(F.col("size") <= small).select("h", "v", "c"), ["h"], _few)
     parts = F.ceil(F.col("size") / F.lit(block)).cast("int")
     units = told.where(F.col("size") > small).join(sets.select("v", "n", "sketch"), "v").withColumn("s", parts).withColumn("i", F.pmod(F.xxhash64("v"), "s").cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("s") - 1)))
     many = _paired(units.select("h", F.least("i", "o").alias("i"), F.greatest("i", "o").alias("j"), "v", "c", "n", "sketch"), ["h", "i", "j"], _many)
-    return _possible(few.unionByName(many).distinct().join(tried, ["a", "b"], "left_anti"), sets)
+    return _possible(few.join(tried, ["a", "b"], "left_anti"), sets), many
+
+
+def _in_cells(forest: DataFrame, comp: DataFrame, sets: DataFrame, docs: DataFrame, words: int, deal: int) -> DataFrame:
+    """Similar pairs that join, within each tree of the forest, the groups ``[v, component]`` of its sets as all similar pairs would."""
+    cells = connected_components(forest, small=ONE_TASK).select(F.col("id").alias("v"), F.col("component").alias("cell"))
+    rows = cut(cells.join(sets.select("v", "n", "doc_id", "tag"), "v").join(comp, "v", "left").withColumn("c", F.coalesce("component", "v")))
+    parts = rows.groupBy("cell").agg(F.ceil(F.sum("n") / F.lit(deal)).cast("int").alias("s"))
+    need = rows.join(parts, "cell").select("doc_id", "tag", "cell", "v", "c", "s", F.pmod(F.xxhash64("v"), "s").cast("int").alias("i"))
+    sieve = _sieve(rows)
+    some = docs if sieve is None else docs.join(sieve, F.xxhash64("doc_id", "tag") == F.col("__k"), "left_semi")
+    met = some.join(need, ["doc_id", "tag"]).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("s") - 1)))
+    keys = ["cell", "i", "j"]
+    units = met.select("cell", F.least("i", "o").alias("i"), F.greatest("i", "o").alias("j"), "v", "c", "text")
+
+    def links(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for g in runs(pieces(batches, "text"), keys):
+            yield _batch(_links(g["v"], g["c"], [shingles(t, words) for t in g["text"]]))
+
+    return units.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(forgetting(links), _PAIR).distinct()
 
 
 def _sieve(keys: DataFrame, doc_id: str = "doc_id", tag: str = "tag") -> DataFrame | None:
@@ -227,7 +282,7 @@ def _verified(pairs: DataFrame, sets: DataFrame, docs: DataFrame, words: int, fa
     return texts.repartition("a", "part").sortWithinPartitions("a", "part", F.col("b").asc_nulls_first()).mapInArrow(forgetting(rows), _PAIR).distinct()
 
 
-def groups(docs: DataFrame, words: int = 5, block: int = 4096, fan: int = 1000, small: int = 32, sample: int = 4096, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
+def groups(docs: DataFrame, words: int = 5, block: int = 4096, fan: int = 1000, small: int = 32, sample: int = 4096, deal: int = 1 << 17, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
     """``[doc_id, tag, th, rows]`` of every different text that has an id (a hash of it, a digest of its set, how many rows it
     is), and ``[th, c]``, the group of each set."""
     named = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.col(text_col)).alias("tag"), F.col(text_col).alias("text"))
@@ -242,11 +297,14 @@ def groups(docs: DataFrame, words: int = 5, block: int = 4096, fan: int = 1000,
     rows = cut(entries.join(shared, "h").select("h", "size", "lo", "v"))
     stars = cut(rows.where("v > lo").select(F.col("lo").alias("a"), F.col("v").alias("b")).distinct())
     good = cut(_verified(cut(_possible(stars, sets)), sets, named, words, fan))
-    comp = cut(connected_components(good).select(F.col("id").alias("v"), "component"))
+    comp = cut(connected_components(good, small=ONE_TASK).select(F.col("id").alias("v"), "component"))
     found = rows.select("h", "size", "v").join(comp, "v", "left").select("h", "size", "v", F.coalesce("component", "v").alias("c"))
     mixed = found.groupBy("h").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).where("lo < hi").select("h")
-    rest = _rest(cut(found.join(mixed, "h")), sets, stars, small, block)
-    comp = connected_components(good.unionByName(_verified(cut(rest), sets, named, words, fan)))
+    few, many = _rest(cut(found.join(mixed, "h")), sets, stars, small, block)
+    links = good.unionByName(_verified(cut(few), sets, named, words, fan))
+    if (forest := cut(many)).count():
+        links = links.unionByName(_in_cells(forest, comp, sets, named, words, deal))
+    comp = connected_components(links, small=ONE_TASK)
     named_sets = one.join(comp, one["v"] == comp["id"], "left").select("th", F.coalesce("component", "v").alias("c"))
     return told, named_sets
 

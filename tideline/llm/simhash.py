@@ -129,17 +129,19 @@ def near_links(distinct: DataFrame, radius: int = 2, block: int = 4096) -> DataF
     return units.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(link, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, words: int = 3, radius: int = 2, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``[doc_id, fp, component_id]`` for each row of ``docs``; see the module for the rules."""
+def near_duplicates(docs: DataFrame, words: int = 3, radius: int = 2, id_col: str = "doc_id", text_col: str = "text", small: int = 0) -> DataFrame:
+    """``[doc_id, fp, component_id]`` for each row of ``docs``; see the module for the rules. Up to ``small`` links are joined in one task."""
     fps = cut(fingerprints(docs, words, id_col, text_col))
     distinct = cut(fps.where("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("rep")))
-    comp = connected_components(near_links(distinct, radius))
+    comp = connected_components(near_links(distinct, radius), small=small)
     classes = distinct.join(comp, distinct["rep"] == comp["id"], "left").select("fp", F.coalesce("component", "rep").alias("component_id"))
     return fps.join(classes, "fp", "left").select("doc_id", "fp", "component_id")
 
 
 #: Ids that may be broadcast: at some 24 bytes each, 48 MB at the most.
 SIEVE = 2_000_000
+#: Links that may be joined in one task: at some 100 bytes each, 25 MB at the most.
+ONE_TASK = 250_000
 
 
 def keep_one(docs: DataFrame, words: int = 3, radius: int = 2, sieve: int = SIEVE) -> DataFrame:
@@ -150,7 +152,7 @@ def keep_one(docs: DataFrame, words: int = 3, radius: int = 2, sieve: int = SIEV
     and the texts of all other rows stay where they are.
     """
     own = docs.columns
-    near = near_duplicates(docs, words, radius).where("doc_id is not null")
+    near = near_duplicates(docs, words, radius, small=ONE_TASK).where("doc_id is not null")
     ids = cut(near.groupBy(F.col("doc_id").alias("__id")).agg(F.max(F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False))).alias("__leads"), F.count(F.lit(1)).alias("__rows")))
     odd = ids.where("not __leads or __rows > 1").select("__id", "__leads")
     if odd.count() <= sieve:
