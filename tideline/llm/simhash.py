@@ -152,7 +152,7 @@ def keep_one(docs: DataFrame, words: int = 3, radius: int = 2, sieve: int = SIEV
     and the texts of all other rows stay where they are.
     """
     own = docs.columns
-    near = near_duplicates(docs, words, radius, small=ONE_TASK).where("doc_id is not null")
+    near = near_duplicates(docs, words, radius, "doc_id", "text", ONE_TASK).where("doc_id is not null")
     ids = cut(near.groupBy(F.col("doc_id").alias("__id")).agg(F.max(F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(False))).alias("__leads"), F.count(F.lit(1)).alias("__rows")))
     odd = ids.where("not __leads or __rows > 1").select("__id", "__leads")
     if odd.count() <= sieve:
