@@ -15,6 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from tideline.sources import packed
 from tideline.sources.tables import cut, table
 
 EDGE = ["src", "dst", "weight"]
@@ -28,8 +29,15 @@ class Graph:
     vertices: DataFrame | None = None
     parts: int | None = None
     coords: bool = False
+    rows: DataFrame | None = None  # the same edges, packed by source
     _copies: dict = field(default_factory=dict)
 
+    @staticmethod
+    def packed_from(edges: DataFrame, unique: bool = False) -> Graph:
+        """A graph whose edges are written once, packed; with ``unique`` each pair of ends once."""
+        rows = cut(packed.pack(edges, unique))
+        return Graph(packed.unpack(rows), rows=rows)
+
     @property
     def spark(self) -> SparkSession:
         return self.edges.sparkSession
@@ -41,7 +49,11 @@ class Graph:
     def checked(self, positive: bool = False) -> Graph:
         """Raises if a weight is negative (or, with ``positive``, zero) or null."""
         low = 1 if positive else 0
-        if not self.edges.where(F.col("weight").isNull() | (F.col("weight") < low)).isEmpty():
+        if self.rows is not None:
+            least = self.rows.agg(F.min("low")).first()[0]
+            if least is not None and least < low:
+                raise ValueError("weights must be at least %d" % low)
+        elif not self.edges.where(F.col("weight").isNull() | (F.col("weight") < low)).isEmpty():
             raise ValueError("weights must be at least %d" % low)
         return self
 
@@ -49,8 +61,22 @@ class Graph:
         """Every vertex once: the given ones, or the ends of edges."""
         if self.vertices is not None:
             return self.vertices
+        if (files := self.numbered()) is not None:
+            return files.vertices(self.spark)
         return self.edges.select(F.explode(F.array("src", "dst")).alias("id")).distinct()
 
+    def numbered(self) -> packed.Numbered | None:
+        """The packed edges as files that one task can reach into; None for graphs that aren't packed or can't be numbered."""
+        if "files" not in self._copies:
+            self._copies["files"] = packed.numbered(self.spark, self.rows) if self.rows is not None else None
+        return self._copies["files"]
+
+    def degrees(self) -> DataFrame:
+        """``[id, n]``: edges out of each source."""
+        if self.rows is not None:
+            return packed.sources(self.rows)
+        return self.edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("n"))
+
     def pushed(self) -> DataFrame:
         """Edges partitioned by source; written once, read by every round."""
         if "push" not in self._copies:
@@ -93,14 +119,12 @@ class Graph:
 
     def block_count(self, edges: int = 1_000_000) -> int:
         """As many blocks as leave about ``edges`` edges to each, a task's worth of arrays; at least 8."""
-        return max(8, -(-self.edges.count() // edges))
-
-    def blocked(self, blocks: int, method: str = "range") -> tuple[DataFrame, DataFrame]:
-        """``[id, block]`` and ``[src, dst, weight, block, dst_block]`` partitioned by block of the source.
+        n = self.edges.count() if self.rows is None else self.rows.agg(F.sum("edges")).first()[0] or 0
+        return max(8, -(-n // edges))
 
-        ``range`` blocks hold consecutive ids and keep neighbours of lattice-like graphs together; ``hash`` blocks don't.
-        """
-        key = f"block-{blocks}-{method}"
+    def owners(self, blocks: int, method: str = "range") -> DataFrame:
+        """``[id, block]``, see :meth:`blocked`."""
+        key = f"owner-{blocks}-{method}"
         if key not in self._copies:
             ids = self.all_vertices().select("id")
             if method == "hash":
@@ -109,7 +133,17 @@ class Graph:
                 owner = ids.repartitionByRange(blocks, "id").select("id", F.spark_partition_id().alias("block"))
             else:
                 raise ValueError(f"unknown block method {method}")
-            owner = cut(owner)
+            self._copies[key] = cut(owner)
+        return self._copies[key]
+
+    def blocked(self, blocks: int, method: str = "range") -> tuple[DataFrame, DataFrame]:
+        """``[id, block]`` and ``[src, dst, weight, block, dst_block]`` partitioned by block of the source.
+
+        ``range`` blocks hold consecutive ids and keep neighbours of lattice-like graphs together; ``hash`` blocks don't.
+        """
+        key = f"block-{blocks}-{method}"
+        if key not in self._copies:
+            owner = self.owners(blocks, method)
             src, dst = owner.toDF("src", "block"), owner.toDF("dst", "dst_block")
             edges = self.edges.join(src, "src").join(dst, "dst").select(*EDGE, "block", "dst_block")
             self._copies[key] = owner, cut(edges.repartition(self.P, "block"))
@@ -198,21 +232,27 @@ def g_road(spark: SparkSession, sf_dir: str, days: int = 28, wide: bool = False)
 
 # Co-purchase ---------------------------------------------------------------------------------------------------
 
-def social_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    items = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").distinct()
+def _shared_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``[src, dst]``: parts that share an order, once for each such order."""
+    items = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").repartition("l_orderkey").distinct()
     other = items.select("l_orderkey", F.col("l_partkey").alias("dst"))
+    return items.join(other, "l_orderkey").where("l_partkey <> dst").select(F.col("l_partkey").alias("src"), "dst")
+
+
+def social_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
     # Dealt by source before repeats go: one shuffle, and what reads the pairs finds them by source.
-    return items.join(other, "l_orderkey").where("l_partkey <> dst").select(F.col("l_partkey").alias("src"), "dst").repartition("src").distinct()
+    return _shared_orders(spark, sf_dir).repartition("src").distinct()
 
 
 def g_social(spark: SparkSession, sf_dir: str, log_weights: bool = False) -> Graph:
     """Parts that share an order; directed weights 1..999, or 1..floor(log2 n) - 1."""
-    pairs = cut(social_pairs(spark, sf_dir))
-    most = 999
-    if log_weights:
-        n = pairs.select("src").distinct().count()
-        most = max(1, n.bit_length() - 2)
-    return Graph(pairs.select("src", "dst", hashed_weight(F.col("src"), F.col("dst"), most).cast("long").alias("weight")))
+    weight = lambda most: hashed_weight(F.col("src"), F.col("dst"), most).cast("long").alias("weight")
+    # Repeats go when the edges are packed, as a source's edges meet there.
+    g = Graph.packed_from(_shared_orders(spark, sf_dir).select("src", "dst", weight(999)), True)
+    if not log_weights:
+        return g
+    most = max(1, packed.sources(g.rows).count().bit_length() - 2)
+    return Graph.packed_from(g.edges.select("src", "dst", weight(most)))
 
 
 def g_trade(spark: SparkSession, sf_dir: str) -> Graph:
@@ -220,7 +260,7 @@ def g_trade(spark: SparkSession, sf_dir: str) -> Graph:
     o = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey")
     li = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey")
     p = o.join(li, F.col("o_orderkey") == F.col("l_orderkey")).select(F.col("o_custkey").alias("a"), (F.col("l_partkey") + 1_000_000).alias("b")).distinct()
-    return Graph(p.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))).alias("e")).select("e.src", "e.dst", F.lit(1).cast("long").alias("weight")))
+    return Graph.packed_from(p.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))).alias("e")).select("e.src", "e.dst", F.lit(1).cast("long").alias("weight")))
 
 
 def web_links(spark: SparkSession, sf_dir: str) -> DataFrame:
