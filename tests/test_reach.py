@@ -36,6 +36,17 @@ def test_a_width_takes_no_job_for_a_round(spark, sf):
     assert res.metrics.rounds > 20 and res.metrics.jobs < 5
 
 
+@pytest.mark.parametrize("how", [Schedule(update="lazy_count"), Schedule(), Schedule(update="eager", fuse_limit=0, blocks=3)])
+def test_peeling_and_its_counters_are_those_of_relational_rounds(spark, how, monkeypatch):
+    rng = random.Random(5)
+    sym = both_ways([(rng.randrange(60), rng.randrange(rng.choice([8, 60])), 1) for _ in range(400)])
+    plain, g = both(spark, sym, monkeypatch)
+    a, b = K.kcore(plain, how), K.kcore(g, how)
+    assert {r["id"]: r["coreness"] for r in K.coreness(b).collect()} == peel(sym)
+    assert [getattr(a.metrics, c) for c in COUNTERS] == [getattr(b.metrics, c) for c in COUNTERS]
+    assert b.metrics.jobs < 5 < b.metrics.rounds
+
+
 def test_packed_graphs_have_the_edges_that_they_are_made_of(spark, monkeypatch):
     odd = [(1, 2, 5), (1, 2, 5), (-4, 1, 1 << 40), (3, 3, 0), (2, None, 1), (None, 2, 1)]
     g = Graph.packed_from(edges_frame(spark, odd))

@@ -22,7 +22,7 @@ KCORE = OrderedProgram("kcore", PrioritySpec("low", False), EdgeRule.add(-1, "cu
 
 def kcore(graph: Graph, schedule: Schedule | None = None) -> OrderedResult:
     """The priority is the remaining degree; a vertex's coreness is the bucket that it was taken from (``settled_at``)."""
-    degree = graph.edges.groupBy(F.col("src").alias("id")).agg(F.count(F.lit(1)).alias("value"))
+    degree = graph.degrees().withColumnRenamed("n", "value")
     return run_ordered(KCORE, graph, schedule or Schedule(update="lazy_count"), extra=degree)
 
 
