@@ -36,6 +36,15 @@ def test_a_width_takes_no_job_for_a_round(spark, sf):
     assert res.metrics.rounds > 20 and res.metrics.jobs < 5
 
 
+def test_a_target_stops_the_rounds(spark, monkeypatch):
+    plain, g = both(spark, EDGES, monkeypatch)
+    want = dijkstra(EDGES, 0)
+    for t in (0, 90, 13, 999):
+        a, b = (P.ppsp(x, 0, t, Schedule(delta=16)) for x in (plain, g))
+        assert P.distance_to(b, 0, t).first()["dist"] == want.get(t)
+        assert [getattr(a.metrics, c) for c in COUNTERS] == [getattr(b.metrics, c) for c in COUNTERS] and b.metrics.jobs < 5
+
+
 @pytest.mark.parametrize("how", [Schedule(update="lazy_count"), Schedule(), Schedule(update="eager", fuse_limit=0, blocks=3)])
 def test_peeling_and_its_counters_are_those_of_relational_rounds(spark, how, monkeypatch):
     rng = random.Random(5)
