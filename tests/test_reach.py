@@ -45,6 +45,21 @@ def test_a_target_stops_the_rounds(spark, monkeypatch):
         assert [getattr(a.metrics, c) for c in COUNTERS] == [getattr(b.metrics, c) for c in COUNTERS] and b.metrics.jobs < 5
 
 
+def test_several_sources_share_rounds_in_one_task(spark, monkeypatch):
+    plain, g = both(spark, EDGES, monkeypatch)
+    pairs = {0: 13, 5: 90, 7: 999, 400: 3}
+    for targets in (None, pairs):
+        a, b = (sorted(map(tuple, P.many(x, list(pairs), 4, targets).collect())) for x in (plain, g))
+        assert a == b and (400, 400, 0) in b
+
+
+def test_the_guess_of_a_size_does_not_grow_with_rounds(spark):
+    chain = [(i, i + 1, 1) for i in range(9)]
+    got = P.many(Graph(edges_frame(spark, chain)), [0], 1, {0: 9})
+    assert got.count() == 10
+    assert got._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().bit_length() < 100
+
+
 @pytest.mark.parametrize("how", [Schedule(update="lazy_count"), Schedule(), Schedule(update="eager", fuse_limit=0, blocks=3)])
 def test_peeling_and_its_counters_are_those_of_relational_rounds(spark, how, monkeypatch):
     rng = random.Random(5)
