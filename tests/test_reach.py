@@ -81,3 +81,9 @@ def test_packed_graphs_have_the_edges_that_they_are_made_of(spark, monkeypatch):
         Graph.packed_from(edges_frame(spark, [(0, 1, -1)])).checked()
     empty = Graph.packed_from(edges_frame(spark, []))
     assert empty.edges.count() == 0 and [tuple(r) for r in P.sssp(empty, 7).values().collect()] == [(7, 0)]
+
+
+def test_the_trade_graph_is_packed(spark, sf):
+    g = g_trade(spark, sf)
+    n, ends = g.edges.count(), g.all_vertices().count()
+    assert g.numbered().edges == n and g.numbered().count == ends == g.edges.select("src").distinct().count()
