@@ -79,8 +79,11 @@ def bucket_order(graph: Graph, source: int) -> DataFrame:
 
 def cover_quality(system: DataFrame, eps: float, accept: float) -> DataFrame:
     """The cover against sequential greedy: the size bound with the harmonic number of the largest set, and slack for the buckets."""
-    got = C.set_cover(system, eps, accept).chosen
-    best = C.greedy(system).count()
+    # Read once for the cover, the greedy steps and the verdict.
+    held = C.System.of(system)
+    system = held.all_pairs
+    got = C.set_cover(held, eps, accept).chosen
+    best = C.greedy(held).count()
     v = C.verdict(system, got).first()
     largest = system.groupBy("set_id").count().agg(F.max("count")).first()[0] or 1
     harmonic = sum(1 / i for i in range(1, largest + 1))
